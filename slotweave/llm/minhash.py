@@ -8,11 +8,12 @@ the Jaccard similarity J of the sets. The steps:
 1. Sketch every text; texts with the same shingle set are one class, shown by its smallest doc_id.
 2. Registers in bands: the classes that share a band's values share a bucket. Each bucket's members are paired
    with its smallest member only, so the pairs grow with the members, not with their square.
-3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set ten standard errors below
+3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set six standard errors below
    the threshold, and then an exact comparison of both full sets.
-4. Components of the links so far. Buckets that still hold several components are met once more: members
-   outside their bucket head's component are paired with the members of other components, and
-   these pairs pass step 3 too. So every pair that shares a bucket is either compared or known to be connected.
+4. Components of the links so far. In buckets that still hold several components, the members outside the largest one
+   are paired with one member of it, drawn anew for each bucket in a few turns; this connects most of a group at linear cost.
+5. Those members that are left outside are paired with all members of other components in their buckets, and
+   pass step 3 too. So every pair that shares a bucket is either compared or known to be connected.
 
 A pair at J = 0.8 misses all 41 bands of 6 registers with probability 4e-6.
 
@@ -36,6 +37,10 @@ from .components import connected
 
 REGISTERS, BAND, RATE, SCALE, TOP = 251, 6, 20.0, 1.001, 65_534  # a prime number of registers
 BANDS = REGISTERS // BAND
+#: Rounds in which a bucket's stragglers meet one member of its largest component, before they meet all.
+TURNS = 5
+#: Standard errors below the threshold at which the estimate gives a pair up.
+ERRORS = 6
 #: Broadcast a list of ids up to this many rows (16 MB); beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
 
@@ -187,25 +192,43 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
     def confirmed(pairs: DataFrame, name: str) -> DataFrame:
         both = pairs.join(sketch.toDF("a", "sa", "na"), "a").join(sketch.toDF("b", "sb", "nb"), "b")
         error = (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
-        likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(percent / 100 - 10 * error), "a long, b long")
+        likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(percent / 100 - ERRORS * error), "a long, b long")
         likely = scratch.save(likely, f"{name}-likely")
         return scratch.save(_exact(spark, docs, likely, shingle, percent), f"{name}-links")
 
     links = confirmed(stars, "stars")
     found = connected(links, scratch, "first")
 
-    labelled = members.join(found.select(F.col("node").alias("id"), F.col("root").alias("r")), "id", "left")
-    labelled = labelled.select("key", "id", "n", "head", F.coalesce("r", "id").alias("root"))
-    mixed = labelled.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.max(F.when(F.col("id") == F.col("head"), F.col("root"))).alias("head_root")).filter("lo < hi")
-    open_ = scratch.save(labelled.join(mixed.select("key", "head_root"), "key"), "open")
-    out = open_.filter("root != head_root").select("key", F.col("id").alias("a"), F.col("n").alias("an"), F.col("root").alias("ar"))
-    rest = open_.filter("id != head").select("key", F.col("id").alias("b"), F.col("n").alias("bn"), F.col("root").alias("br"), "head_root")
-    cross = out.join(rest, "key").filter((F.col("ar") != F.col("br")) & near(F.col("an"), F.col("bn")) & ((F.col("br") == F.col("head_root")) | (F.col("a") < F.col("b"))))
-    cross = scratch.save(cross.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cross")
-    if not cross.isEmpty():
-        more = confirmed(cross, "cross")
+    def still_open(name: str) -> DataFrame:
+        """The members of buckets that hold several components, with their roots and their bucket's most frequent one."""
+        labelled = members.join(found.select(F.col("node").alias("id"), F.col("root").alias("r")), "id", "left")
+        labelled = labelled.select("key", "id", "n", F.coalesce("r", "id").alias("root"))
+        parts = labelled.groupBy("key", "root").agg(F.count("*").alias("held"))
+        mixed = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("held", "root")).alias("main")).filter("roots > 1")
+        return scratch.save(labelled.join(mixed.select("key", "main"), "key"), name)
+
+    def add(pairs: DataFrame, name: str) -> bool:
+        nonlocal links, found
+        more = confirmed(pairs, name)
         if not more.isEmpty():
-            found = connected(links.unionByName(more), scratch, "second")
+            links = links.unionByName(more)
+            found = connected(links, scratch, f"{name}-found")
+            return True
+        return False
+
+    open_ = still_open("open")
+    for turn in range(TURNS):
+        draw = F.struct(F.xxhash64("id", "key", F.lit(turn)).alias("draw"), "id", "n", "root")
+        tops = open_.filter("root = main").groupBy("key").agg(F.min(draw).alias("top"))
+        pairs = open_.filter("root != main").join(tops, "key").filter(near(F.col("n"), F.col("top.n")))
+        pairs = pairs.select(F.greatest("id", "top.id").alias("a"), F.least("id", "top.id").alias("b")).distinct()
+        if not add(scratch.save(pairs, f"turn{turn}"), f"turn{turn}"):
+            break
+        open_ = still_open(f"open{turn}")
+    out = open_.filter("root != main").select("key", F.col("id").alias("a"), F.col("n").alias("an"), F.col("root").alias("ar"))
+    rest = open_.select("key", F.col("id").alias("b"), F.col("n").alias("bn"), F.col("root").alias("br"), "main")
+    cross = out.join(rest, "key").filter((F.col("ar") != F.col("br")) & near(F.col("an"), F.col("bn")) & ((F.col("br") == F.col("main")) | (F.col("a") < F.col("b"))))
+    add(scratch.save(cross.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cross"), "cross")
 
     roots = classes.join(found.select(F.col("node").alias("id"), "root"), "id", "left")
     roots = roots.select(*same, F.col("id").alias("class_id"), F.coalesce("root", "id").alias("root"))
