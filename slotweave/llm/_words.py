@@ -36,17 +36,17 @@ def powers(n: int) -> np.ndarray:
     return _powers
 
 
-def in_slices(texts: list[str | None], limit: int = 2_000_000) -> Iterator[tuple[int, list[bytes]]]:
-    """Runs of encoded texts of about ``limit`` bytes; a longer text is a run of its own."""
-    start, held, size = 0, [], 0
-    for i, text in enumerate(texts):
-        raw = (text or "").encode("utf-8", "surrogatepass")
-        if held and size + len(raw) > limit:
-            yield start, held
-            start, held, size = i, [], 0
-        held.append(raw)
-        size += len(raw) + 1
-    if held:
+def in_slices(column, limit: int = 1_000_000, rows: int = 400) -> Iterator[tuple[int, list[bytes]]]:
+    """Runs of encoded texts of an Arrow column, of at most ``rows`` and about ``limit`` bytes; a longer text is a run of its own."""
+    for first in range(0, len(column), rows):
+        start, held, size = first, [], 0
+        for i, text in enumerate(column.slice(first, rows).to_pylist(), first):
+            raw = (text or "").encode("utf-8", "surrogatepass")
+            if held and size + len(raw) > limit:
+                yield start, held
+                start, held, size = i, [], 0
+            held.append(raw)
+            size += len(raw) + 1
         yield start, held
 
 

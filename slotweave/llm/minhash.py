@@ -105,8 +105,7 @@ def _sketch_rows(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids = batch.column(0)
-            texts = batch.column(1).to_pylist()
-            for start, raws in in_slices(texts):
+            for start, raws in in_slices(batch.column(1)):
                 elements, sizes = shingle_sets(raws, k)
                 registers = sketches(elements, sizes)
                 edges = np.concatenate([[0], np.cumsum(sizes)])
@@ -132,8 +131,7 @@ def _sketch_rows(k: int):
 def _set_rows(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            for start, raws in in_slices(texts):
+            for start, raws in in_slices(batch.column(1)):
                 elements, sizes = shingle_sets(raws, k)
                 edges = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
                 yield pa.RecordBatch.from_arrays(
