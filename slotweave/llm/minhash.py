@@ -11,9 +11,9 @@ the Jaccard similarity J of the sets. The steps:
 3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set six standard errors below
    the threshold, and then an exact comparison of both full sets.
 4. Components of the links so far. In buckets that still hold several components, the members outside the largest one
-   are paired with one member of it, drawn anew for each bucket in a few turns; this connects most of a group at linear cost.
-5. Those members that are left outside are paired with all members of other components in their buckets, and
-   pass step 3 too. So every pair that shares a bucket is either compared or known to be connected.
+   are compared with all members of other components, sketch against sketch in tiles of 1024 x 1024, so a large bucket is many
+   tasks and only likely pairs leave them; these pass the exact comparison too. So every pair that shares a bucket is
+   either compared or known to be connected.
 
 A pair at J = 0.8 misses all 41 bands of 6 registers with probability 4e-6.
 
@@ -27,6 +27,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -37,8 +38,8 @@ from .components import connected
 
 REGISTERS, BAND, RATE, SCALE, TOP = 251, 6, 20.0, 1.001, 65_534  # a prime number of registers
 BANDS = REGISTERS // BAND
-#: Rounds in which a bucket's stragglers meet one member of its largest component, before they meet all.
-TURNS = 5
+#: Members of a bucket that are compared with as many others at once.
+TILE = 1024
 #: Standard errors below the threshold at which the estimate gives a pair up.
 ERRORS = 6
 #: Broadcast a list of ids up to this many rows (16 MB); beyond it the join shuffles.
@@ -81,18 +82,18 @@ def band_keys(registers: np.ndarray) -> np.ndarray:
 
 
 def estimate(a: np.ndarray, b: np.ndarray, na: np.ndarray, nb: np.ndarray) -> np.ndarray:
-    """Maximum-likelihood J from registers a, b of sets with na, nb elements.
+    """Maximum-likelihood J from registers a, b (along the last axis) of sets with na, nb elements.
 
     With d0 equal registers, d1 where a's is larger and d2 where b's is, u and v the shares of na and nb, the
     likelihood (u-vJ)^d1 (v-uJ)^d2 J^d0 is greatest at a root of
     uv m J^2 - (u^2 (d0+d2) + v^2 (d0+d1)) J + uv d0.
     """
-    d1, d2 = (a > b).sum(axis=1), (a < b).sum(axis=1)
-    d0 = a.shape[1] - d1 - d2
+    d1, d2 = (a > b).sum(axis=-1), (a < b).sum(axis=-1)
+    d0 = a.shape[-1] - d1 - d2
     u = na / (na + nb)
     v = 1 - u
     half = u * u * (d0 + d2) + v * v * (d0 + d1)
-    square = u * v * a.shape[1]
+    square = u * v * a.shape[-1]
     return (half - np.sqrt(np.maximum(half * half - 4 * square * u * v * d0, 0))) / (2 * square)
 
 
@@ -155,6 +156,34 @@ def _likely(least: float):
     return run
 
 
+def _tile_pairs(percent: int, least: float):
+    """Likely pairs (a, b) of the tiles in one spot: side 0 against side 1 under the same key."""
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values(["key", "u", "r", "side"], kind="stable")
+        cells = part[["key", "u", "r"]].to_numpy()
+        edges = [0, *(np.flatnonzero((cells[1:] != cells[:-1]).any(axis=1)) + 1).tolist(), len(part)]
+        registers = np.frombuffer(b"".join(part["sketch"]), np.uint16).reshape(-1, REGISTERS)
+        side, ids, roots, mains = (part[c].to_numpy() for c in ("side", "id", "root", "main"))
+        n = part["n"].to_numpy().astype(float)
+        got = []
+        for start, end in zip(edges, edges[1:], strict=False):
+            middle = start + int((side[start:end] == 0).sum())
+            for at in range(start, middle, 32):
+                x, y = slice(at, min(at + 32, middle)), slice(middle, end)
+                nx, ny = n[x][:, None], n[y][None]
+                fit = (roots[x][:, None] != roots[y]) & (100 * np.minimum(nx, ny) >= percent * np.maximum(nx, ny)) & ((roots[y] == mains[y]) | (ids[x][:, None] < ids[y]))
+                i, j = np.nonzero(fit)
+                for cut in range(0, len(i), 20_000):
+                    p, q = i[cut : cut + 20_000], j[cut : cut + 20_000]
+                    good = estimate(registers[x][p], registers[y][q], n[x][p], n[y][q]) >= least
+                    got.append(np.stack([ids[x][p[good]], ids[y][q[good]]]))
+        pairs = np.unique(np.sort(np.concatenate(got, axis=1), axis=0), axis=1) if got else np.zeros((2, 0), np.int64)
+        return pd.DataFrame({"a": pairs[1], "b": pairs[0]})
+
+    return run
+
+
 def _exact(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """Of the pairs (a, b) of class ids, those whose full shingle sets reach the similarity."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
@@ -186,47 +215,34 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
     stars = members.filter((F.col("id") != F.col("head")) & near(F.col("n"), F.col("head_n"))).select(F.col("id").alias("a"), F.col("head").alias("b")).distinct()
 
     sketch = heads.select("id", "sketch", "n")
+    least = percent / 100 - ERRORS * (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
 
     def confirmed(pairs: DataFrame, name: str) -> DataFrame:
         both = pairs.join(sketch.toDF("a", "sa", "na"), "a").join(sketch.toDF("b", "sb", "nb"), "b")
-        error = (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
-        likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(percent / 100 - ERRORS * error), "a long, b long")
+        likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(least), "a long, b long")
         likely = scratch.save(likely, f"{name}-likely")
         return scratch.save(_exact(spark, docs, likely, shingle, percent), f"{name}-links")
 
     links = confirmed(stars, "stars")
     found = connected(links, scratch, "first")
 
-    def still_open(name: str) -> DataFrame:
-        """The members of buckets that hold several components, with their roots and their bucket's most frequent one."""
-        labelled = members.join(found.select(F.col("node").alias("id"), F.col("root").alias("r")), "id", "left")
-        labelled = labelled.select("key", "id", "n", F.coalesce("r", "id").alias("root"))
-        parts = labelled.groupBy("key", "root").agg(F.count("*").alias("held"))
-        mixed = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", F.struct("held", "root")).alias("main")).filter("roots > 1")
-        return scratch.save(labelled.join(mixed.select("key", "main"), "key"), name)
-
-    def add(pairs: DataFrame, name: str) -> bool:
-        nonlocal links, found
-        more = confirmed(pairs, name)
-        if not more.isEmpty():
-            links = links.unionByName(more)
-            found = connected(links, scratch, f"{name}-found")
-            return True
-        return False
-
-    open_ = still_open("open")
-    for turn in range(TURNS):
-        draw = F.struct(F.xxhash64("id", "key", F.lit(turn)).alias("draw"), "id", "n", "root")
-        tops = open_.filter("root = main").groupBy("key").agg(F.min(draw).alias("top"))
-        pairs = open_.filter("root != main").join(tops, "key").filter(near(F.col("n"), F.col("top.n")))
-        pairs = pairs.select(F.greatest("id", "top.id").alias("a"), F.least("id", "top.id").alias("b")).distinct()
-        if not add(scratch.save(pairs, f"turn{turn}"), f"turn{turn}"):
-            break
-        open_ = still_open(f"open{turn}")
-    out = open_.filter("root != main").select("key", F.col("id").alias("a"), F.col("n").alias("an"), F.col("root").alias("ar"))
-    rest = open_.select("key", F.col("id").alias("b"), F.col("n").alias("bn"), F.col("root").alias("br"), "main")
-    cross = out.join(rest, "key").filter((F.col("ar") != F.col("br")) & near(F.col("an"), F.col("bn")) & ((F.col("br") == F.col("main")) | (F.col("a") < F.col("b"))))
-    add(scratch.save(cross.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "cross"), "cross")
+    labelled = members.select("key", "id", "n").join(found.select(F.col("node").alias("id"), F.col("root").alias("r")), "id", "left")
+    labelled = labelled.select("key", "id", "n", F.coalesce("r", "id").alias("root"))
+    parts = labelled.groupBy("key", "root").agg(F.count("*").alias("held"))
+    mixed = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max(F.struct("held", "root")).alias("main"), F.sum("held").alias("all")).filter("roots > 1")
+    mixed = mixed.select("key", F.col("main.root").alias("main"), F.ceil((F.col("all") - F.col("main.held")) / TILE).alias("us"), F.ceil(F.col("all") / TILE).alias("rs"))
+    open_ = scratch.save(labelled.join(mixed, "key").join(sketch.select("id", "sketch"), "id"), "open")
+    spots = max(1, open_.count() // (4 * TILE))
+    own = lambda parts, salt: F.pmod(F.xxhash64("id", F.lit(salt)), F.col(parts))
+    every = lambda parts: F.explode(F.sequence(F.lit(0).cast("long"), F.col(parts) - 1))
+    carried = ["key", "id", "n", "root", "main", "sketch"]
+    out = open_.filter("root != main").select(*carried, F.lit(0).alias("side"), own("us", 1).alias("u"), every("rs").alias("r"))
+    rest = open_.select(*carried, F.lit(1).alias("side"), own("rs", 2).alias("r"), every("us").alias("u"))
+    tiles = out.unionByName(rest).withColumn("spot", F.pmod(F.xxhash64("key", "u", "r"), F.lit(spots)))
+    cross = tiles.groupBy("spot").applyInPandas(_tile_pairs(percent, least), "a long, b long").distinct()
+    more = scratch.save(_exact(spark, docs, scratch.save(cross, "cross"), shingle, percent), "cross-links")
+    if not more.isEmpty():
+        found = connected(links.unionByName(more), scratch, "second")
 
     roots = classes.join(found.select(F.col("node").alias("id"), "root"), "id", "left")
     roots = roots.select(*same, F.col("id").alias("class_id"), F.coalesce("root", "id").alias("root"))
