@@ -8,7 +8,7 @@ the Jaccard similarity J of the sets. The steps:
 1. Sketch every text; texts with the same shingle set are one class, shown by its smallest doc_id.
 2. Registers in bands: the classes that share a band's values share a bucket. Each bucket's members are paired
    with its smallest member only, so the pairs grow with the members, not with their square.
-3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set six standard errors below
+3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set 4.5 standard errors below
    the threshold, and then an exact comparison of both full sets.
 4. Components of the links so far. In buckets that still hold several components, the members outside the largest one
    are compared with all members of other components, sketch against sketch in tiles of 1024 x 1024, so a large bucket is many
@@ -16,7 +16,7 @@ the Jaccard similarity J of the sets. The steps:
    apart, all. These pass the exact comparison too. So every pair that shares a bucket is
    either compared or known to be connected.
 
-A pair at J = 0.8 misses all 41 bands of 6 registers with probability 4e-6.
+A pair at J = 0.8 misses all 63 bands of 8 registers with probability 9e-6, and fails the estimate with 3e-6.
 
 Edge cases: null or empty text, or text without a word, has an empty set: n_shingles 0, component its own
 doc_id, linked with nothing. Repeated rows of one doc_id give one row each. Extra columns are ignored;
@@ -37,12 +37,12 @@ from ._store import Scratch
 from ._words import STEP, U, in_slices, mix, shingle_sets
 from .components import connected
 
-REGISTERS, BAND, RATE, SCALE, TOP = 251, 6, 20.0, 1.001, 65_534  # a prime number of registers
+REGISTERS, BAND, RATE, SCALE, TOP = 509, 8, 20.0, 1.001, 65_534  # a prime number of registers
 BANDS = REGISTERS // BAND
 #: Members of a bucket that are compared with as many others at once.
 TILE = 1024
 #: Standard errors below the threshold at which the estimate gives a pair up.
-ERRORS = 6
+ERRORS = 4.5
 #: Broadcast a list of ids up to this many rows (16 MB); beyond it the join shuffles.
 BROADCAST_IDS = 2_000_000
 
