@@ -167,6 +167,7 @@ def _tile_pairs(percent: int, least: float, best: bool):
         registers = np.frombuffer(b"".join(part["sketch"]), np.uint16).reshape(-1, REGISTERS)
         side, ids, roots, mains = (part[c].to_numpy() for c in ("side", "id", "root", "main"))
         n = part["n"].to_numpy().astype(float)
+        keys = part["key"].to_numpy()
         got = []
         for start, end in zip(edges, edges[1:], strict=False):
             middle = start + int((side[start:end] == 0).sum())
@@ -183,6 +184,10 @@ def _tile_pairs(percent: int, least: float, best: bool):
                         good = good[np.lexsort((-likely[good], roots[y][q[good]], p[good]))]
                         last = np.stack([p[good], roots[y][q[good]]])
                         good = good[np.concatenate([[True], (last[:, 1:] != last[:, :-1]).any(axis=0)])] if len(good) else good
+                    elif len(good):  # a pair leaves the first of its common buckets alone
+                        a, b = registers[x][p[good]], registers[y][q[good]]
+                        first = (a == b)[:, : BANDS * BAND].reshape(-1, BANDS, BAND).all(axis=2).argmax(axis=1)
+                        good = good[band_keys(a)[np.arange(len(a)), first].view(np.int64) == keys[start]]
                     got.append(np.stack([ids[x][p[good]], ids[y][q[good]]]))
         pairs = np.unique(np.sort(np.concatenate(got, axis=1), axis=0), axis=1) if got else np.zeros((2, 0), np.int64)
         return pd.DataFrame({"a": pairs[1], "b": pairs[0]})
