@@ -158,7 +158,8 @@ def _likely(least: float):
 
 
 def _tile_pairs(percent: int, least: float, best: bool):
-    """Likely pairs (a, b) of the tiles in one spot: side 0 against side 1 under the same key; or of each member only the most likely with each component."""
+    """Who has likely partners in the tiles of one spot, side 0 against side 1: a row per tile and member, with at most a tile's
+    side of partners; or of each member only the most likely of each component."""
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values(["key", "u", "r", "side"], kind="stable")
@@ -168,8 +169,9 @@ def _tile_pairs(percent: int, least: float, best: bool):
         side, ids, roots, mains = (part[c].to_numpy() for c in ("side", "id", "root", "main"))
         n = part["n"].to_numpy().astype(float)
         keys = part["key"].to_numpy()
-        got = []
+        tiles, rows = part["tile"].to_numpy(), []
         for start, end in zip(edges, edges[1:], strict=False):
+            got = []
             middle = start + int((side[start:end] == 0).sum())
             for at in range(start, middle, 32):
                 x, y = slice(at, min(at + 32, middle)), slice(middle, end)
@@ -189,8 +191,14 @@ def _tile_pairs(percent: int, least: float, best: bool):
                         first = (a == b)[:, : BANDS * BAND].reshape(-1, BANDS, BAND).all(axis=2).argmax(axis=1)
                         good = good[band_keys(a)[np.arange(len(a)), first].view(np.int64) == keys[start]]
                     got.append(np.stack([ids[x][p[good]], ids[y][q[good]]]))
-        pairs = np.unique(np.sort(np.concatenate(got, axis=1), axis=0), axis=1) if got else np.zeros((2, 0), np.int64)
-        return pd.DataFrame({"a": pairs[1], "b": pairs[0]})
+            if got:
+                pairs = np.unique(np.concatenate(got, axis=1), axis=1)
+                u, first = np.unique(pairs[0], return_index=True)
+                partners = np.split(pairs[1], first[1:])
+                alone = np.setdiff1d(pairs[1], u)
+                tile = int(tiles[start])
+                rows += zip([tile] * (len(u) + len(alone)), [*u.tolist(), *alone.tolist()], [*partners, *[[]] * len(alone)], strict=True)
+        return pd.DataFrame(rows, columns=["tile", "id", "partners"])
 
     return run
 
@@ -203,16 +211,43 @@ def _stragglers(open_: DataFrame, percent: int, least: float, best: bool) -> Dat
     carried = ["key", "id", "n", "root", "main", "sketch"]
     out = open_.filter("root != main").select(*carried, F.lit(0).alias("side"), own("us", 1).alias("u"), every("rs").alias("r"))
     rest = open_.select(*carried, F.lit(1).alias("side"), own("rs", 2).alias("r"), every("us").alias("u"))
-    tiles = out.unionByName(rest).withColumn("spot", F.pmod(F.xxhash64("key", "u", "r"), F.lit(spots)))
-    return tiles.groupBy("spot").applyInPandas(_tile_pairs(percent, least, best), "a long, b long").distinct()
+    tiles = out.unionByName(rest).withColumn("tile", F.xxhash64("key", "u", "r")).withColumn("spot", F.pmod("tile", F.lit(spots)))
+    return tiles.groupBy("spot").applyInPandas(_tile_pairs(percent, least, best), "tile long, id long, partners array<bigint>")
+
+
+def _exact_tiles(percent: int):
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        a, b = [], []
+        for _, tile in part.groupby("tile", sort=False):
+            sets = dict(zip(tile["id"], tile["elements"], strict=True))
+            for u, partners in zip(tile["id"], tile["partners"], strict=True):
+                for t in partners:
+                    meet = len(np.intersect1d(sets[u], sets[t], assume_unique=True))
+                    if 100 * meet >= percent * (len(sets[u]) + len(sets[t]) - meet):
+                        a.append(max(u, t))
+                        b.append(min(u, t))
+        return pd.DataFrame({"a": np.array(a, np.int64), "b": np.array(b, np.int64)})
+
+    return run
+
+
+def _exact_likely(docs: DataFrame, likely: DataFrame, k: int, percent: int) -> DataFrame:
+    """The links among likely partners; every set goes once to each tile that needs it."""
+    spots = max(1, likely.count() // TILE)
+    met = likely.join(_sets(docs, likely.select(F.col("id").alias("doc_id")).distinct(), k), "id").withColumn("spot", F.pmod("tile", F.lit(spots)))
+    return met.groupBy("spot").applyInPandas(_exact_tiles(percent), "a long, b long").distinct()
+
+
+def _sets(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
+    few = ids.count() <= BROADCAST_IDS
+    chosen = docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    return chosen.mapInArrow(_set_rows(k), "id long, elements array<bigint>").dropDuplicates(["id"])
 
 
 def _exact(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """Of the pairs (a, b) of class ids, those whose full shingle sets reach the similarity."""
     ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    few = ids.count() <= BROADCAST_IDS
-    chosen = docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
-    sets = chosen.mapInArrow(_set_rows(k), "id long, elements array<bigint>").dropDuplicates(["id"])
+    sets = _sets(docs, ids, k)
     both = pairs.join(sets.toDF("a", "ea"), "a").join(sets.toDF("b", "eb"), "b")
     meet = F.size(F.array_intersect("ea", "eb"))
     return both.filter(100 * meet >= percent * (F.size("ea") + F.size("eb") - meet)).select("a", "b")
@@ -260,7 +295,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
         labelled = labelled.join(mixed, "key")
         labelled = scratch.save(labelled.join(sketch.select("id", "sketch"), "id") if best else labelled, f"{name}-open")
         open_ = labelled.select("key", "id", "n", "sketch")
-        more = scratch.save(_exact(spark, docs, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
+        more = scratch.save(_exact_likely(docs, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
         if not more.isEmpty():
             links = links.unionByName(more)
             found = connected(links, scratch, name)
