@@ -191,8 +191,8 @@ def _tile_pairs(percent: int, least: float, best: bool):
                         first = (a == b)[:, : BANDS * BAND].reshape(-1, BANDS, BAND).all(axis=2).argmax(axis=1)
                         good = good[band_keys(a)[np.arange(len(a)), first].view(np.int64) == keys[start]]
                     got.append(np.stack([ids[x][p[good]], ids[y][q[good]]]))
-            if got:
-                pairs = np.unique(np.concatenate(got, axis=1), axis=1)
+            pairs = np.unique(np.concatenate(got, axis=1), axis=1) if got else np.zeros((2, 0), np.int64)
+            if pairs.size:
                 u, first = np.unique(pairs[0], return_index=True)
                 partners = np.split(pairs[1], first[1:])
                 alone = np.setdiff1d(pairs[1], u)
