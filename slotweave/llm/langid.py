@@ -33,8 +33,9 @@ ORDER, DISCOUNT, SAMPLE = 4, 0.75, 600
 LETTERS = re.compile(r"[^\W\d_]+")
 CACHE = 200_000
 EDGE = 1  # the code point that marks a word's ends
-#: A text is rejected when its cross-entropy exceeds the held-back mean by this many of their deviations, and every held-back text.
-FAR = 12.0
+#: A text is rejected when its cross-entropy exceeds the held-back mean by this many of their deviations, and every held-back text's,
+#: by so much that the excess over all its characters is EVIDENCE nats: a short text with a stray code in it stays.
+FAR, EVIDENCE = 12.0, 100.0
 
 
 def _characters(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -208,7 +209,7 @@ class Scorer:
                 best = int(entropy.argmin())
                 sure = float(1 / np.exp(-(entropy - entropy[best]) * min(sums[-1], 40.0)).sum())
                 m = self.models
-                junk = entropy[best] > max(m.worst, m.mean + FAR * m.spread)
+                junk = (entropy[best] - max(m.worst, m.mean + FAR * m.spread)) * sums[-1] > EVIDENCE
                 out.append((m.languages[best], min(1.0, sure), float(entropy[best]), not junk))
         return out
 
