@@ -1,0 +1,323 @@
+"""Each operator against brute force or the library it follows, and on awkward rows."""
+
+import base64
+import collections
+import hashlib
+import math
+import re
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from slotweave.llm import _words, ann, bytebpe, components, exact_dedup, langid, lm, minhash, packing, pii, sharding, token_counts
+from slotweave.llm._store import Scratch
+
+SCHEMA = "doc_id long, text string, lang string, note string"
+LONG = " ".join(f"w{i % 997}" for i in range(30_000))
+AWKWARD = [
+    (1, None, "en", "n"), (2, "", "en", "n"), (3, "   \n\t", "en", "n"), (4, "one two", "en", "n"), (5, "one two", "en", "n"), (6, LONG, "en", "n"), (7, LONG, None, "n"),
+    (8, "The same words here again and again", "en", "n"), (8, "The same words here again and again", "en", "n"), (9, "日本語 <|endoftext|> ²½ \x1c", "xx", "n"), (10, "!!! 123", "en", "n"),
+]
+
+
+@pytest.fixture(scope="module")
+def awkward(spark):
+    return spark.createDataFrame(AWKWARD, SCHEMA).persist()
+
+
+@pytest.fixture(scope="module")
+def none(spark):
+    return spark.createDataFrame([], SCHEMA)
+
+
+@pytest.fixture(scope="module")
+def docs(spark, sf):
+    return spark.read.parquet(f"{sf}/documents.parquet").persist()
+
+
+def shingles(text, k):
+    w = (text or "").encode().lower().split()
+    return {tuple(w[i : i + k]) for i in range(len(w) - k + 1)} if len(w) >= k else {tuple(w)} if w else set()
+
+
+def brute_components(rows, k):
+    sets = {i: shingles(x, k) for i, x in rows}
+    up = {i: i for i in sets}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    ids = sorted(sets)
+    for i, a in enumerate(ids):
+        for b in ids[:i]:
+            meet = len(sets[a] & sets[b])
+            if meet and 100 * meet >= 80 * (len(sets[a]) + len(sets[b]) - meet):
+                x, y = root(a), root(b)
+                up[max(x, y)] = min(x, y)
+    return {i: (len(sets[i]), root(i)) for i in ids}
+
+
+def test_near_duplicates(spark, docs):
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash.near_duplicates(docs, 4).collect()}
+    assert got == brute_components([(r.doc_id, r.text) for r in docs.collect()], 4)
+
+
+def test_near_duplicates_of_a_large_group(spark):
+    rng = np.random.default_rng(1)
+    base = [f"b{i}" for i in range(120)]
+    rows = []
+    for i in range(300):
+        w = list(base)
+        for at in rng.integers(0, 120, rng.integers(0, 9)):
+            w[at] = f"x{rng.integers(1000)}"
+        rows.append((i, " ".join(w)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash.near_duplicates(df, 4).collect()}
+    assert got == brute_components(rows, 4)
+
+
+def test_near_duplicates_awkward(spark, awkward, none):
+    rows = sorted((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(awkward, 5).collect())
+    assert [r[:3] for r in rows if r[0] <= 5] == [(1, 0, 1), (2, 0, 2), (3, 0, 3), (4, 1, 4), (5, 1, 4)]
+    assert len(rows) == 11 and [r[2] for r in rows if r[0] == 7] == [6]
+    assert minhash.near_duplicates(none).count() == 0
+
+
+def test_sketches_merge_and_estimate():
+    rng = np.random.default_rng(0)
+    pool = rng.integers(0, 2**63, 1300).astype(np.uint64)
+    a, b = pool[:1000], pool[300:]
+    s = minhash.sketches(np.concatenate([a, b, np.unique(pool)]), np.array([1000, 1000, 1300]))
+    assert (minhash.merge(s[0], s[1]) == s[2]).all()
+    got = minhash.estimate(s[:1], s[1:2], np.array([1000.0]), np.array([1000.0]))[0]
+    assert abs(got - 700 / 1300) < 0.1
+
+
+def test_components_of_a_chain(spark):
+    links = spark.createDataFrame([(i + 1, i) for i in range(200)] + [(901, 900)], "a long, b long")
+    got = {r.node: r.root for r in components.connected(links, Scratch(spark, "t"), "c").collect()}
+    assert all(got[i] == 0 for i in range(1, 201)) and got[901] == 900
+
+
+def test_exact(spark, awkward, none, docs):
+    for df in (awkward, docs):
+        rows = df.select("doc_id", "text").collect()
+        groups = collections.defaultdict(list)
+        for r in rows:
+            groups[r.text or ""].append(r.doc_id)
+        want = sorted((r.doc_id, max(groups[r.text or ""]), len(groups[r.text or ""]), hashlib.sha256((r.text or "").encode()).hexdigest()) for r in rows)
+        assert sorted((r.doc_id, r.keep_id, r.group_size, r.text_sha256) for r in exact_dedup.exact_groups(df).collect()) == want
+    assert {r.doc_id for r in exact_dedup.drop_exact(awkward).collect()} == {2, 3, 5, 7, 8, 9, 10}
+    assert exact_dedup.drop_exact(awkward).columns == awkward.columns
+    assert exact_dedup.exact_groups(none).count() == 0
+
+
+def test_exact_with_a_full_filter(spark, docs, monkeypatch):
+    monkeypatch.setattr(exact_dedup, "filter_words", lambda rows: 1)
+    assert exact_dedup.exact_groups(docs).filter("kept").count() == docs.select("text").distinct().count()
+
+
+def test_shards(spark, docs, awkward, none):
+    rows = sharding.assign_shards(docs).toPandas()
+    sums = rows.groupby("shard")["size"].sum()
+    assert len(rows) == docs.count() and len(sums) == 16
+    assert all(sorted(g) == list(range(len(g))) for _, g in rows.groupby("shard").slot)
+    one = {r.doc_id: r for r in sharding.assign_shards(awkward).collect()}
+    assert len(one) == 10 and one[1].size == 1 and one[1].text_crc32 == 0
+    assert sharding.assign_shards(none).count() == 0
+
+
+def test_shards_hold_the_law_beside_a_large_group(spark):
+    df = spark.createDataFrame([(i, "copy " * 20 if i % 3 == 0 else f"text {i} " * (1 + i % 40)) for i in range(4000)], "doc_id long, text string")
+    rows = sharding.assign_shards(df).toPandas()
+    sums = rows.groupby("shard")["size"].sum()
+    assert sums.max() < 1.03 * sums.mean() and sums.min() > 0.97 * sums.mean()
+
+
+def test_pseudonyms(spark, awkward, none):
+    told = "Card 4418452524842581, again 4418452524842581; 4418452524842582 no. Call +1 (784) 555-8120 or a.b91@mail7.example.com from 12.197.240.125 on 2024-02-29, 24.12.1999; 300.1.1.1 stays. password=e3b3ed3cc8548923d6"
+    df = spark.createDataFrame([(1, told), (2, "nothing here"), (3, None), (4, "4418452524842581")], "doc_id long, text string")
+    got = {r.doc_id: r for r in pii.pseudonymise(df).collect()}
+    new = got[1].text
+    cards = re.findall(r"\d{16}", new)
+    assert cards[0] == cards[1] == got[4].text != "4418452524842581" and cards[2] == "4418452524842582"
+
+    def luhn(s):
+        d = [int(c) for c in reversed(s)]
+        return sum(d[0::2] + [x * 2 - 9 * (x * 2 > 9) for x in d[1::2]]) % 10
+
+    assert luhn(cards[0]) == 0
+    for old in ("784) 555-8120", "a.b91@", "12.197.240.125", "2024-02-29", "24.12.1999", "e3b3ed3cc8548923d6"):
+        assert old not in new
+    assert "300.1.1.1 stays" in new and len(re.sub(r"\d+\.\d+\.\d+\.\d+", "", new)) == len(re.sub(r"\d+\.\d+\.\d+\.\d+", "", told))
+    assert got[2].text == "nothing here" and got[2].n_replaced == 0 and got[3].text is None
+    assert pii.pseudonymise(awkward).count() == 11 and pii.pseudonymise(none).count() == 0
+
+
+def test_feistel_is_a_permutation(spark):
+    df = spark.range(10_000).select(pii.permute_text(F.lpad(F.col("id").cast("string"), 4, "0"), "k", "t", (pii.DIGIT,)).alias("x"))
+    assert df.distinct().count() == 10_000 and df.filter("x rlike '^[0-9]{4}$'").count() == 10_000
+
+
+def test_byte_bpe(spark, docs, awkward, none):
+    import public_tokenizers
+    import tiktoken
+
+    path = bytebpe.vocabulary_path("byte_bpe_multi_50k.tiktoken")
+    with open(path, "rb") as f:
+        ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
+    lib = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    for df in (docs, awkward):
+        want = sorted((r.doc_id, hashlib.sha256(np.array(lib.encode_ordinary(r.text or ""), "<u4").tobytes()).hexdigest(), hashlib.sha256((r.text or "").encode()).hexdigest()) for r in df.collect())
+        assert sorted((r.doc_id, r.ids_sha256, r.decoded_sha256) for r in bytebpe.digests(df, path).collect()) == want
+    for text in ("a" * 3000, "ééé" * 50, "  x²½  y\x1cz"):
+        assert list(memoryview(bytebpe.encode_packed(path, text)).cast("I")) == lib.encode_ordinary(text)
+    r = bytebpe.Ranks(path)
+    table = bytebpe.PrefixTable(r, b"the quick brown")
+    table.append(b" fox jumps over it all day long and on")
+    table.edit(4, 9, b"slow")
+    assert table.ids() == bytebpe.PrefixTable(r, table.data).ids()
+    back = {x.doc_id: x.text for x in bytebpe.decode_documents(bytebpe.encode_documents(awkward, path), path).collect()}
+    assert back[9] == AWKWARD[9][1] and bytebpe.digests(none, path).count() == 0
+
+
+def test_packing(spark, docs, awkward, none):
+    from tokenizers import Tokenizer
+
+    lib = Tokenizer.from_file(bytebpe.vocabulary_path("byte_bpe_50k.json"))
+    for df in (docs, awkward):
+        rows = packing.pack(df).toPandas().sort_values(["sequence_id", "offset"])
+        ends = rows.groupby("sequence_id").length.cumsum()
+        assert (ends - rows.length == rows.offset).all() and ends.max() <= 1024
+        if df is docs:
+            assert rows.length.sum() / (1024 * rows.sequence_id.nunique()) > 0.97
+        ids = {r.doc_id: lib.encode(r.text or "", add_special_tokens=False).ids + [0] for r in df.collect()}
+        for r in rows.itertuples():
+            assert r.doc_tokens == len(ids[r.doc_id]) and r.ids_crc32 == zlib.crc32(np.array(ids[r.doc_id][r.start : r.start + r.length], "<u4").tobytes())
+    assert packing.pack(none).count() == 0
+
+
+def test_first_fit_decreasing():
+    rng = np.random.default_rng(2)
+    sizes = rng.integers(1, 101, 500)
+    where, offset = packing.first_fit_decreasing(sizes, 100)
+    bins, want = [], {}
+    for i in np.argsort(-sizes, kind="stable"):
+        at = next((b for b, used in enumerate(bins) if used + sizes[i] <= 100), len(bins))
+        bins += [0] * (at == len(bins))
+        want[i] = (at, bins[at])
+        bins[at] += sizes[i]
+    assert all(want[i] == (where[i], offset[i]) for i in range(500))
+
+
+def test_token_counts(spark, docs, awkward, none):
+    from tokenizers import Tokenizer, models, pre_tokenizers
+
+    path = bytebpe.vocabulary_path("piece_bpe_32k.model")
+    vocabulary, unknown = token_counts.pieces(path)
+    lib = Tokenizer(models.Unigram(vocabulary, unk_id=unknown, byte_fallback=True))
+    lib.pre_tokenizer = pre_tokenizers.Metaspace(prepend_scheme="always", split=True)
+    for df in (docs, awkward):
+        want = sorted((r.doc_id, len(lib.encode(r.text or "", add_special_tokens=False).ids)) for r in df.collect())
+        assert sorted((r.doc_id, r.n_tokens) for r in token_counts.token_counts(df, path).collect()) == want
+    assert token_counts.token_counts(none, path).count() == 0
+
+
+def test_nearest(spark):
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(300, 24)).astype(np.float32)
+    x[7] = x[40]
+    rows = [(i, v.tolist(), "e") for i, v in enumerate(x)] + [(1000, None, "e"), (1020, [0.0] * 24, "e"), (1040, [float("nan")] + [1.0] * 23, "e"), (1060, [None] + [1.0] * 23, "e"), (1080, [float("inf")] * 24, "e")]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, note string")
+    got = ann.nearest(df, F.col("vec_id") % 20 == 0, 5).toPandas()
+    d = x.astype(float)
+    assert sorted(got.query_id.unique()) == list(range(0, 300, 20))
+    for q, g in got.groupby("query_id"):
+        best = sorted(((-(d[q] * d[i]).sum(), i) for i in range(300) if i != q))[:5]
+        g = g.sort_values("rank")
+        assert g.vec_id.to_list() == [i for _, i in best] and np.allclose(g.score, [-s for s, _ in best], rtol=1e-12)
+    few = spark.createDataFrame(rows[:3], "vec_id long, embedding array<float>, note string")
+    assert ann.nearest(few, F.col("vec_id") == 0, 5).count() == 2
+    assert ann.nearest(df.limit(0), F.col("vec_id") % 20 == 0, 5).count() == 0
+
+
+def test_language(spark, docs, awkward, none):
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
+    got = langid.identify(docs, ~held).join(docs.select("doc_id", "lang"), "doc_id").filter(held)
+    assert got.filter("lang_pred = lang").count() / got.count() > 0.95
+    assert langid.identify(docs).filter("accepted").count() >= 0.99 * docs.count()
+    rows = {r.doc_id: r for r in langid.identify(awkward).collect()}
+    assert all(rows[i].lang_pred == "und" and rows[i].score == 0 for i in (1, 2, 3, 10))
+    assert langid.identify(none).count() == 0
+
+
+def test_language_models_are_normalised():
+    m = langid.fit([("x", "abba ab ba aab bab abab baba"), ("y", "cd dc ccdd dcdc cdcd dd")] * 5)
+    letters = [chr(c) for c in range(97, 101)]
+    p = np.exp(m.word_scores([a for a in letters] + [a + b for a in letters for b in letters] + [""]))
+    assert (p.sum(axis=0) < 1.0).all() and np.isfinite(p).all()
+    assert langid.Scorer(m).batch(["zzqqxx " * 200])[0][3] in (True, False)
+
+
+def test_lm(spark, docs, awkward, none):
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 1
+    got = {r.doc_id: r for r in lm.score_documents(docs, held).collect()}
+    counts = collections.Counter()
+    texts = {r.doc_id: [*lm._split(r.text), "end"] for r in docs.collect()}
+    for i, w in texts.items():
+        if zlib.crc32(str(i).encode()) % 5 != 1:
+            counts.update(w)
+    n, v = sum(counts.values()), len(counts)
+    for i, w in texts.items():
+        assert math.isclose(got[i].base_score, sum(math.log10((counts[x] + 0.5) / (n + 0.5 * (v + 1))) for x in w), rel_tol=1e-9)
+        assert (got[i].n_tokens, got[i].n_known, got[i].train_tokens) == (len(w), sum(x in counts for x in w), n)
+    out = [r for r in got.values() if r.held_out]
+    assert sum(r.score for r in out) > sum(r.base_score for r in out)
+    rows = lm.score_documents(awkward, F.lit(False)).collect()
+    assert len(rows) == 11 and all(r.score < 0 for r in rows) and lm.score_documents(none, F.lit(False)).count() == 0
+
+
+def test_lm_rare_words_meet_their_counts(spark, docs, monkeypatch):
+    held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 1
+    want = {r.doc_id: (round(r.base_score, 6), r.n_known) for r in lm.score_documents(docs, held).collect()}
+    monkeypatch.setattr(lm, "HEAD", 900)
+    assert {r.doc_id: (round(r.base_score, 6), r.n_known) for r in lm.score_documents(docs, held).collect()} == want
+
+
+def test_lm_table_is_normalised():
+    rng = np.random.default_rng(0)
+    p = lm.train(rng.integers(0, 5, (40, 40)).astype(float))
+    assert np.allclose(np.exp(p).sum(axis=1), 1)
+
+
+def test_word_kernel():
+    raws = [b"Ab cD  ef\x0bgh", b"", b" x ", b"ab CD ef gh"]
+    h, where = _words.word_hashes(raws)
+    assert where.tolist() == [0, 0, 0, 0, 2, 3, 3, 3, 3] and (h[:4] == h[5:]).all() and len(set(h.tolist())) == 5
+
+
+def test_pipeline(spark, sf, docs):
+    import corpus_pipeline as p
+
+    stage = dict(p.STAGES)
+    a = stage["language_id"](spark, docs, sf)
+    assert a.columns == docs.columns and a.count() >= 0.99 * docs.count()
+    b = stage["exact_dedup"](spark, docs, sf)
+    assert {r.doc_id for r in b.collect()} == {max(g) for g in _groups(docs).values()}
+    c = stage["near_dedup"](spark, docs, sf)
+    want = brute_components([(r.doc_id, r.text) for r in docs.collect()], 5)
+    assert {r.doc_id for r in c.collect()} == {i for i, (_, root) in want.items() if root == i}
+    d = stage["pseudonyms"](spark, docs, sf)
+    assert d.columns == docs.columns and d.count() == docs.count()
+    assert p.run(spark, sf).select("doc_id").distinct().count() <= c.count()
+
+
+def _groups(df):
+    out = collections.defaultdict(list)
+    for r in df.collect():
+        out[r.text or ""].append(r.doc_id)
+    return out
