@@ -199,13 +199,14 @@ def w13_domain_export(spark, sf_dir):
     rows = []
     for domain in ("AB", "pages", "conversations"):
         log, m = s.log("AB"), None
-        while m is None and len(log) < 4 * need:
+        for _ in range(6):
             on = s.replayed("AB", domain)
             # the boundary token's own count on the domain: what it made there
             tau = tau_from_ratio(MergeLog(tuple(replace(x, freq=x.repl) for x in on.merges), on.byte_counts), need, "0.4")
             m = trained_far_enough(on, tau, need)
-            if m is None:
-                log = s._logs["AB"] = train_bpe(s.chunks("AB"), len(log) + need, resume=log)
+            if m is not None:
+                break
+            log = s._logs["AB"] = train_bpe(s.chunks("AB"), len(log) + need, resume=log)
         if m is None:
             continue
         tok = select_visible(log.prefix(m), exposures(on, m), tau, need)
