@@ -14,13 +14,14 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+import struct
 from collections.abc import Iterator
 from functools import cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-#: Entries of a worker's table of chunks met; it is emptied when full.
+#: Entries of a generation of a worker's table of chunks met.
 CACHE = 300_000
 
 #: Fixed values. The split pattern for texts without the characters of RARE, where it cuts as the public pattern does, only faster.
@@ -157,23 +158,43 @@ class PrefixTable:
 
 
 def encode_chunk(ranks: Ranks, data: bytes) -> list[int]:
-    """A chunk that is itself a token is that token, whatever the merges would make of it."""
-    whole = ranks.rank.get(data)
-    return [whole] if whole is not None else PrefixTable(ranks, data).ids()
+    """A chunk that is itself a token is that token, whatever the merges would make of it. The prefix table's entries, in one loop."""
+    get, fits, made, longest = ranks.rank.get, ranks.fits, ranks.made, ranks.longest
+    if (whole := get(data)) is not None:
+        return [whole]
+    known = ranks._fits.get
+    last, back = [-1], [0]
+    for i in range(1, len(data) + 1):
+        for j in range(max(0, i - longest), i):
+            t = get(data[j:i])
+            if t is None:
+                continue
+            fit = known((last[j], t)) if j else None
+            if fit or fit is None and made(t) and (not j or fits(last[j], t)):
+                last.append(t)
+                back.append(j)
+                break
+    out, i = [], len(data)
+    while i:
+        out.append(last[i])
+        i = back[i]
+    return out[::-1]
 
 
 class _Words(dict):
-    """Chunk -> its ids as little-endian 32-bit integers."""
+    """Chunk -> its ids as little-endian 32-bit integers: two generations of CACHE entries, so frequent chunks outlive a full table."""
 
     def __init__(self, ranks: Ranks):
-        self.ranks = ranks
+        self.ranks, self.old = ranks, {}
 
     def __missing__(self, chunk: str) -> bytes:
-        import array
-
         if len(self) >= CACHE:
+            self.old = dict(self)
             self.clear()
-        packed = array.array("I", encode_chunk(self.ranks, chunk.encode("utf-8", "surrogatepass"))).tobytes()
+        packed = self.old.get(chunk)
+        if packed is None:
+            ids = encode_chunk(self.ranks, chunk.encode("utf-8", "surrogatepass"))
+            packed = struct.pack(f"<{len(ids)}I", *ids)
         self[chunk] = packed
         return packed
 
