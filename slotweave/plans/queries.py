@@ -357,6 +357,36 @@ op("s48_json", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FRO
 op("s49_dates", "SELECT CAST(date_trunc('month', o_orderdate) AS DATE) AS month, count(*) AS n FROM orders GROUP BY 1", lambda s, d: t(s, d, "orders").groupBy(F.date_trunc("month", "o_orderdate").cast("date").alias("month")).agg(F.count("*").alias("n")))
 op("s51_subquery", "SELECT lang, round(100.0 * sum(n_chars) / (SELECT sum(n_chars) FROM documents), 4) AS share FROM documents GROUP BY lang", lambda s, d: (t(s, d, "documents").createOrReplaceTempView("sw_docs"), s.sql("SELECT lang, round(CAST(100.0 AS DOUBLE) * sum(n_chars) / (SELECT sum(n_chars) FROM sw_docs), 4) AS share FROM sw_docs GROUP BY lang"))[1])
 
+
+def asof(s, d):
+    """The version in force at each event: versions and events in one ordered union, the last version carried on."""
+    versions = s.createDataFrame([("2024-01-01", 1), ("2024-01-11", 2), ("2024-01-21", 3)], "since string, version int").select(F.col("since").cast("timestamp_ntz").alias("ts"), "version", F.lit(None).cast("long").alias("event_id"))
+    events = t(s, d, "events").select("ts", F.lit(None).cast("int").alias("version"), "event_id", F.to_date("ts").alias("day"))
+    # a version applies to every day until the next: days join the versions by range, and only a day's own change needs the order
+    days = events.select("day").distinct()
+    carried = days.join(F.broadcast(versions.select(F.col("ts").alias("since"), F.col("version").alias("v"))), F.col("since") <= F.col("day") + F.expr("INTERVAL 1 DAY")).select("day", "since", "v")
+    got = events.join(carried, "day", "left").groupBy("event_id").agg(F.max_by("v", F.when(F.col("since") <= F.col("ts"), F.col("since"))).alias("version"))
+    return got
+
+
+op("s21_asof_join", "SELECT event_id, version FROM events e ASOF LEFT JOIN (VALUES (TIMESTAMP '2024-01-01', 1), (TIMESTAMP '2024-01-11', 2), (TIMESTAMP '2024-01-21', 3)) v(since, version) ON e.ts >= v.since", asof)
+op("s19_theta_join", "SELECT tau, count(*) AS n FROM part CROSS JOIN (VALUES (10), (20), (30)) x(tau) WHERE p_size < tau GROUP BY tau", lambda s, d: t(s, d, "part").join(F.broadcast(s.createDataFrame([(10,), (20,), (30,)], "tau int")), F.col("p_size") < F.col("tau")).groupBy("tau").agg(F.count("*").alias("n")))
+op("s23_self_join", "SELECT a.n_name AS a, b.n_name AS b FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey", lambda s, d: t(s, d, "nation").alias("a").join(t(s, d, "nation").alias("b"), F.expr("a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")).select(F.col("a.n_name").alias("a"), F.col("b.n_name").alias("b")))
+op("s24_lateral", "SELECT p_partkey, unnest(string_split(p_name, ' ')) AS word FROM part", lambda s, d: t(s, d, "part").select("p_partkey", F.explode(F.split("p_name", " ")).alias("word")))
+op("s26_sort_aggregate", "SELECT source, string_agg(CAST(doc_id AS VARCHAR), ',' ORDER BY doc_id) AS ids FROM documents GROUP BY source", lambda s, d: t(s, d, "documents").groupBy("source").agg(F.array_sort(F.collect_list("doc_id")).alias("i")).select("source", F.array_join(F.transform("i", lambda x: x.cast("string")), ",").alias("ids")))
+_Q["op_s28_approx_distinct"] = lambda s, d: t(s, d, "documents").select(F.explode(pretokenize(F.col("text"))).alias("c")).agg(F.approx_count_distinct("c", 0.02).alias("chunks"))
+op("s33_unpivot", "SELECT doc_id, 'quality' AS what, quality AS value FROM labels UNION ALL SELECT doc_id, 'toxic', toxic FROM labels", lambda s, d: t(s, d, "labels").unpivot("doc_id", ["quality", "toxic"], "what", "value"))
+op("s35_running_sum", "SELECT l_orderkey, l_linenumber, sum(l_quantity) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_quantity ROWS UNBOUNDED PRECEDING) AS q FROM lineitem", lambda s, d: t(s, d, "lineitem").select("l_orderkey", "l_linenumber", F.sum("l_quantity").over(Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_quantity").rowsBetween(Window.unboundedPreceding, 0)).alias("q")))
+op("s37_range_frame", "SELECT doc_id, count(*) OVER (PARTITION BY lang ORDER BY n_chars RANGE BETWEEN 100 PRECEDING AND 100 FOLLOWING) AS near FROM documents", lambda s, d: t(s, d, "documents").select("doc_id", F.count("*").over(Window.partitionBy("lang").orderBy("n_chars").rangeBetween(-100, 100)).alias("near")))
+op("s39_sort_nulls", "SELECT doc_id, CAST(row_number() OVER (ORDER BY quality DESC NULLS LAST, doc_id) AS INT) AS r FROM documents LEFT JOIN labels USING (doc_id) ORDER BY r LIMIT 50", lambda s, d: (lambda x: x.select("doc_id", F.row_number().over(Window.partitionBy(F.lit(1)).orderBy(F.desc_nulls_last("quality"), "doc_id")).alias("r")))(t(s, d, "documents").join(t(s, d, "labels"), "doc_id", "left").orderBy(F.desc_nulls_last("quality"), "doc_id").limit(50)))
+op("s41_top_k_per_group", "SELECT lang, doc_id FROM (SELECT lang, doc_id, row_number() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) AS r FROM documents) WHERE r <= 3", lambda s, d: t(s, d, "documents").select("lang", "doc_id", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n_chars"), "doc_id")).alias("r")).filter("r <= 3").drop("r"))
+op("s42_limit_offset", "SELECT doc_id FROM documents ORDER BY doc_id LIMIT 7 OFFSET 5", lambda s, d: t(s, d, "documents").select("doc_id").orderBy("doc_id").offset(5).limit(7))
+op("s44_strings", "SELECT doc_id, upper(hex(encode(substr(text, 1, 8)))) AS h, translate(source, 'src', 'SRC') AS s FROM documents", lambda s, d: t(s, d, "documents").select("doc_id", F.hex(F.encode(F.substring("text", 1, 8), "UTF-8")).alias("h"), F.translate("source", "src", "SRC").alias("s")))
+op("s45_math", "SELECT doc_id, CAST(ceil(n_chars / 7) AS BIGINT) AS c, CAST(n_chars % 7 AS BIGINT) AS m FROM documents", lambda s, d: t(s, d, "documents").select("doc_id", F.ceil(F.col("n_chars") / 7).alias("c"), F.pmod("n_chars", F.lit(7)).alias("m")))
+op("s46_arrays", "SELECT vec_id, CAST(len(list_filter(embedding, lambda x: x > 0)) AS INT) AS positive FROM embeddings", lambda s, d: t(s, d, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).alias("positive")))
+op("s47_maps", "SELECT lang, count(*) FILTER (WHERE source = 'src0') AS first FROM documents GROUP BY lang", lambda s, d: t(s, d, "documents").groupBy("lang", "source").count().groupBy("lang").agg(F.map_from_entries(F.collect_list(F.struct("source", "count"))).alias("m")).select("lang", F.coalesce(F.element_at("m", F.lit("src0")), F.lit(0)).alias("first")))
+op("s50_recursive", "WITH RECURSIVE r AS (SELECT 1 AS n, CAST(1 AS BIGINT) AS f UNION ALL SELECT n + 1, f * 2 FROM r WHERE n < 20) SELECT n, f FROM r", lambda s, d: s.sql("WITH RECURSIVE r AS (SELECT 1 AS n, CAST(1 AS BIGINT) AS f UNION ALL SELECT n + 1, f * 2 FROM r WHERE n < 20) SELECT n, f FROM r"))
+
 # streams
 
 

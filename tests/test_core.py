@@ -136,3 +136,35 @@ def test_queries_have_keys():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_files(spark, tmp_path):
+    from slotweave.sources import tables
+
+    docs = spark.createDataFrame([(1, 'a "b"\nc, d', "en", "s", 3), (2, "déjà", "fr", "s", 4)], tables.DOCUMENTS)
+    for kind in ("parquet", "json", "csv", "orc"):
+        tables.write(docs, str(tmp_path / kind), kind)
+        assert sorted(tables.read(spark, str(tmp_path / kind), kind).collect()) == sorted(docs.collect())
+    (tmp_path / "x.txt").write_bytes("é\nb".encode())
+    assert [r.text for r in tables.read_texts(spark, str(tmp_path / "x.txt")).collect()] == ["é", "b"]
+    assert tables.read_binary(spark, str(tmp_path / "x.txt")).first().sym == "Ã©\nb"
+
+
+def test_sql_names(spark, trained):
+    from slotweave.functions.udfs import register
+
+    c, log = trained
+    tok, _ = reallocate(c, log, 320, "0.4")
+    register(spark, tok)
+    row = spark.sql("SELECT size(tok_encode('hello')) AS a, tok_min_count('hello') AS b, tok_pretokenize('a  b') AS c").first()
+    assert row.b <= row.a and row.c == ["a", "  ", "b"]
+    one = min(tok.internal) if tok.internal else 256
+    assert [r.token for r in spark.sql(f"SELECT * FROM tok_expand({one})").collect()] == tok.expansions()[one]
+
+
+def test_sessions_equal_batch(spark, sf):
+    from slotweave.streaming import streams
+
+    stream = streams.run_to_end(streams.sessions(streams.table_stream(spark, sf, "events")))
+    batch = streams.sessions(spark.read.parquet(f"{sf}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")))
+    assert stream.exceptAll(batch).isEmpty()
