@@ -337,7 +337,7 @@ op("s14_broadcast_join", "SELECT n_name, count(*) AS n FROM customer JOIN nation
 _JOIN = "SELECT o_orderpriority, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1"
 op("s15_shuffled_hash_join", _JOIN, lambda s, d: t(s, d, "lineitem").join(t(s, d, "orders").hint("shuffle_hash"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")))
 op("s16_merge_join", _JOIN, lambda s, d: t(s, d, "lineitem").join(t(s, d, "orders").hint("merge"), F.col("o_orderkey") == F.col("l_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n")))
-op("s17_full_outer", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, quality FROM documents d FULL JOIN labels l ON d.doc_id = l.doc_id", lambda s, d: t(s, d, "documents").select("doc_id").join(t(s, d, "labels").select("doc_id", "quality"), "doc_id", "full"))
+op("s17_full_outer", "SELECT coalesce(d.doc_id, l.doc_id) AS doc_id, coalesce(quality, -1) AS quality FROM documents d FULL JOIN labels l ON d.doc_id = l.doc_id", lambda s, d: t(s, d, "documents").select("doc_id").join(t(s, d, "labels").select("doc_id", "quality"), "doc_id", "full").na.fill(-1, ["quality"]))
 op("s18_semi_anti", "SELECT (SELECT count(*) FROM documents SEMI JOIN labels USING (doc_id)) AS labelled, (SELECT count(*) FROM documents ANTI JOIN labels USING (doc_id)) AS bare", lambda s, d: t(s, d, "documents").join(t(s, d, "labels"), "doc_id", "left_semi").agg(F.count("*").alias("labelled")).crossJoin(t(s, d, "documents").join(t(s, d, "labels"), "doc_id", "left_anti").agg(F.count("*").alias("bare"))))
 op("s20_range_join", "SELECT lo, count(*) AS n FROM documents JOIN (VALUES (0, 1000), (1000, 4000), (4000, 1000000)) b(lo, hi) ON n_chars >= lo AND n_chars < hi GROUP BY lo", lambda s, d: t(s, d, "documents").join(F.broadcast(s.createDataFrame([(0, 1000), (1000, 4000), (4000, 1000000)], "lo int, hi int")), (F.col("n_chars") >= F.col("lo")) & (F.col("n_chars") < F.col("hi"))).groupBy("lo").agg(F.count("*").alias("n")))
 op("s22_interval_join", "SELECT count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR", lambda s, d: t(s, d, "events").filter("event_type = 'click'").alias("a").join(t(s, d, "events").filter("event_type = 'purchase'").alias("b"), F.expr("a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")).agg(F.count("*").alias("n")))
@@ -349,12 +349,12 @@ op("s31_max_by", "SELECT lang, max(n_chars) AS top, min(doc_id) FILTER (WHERE n_
 op("s32_count_if", "SELECT lang, count(*) FILTER (WHERE quality = 1) AS good, count(*) FILTER (WHERE toxic = 1) AS toxic FROM documents JOIN labels USING (doc_id) GROUP BY lang", lambda s, d: t(s, d, "documents").join(t(s, d, "labels"), "doc_id").groupBy("lang").agg(F.count_if(F.col("quality") == 1).alias("good"), F.count_if(F.col("toxic") == 1).alias("toxic")))
 op("s33_pivot", "SELECT source, count(*) FILTER (WHERE lang = 'de') AS de, count(*) FILTER (WHERE lang = 'en') AS en FROM documents GROUP BY source", lambda s, d: t(s, d, "documents").groupBy("source").pivot("lang", ["de", "en"]).count().na.fill(0))
 op("s34_ranking", "SELECT doc_id, CAST(row_number() OVER w AS INT) AS r, CAST(ntile(4) OVER w AS INT) AS q FROM documents WINDOW w AS (PARTITION BY lang ORDER BY n_chars, doc_id)", lambda s, d: t(s, d, "documents").select("doc_id", F.row_number().over(Window.partitionBy("lang").orderBy("n_chars", "doc_id")).alias("r"), F.ntile(4).over(Window.partitionBy("lang").orderBy("n_chars", "doc_id")).alias("q")))
-op("s36_offsets", "SELECT doc_id, lag(n_chars) OVER w AS before, lead(n_chars) OVER w AS after FROM documents WINDOW w AS (PARTITION BY source ORDER BY doc_id)", lambda s, d: t(s, d, "documents").select("doc_id", F.lag("n_chars").over(Window.partitionBy("source").orderBy("doc_id")).alias("before"), F.lead("n_chars").over(Window.partitionBy("source").orderBy("doc_id")).alias("after")))
+op("s36_offsets", "SELECT doc_id, lag(n_chars, 1, -1) OVER w AS before, lead(n_chars, 1, -1) OVER w AS after FROM documents WINDOW w AS (PARTITION BY source ORDER BY doc_id)", lambda s, d: t(s, d, "documents").select("doc_id", F.lag("n_chars", 1, -1).over(Window.partitionBy("source").orderBy("doc_id")).alias("before"), F.lead("n_chars", 1, -1).over(Window.partitionBy("source").orderBy("doc_id")).alias("after")))
 op("s38_moving_sum", "SELECT doc_id, CAST(sum(n_chars) OVER (PARTITION BY source ORDER BY doc_id ROWS 2 PRECEDING) AS BIGINT) AS s FROM documents", lambda s, d: t(s, d, "documents").select("doc_id", F.sum("n_chars").over(Window.partitionBy("source").orderBy("doc_id").rowsBetween(-2, 0)).alias("s")))
 op("s40_top_k", "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC, doc_id LIMIT 10", lambda s, d: t(s, d, "documents").select("doc_id", "n_chars").orderBy(F.desc("n_chars"), "doc_id").limit(10))
 op("s43_sets", "SELECT count(*) AS n FROM (SELECT source FROM documents WHERE lang = 'en' INTERSECT SELECT source FROM documents WHERE lang = 'de')", lambda s, d: t(s, d, "documents").filter("lang = 'en'").select("source").intersect(t(s, d, "documents").filter("lang = 'de'").select("source")).agg(F.count("*").alias("n")))
 op("s48_json", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1", lambda s, d: t(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))
-op("s49_dates", "SELECT CAST(date_trunc('month', o_orderdate) AS DATE) AS month, count(*) AS n FROM orders GROUP BY 1", lambda s, d: t(s, d, "orders").groupBy(F.date_trunc("month", "o_orderdate").cast("date").alias("month")).agg(F.count("*").alias("n")))
+op("s49_dates", "SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m') AS month, count(*) AS n FROM orders GROUP BY 1", lambda s, d: t(s, d, "orders").groupBy(F.date_format(F.date_trunc("month", "o_orderdate"), "yyyy-MM").alias("month")).agg(F.count("*").alias("n")))
 op("s51_subquery", "SELECT lang, round(100.0 * sum(n_chars) / (SELECT sum(n_chars) FROM documents), 4) AS share FROM documents GROUP BY lang", lambda s, d: (t(s, d, "documents").createOrReplaceTempView("sw_docs"), s.sql("SELECT lang, round(CAST(100.0 AS DOUBLE) * sum(n_chars) / (SELECT sum(n_chars) FROM sw_docs), 4) AS share FROM sw_docs GROUP BY lang"))[1])
 
 
