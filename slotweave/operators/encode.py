@@ -13,7 +13,7 @@ from slotweave.functions.pretok import chunks_of
 from slotweave.functions.symbols import symbol
 
 from .exposure import exposures
-from .train import MergeLog, byte_counts, merged
+from .train import MergeLog, byte_counts, merge_word, merged
 from .visibility import Tokenizer
 
 CACHE = 300_000
@@ -29,22 +29,7 @@ class ChunkEncoder:
         self.known: dict[str, list[int]] = {}
 
     def tokens(self, data: bytes) -> list[int]:
-        word = list(data)
-        while len(word) > 1:
-            ranks = [self.rank.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)]
-            best = min(ranks)
-            if best == 1 << 40:
-                break
-            out, i = [], 0
-            while i < len(word):
-                if i < len(ranks) and ranks[i] == best:
-                    out.append(best)
-                    i += 2
-                else:
-                    out.append(word[i])
-                    i += 1
-            word = out
-        return word
+        return merge_word(list(data), self.rank)
 
     def __call__(self, chunk: str) -> list[int]:
         if (found := self.known.get(chunk)) is None:

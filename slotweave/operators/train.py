@@ -1,8 +1,10 @@
 """Standard byte-pair training: distinct chunks, pair counts, merges.
 
-Three strategies give one and the same log: ``stepwise`` runs a job per merge in DataFrame functions alone; ``batch`` takes from
-each pass all leading merges that provably come next; ``compact`` gathers the distinct chunks, when they are few, into
-one task that keeps counts incrementally. ``auto`` takes compact below COMPACT rows, else batch.
+Four strategies give one and the same log: ``stepwise`` runs a job per merge in DataFrame functions alone; ``batch`` takes from
+each pass all leading merges that provably come next; ``delta`` counts pairs once and then only the changes in chunks that hold
+the merged pair; ``compact`` gathers the distinct chunks, when they are few, into one task that keeps counts incrementally.
+``auto`` takes compact below COMPACT rows and COMPACT_SYMBOLS symbols, else batch. All resume: one pass brings the chunks to the
+state after the merges that are done.
 
 Ties go to the smallest (left, right). A pair's frequency counts adjacent places, overlapping ones too; replacement is
 left to right, and ``repl`` logs what was really replaced.
@@ -11,6 +13,7 @@ left to right, and ``repl`` logs what was really replaced.
 from __future__ import annotations
 
 import heapq
+import tempfile
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -22,7 +25,9 @@ from pyspark.sql import functions as F
 from slotweave.functions.pretok import chunks_of
 from slotweave.functions.symbols import symbol, to_symbols, token_of
 
-COMPACT = 2_000_000
+COMPACT, COMPACT_SYMBOLS = 2_000_000, 64_000_000
+#: Merges after which the strategies of many passes cut the lineage.
+CUT_EVERY = 8
 LOG_SCHEMA = "rank int, left int, right int, token int, freq long, repl long, bytes binary, n_bytes int"
 
 
@@ -96,25 +101,87 @@ def _length(chunks: DataFrame) -> int:
     return chunks.agg(F.coalesce(F.sum(F.col("n") * F.char_length("sym")), F.lit(0))).first()[0]
 
 
-def _stepwise(chunks: DataFrame, n: int) -> list[Merge]:
-    log: list[Merge] = []
+def _cut(chunks: DataFrame) -> DataFrame:
+    """A reliable checkpoint. A local session without a folder gets one of its own; a cluster has to name a shared one."""
+    sc = chunks.sparkSession.sparkContext
+    if not sc.getCheckpointDir():
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(tempfile.mkdtemp(prefix="slotweave-"))
+    return chunks.checkpoint()
+
+
+def merge_word(word: list[int], ranks: dict[tuple[int, int], int]) -> list[int]:
+    """All merges in rank order; the lowest pair present is always next, for a merge only makes pairs of later rank."""
+    while len(word) > 1:
+        best = min((ranks.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)))
+        if best == 1 << 40:
+            break
+        a, b = next(p for p in zip(word, word[1:], strict=False) if ranks.get(p) == best)
+        word = _replaced(word, a, b, best)
+    return word
+
+
+def advance(chunks: DataFrame, done: list[Merge]) -> DataFrame:
+    """The chunks after the merges of a log, in one pass whatever their number."""
+    if not done:
+        return chunks
+    ranks = {(m.left, m.right): m.token for m in done}
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = ["".join(map(symbol, merge_word([ord(c) for c in s], ranks))) for s in batch.column(0).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), batch.column(1)], names=["sym", "n"])
+
+    return chunks.select("sym", F.col("n").cast("long").alias("n")).mapInArrow(run, "sym string, n long")
+
+
+def _stepwise(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
     before = _length(chunks)
-    for _ in range(n):
+    while len(log) < n:
         top = top_pairs(pair_counts(chunks)).first()
         if top is None:
             break
         chunks = apply_merge(chunks, top.pair, 256 + len(log))
-        if len(log) % 8 == 7:
-            chunks = chunks.checkpoint() if chunks.sparkSession.sparkContext.getCheckpointDir() else chunks
+        if len(log) % CUT_EVERY == CUT_EVERY - 1:
+            chunks = _cut(chunks)
         after = _length(chunks)
         log.append(_merge(log, token_of(top.pair[0]), token_of(top.pair[1]), top.f, before - after))
         before = after
     return log
 
 
-def _batch(chunks: DataFrame, n: int, width: int = 48) -> list[Merge]:
+def _delta(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
+    """Pair counts on the driver, bounded by the pairs of the alphabet; a merge is one narrow scan that returns count changes."""
+    counts = {r.pair: r.f for r in pair_counts(chunks).collect()}
+    heap = [(-f, p) for p, f in counts.items()]
+    heapq.heapify(heap)
+    while len(log) < n:
+        while heap and counts.get(heap[0][1], 0) != -heap[0][0]:
+            heapq.heappop(heap)
+        if not heap:
+            break
+        f, pair = heapq.heappop(heap)
+        holders = chunks.filter(F.contains("sym", F.lit(pair)))
+        after = apply_merge(holders, pair, 256 + len(log))
+        both = holders.select("sym", (-F.col("n")).alias("n")).unionByName(after)
+        changes = {r.pair: r.f for r in pair_counts(both).filter("f != 0").collect()}
+        # a chunk has one pair fewer than symbols, so the pairs lost are the replacements made
+        log.append(_merge(log, token_of(pair[0]), token_of(pair[1]), -f, -sum(changes.values())))
+        for p, change in changes.items():
+            counts[p] = counts.get(p, 0) + change
+            if counts[p]:
+                heapq.heappush(heap, (-counts[p], p))
+            else:
+                del counts[p]
+        chunks = apply_merge(chunks, pair, 255 + len(log))
+        if len(log) % CUT_EVERY == 0:
+            chunks = _cut(chunks)
+    return log
+
+
+def _batch(chunks: DataFrame, n: int, log: list[Merge], width: int = 48) -> list[Merge]:
     """Merges taken together while they don't touch and no pair born of them can be as frequent as the next."""
-    log: list[Merge] = []
     spark = chunks.sparkSession
     while len(log) < n:
         top = top_pairs(pair_counts(chunks), width).collect()
@@ -141,9 +208,7 @@ def _batch(chunks: DataFrame, n: int, width: int = 48) -> list[Merge]:
             sums.append(F.sum(F.col("n") * (F.char_length(step) - F.char_length(new))).alias(f"r{i}"))
             step = new
         repl = chunks.agg(*sums).first()
-        chunks = chunks.select(step.alias("sym"), "n")
-        if chunks.sparkSession.sparkContext.getCheckpointDir():
-            chunks = chunks.checkpoint()
+        chunks = _cut(chunks.select(step.alias("sym"), "n"))
         for (pair, f), replaced in zip(taken, repl, strict=True):
             log.append(_merge(log, token_of(pair[0]), token_of(pair[1]), f, replaced))
     return log
@@ -161,12 +226,8 @@ def _replaced(word: list[int], a: int, b: int, t: int) -> list[int]:
     return out
 
 
-def incremental(words: list[list[int]], counts: list[int], n: int, done: list[tuple[int, int]] = ()) -> Iterator[tuple[int, int, int, int]]:
-    """(left, right, freq, repl) of the merges after ``done``, keeping pair counts up to date."""
-    token = 256
-    for a, b in done:
-        words = [_replaced(w, a, b, token) for w in words]
-        token += 1
+def incremental(words: list[list[int]], counts: list[int], n: int, token: int = 256) -> Iterator[tuple[int, int, int, int]]:
+    """(left, right, freq, repl) of n more merges, the first of which makes ``token``, keeping pair counts up to date."""
     pairs: dict[tuple[int, int], int] = defaultdict(int)
     where: dict[tuple[int, int], set[int]] = defaultdict(set)
     for i, w in enumerate(words):
@@ -205,36 +266,38 @@ def incremental(words: list[list[int]], counts: list[int], n: int, done: list[tu
         token += 1
 
 
-def _compact(chunks: DataFrame, n: int, done: list[Merge]) -> list[Merge]:
-    pairs = [(m.left, m.right) for m in done]
+def _compact(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
+    more, first = n - len(log), 256 + len(log)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, counts = [], []
         for batch in batches:
-            words += [[ord(c) for c in s] for s in batch.column(0).to_pylist()]
+            words += [[token_of(c) for c in s] for s in batch.column(0).to_pylist()]
             counts += batch.column(1).to_pylist()
-        rows = list(incremental(words, counts, n, pairs))
+        rows = list(incremental(words, counts, more, first))
         yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in range(4)], names=["a", "b", "f", "r"])
 
-    log = list(done)
-    for a, b, f, r in chunks.select("sym", F.col("n").cast("long")).coalesce(1).mapInArrow(run, "a long, b long, f long, r long").collect():
+    for a, b, f, r in chunks.select("sym", F.col("n").cast("long")).repartition(1).mapInArrow(run, "a long, b long, f long, r long").collect():
         log.append(_merge(log, a, b, f, r))
     return log
 
 
+STRATEGIES = {"stepwise": _stepwise, "batch": _batch, "delta": _delta, "compact": _compact}
+
+
 def train_bpe(chunks: DataFrame, n_merges: int, strategy: str = "auto", resume: MergeLog | None = None) -> MergeLog:
-    """The log of up to n_merges merges in all; resume continues a log of the same chunks."""
+    """The log of up to n_merges merges in all; resume continues a log of the same chunks, with any strategy."""
     done = list(resume.merges) if resume else []
+    if len(done) >= n_merges > 0:
+        return resume.prefix(n_merges)
     if strategy == "auto":
-        strategy = "compact" if chunks.count() <= COMPACT else "batch"
+        rows, symbols = chunks.agg(F.count("*"), F.coalesce(F.sum(F.char_length("sym")), F.lit(0))).first()
+        strategy = "compact" if rows <= COMPACT and symbols <= COMPACT_SYMBOLS else "batch"
     counts = resume.byte_counts if resume else byte_counts(chunks)
-    if strategy == "compact":
-        return MergeLog(tuple(_compact(chunks, n_merges - len(done), done)), counts)
-    if done:
-        for m in done:
-            chunks = apply_merge(chunks, symbol(m.left) + symbol(m.right), m.token)
-        raise NotImplementedError("resume with the compact strategy, or train anew: the log is the same")
-    return MergeLog(tuple((_stepwise if strategy == "stepwise" else _batch)(chunks, n_merges)), counts)
+    chunks = advance(chunks, done)
+    if done and strategy != "compact":
+        chunks = _cut(chunks)
+    return MergeLog(tuple(STRATEGIES[strategy](chunks, n_merges, done)), counts)
 
 
 def merged(chunks: DataFrame, log: MergeLog) -> DataFrame:

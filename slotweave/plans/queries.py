@@ -13,7 +13,7 @@ from slotweave.operators import corpus, measures as ms
 from slotweave.operators.encode import decode_ids, encode, encode_chunks_native, encode_distinct, encoded_length, length_from_log, vp_length_from_log, with_specials
 from slotweave.operators.exposure import absorption, exposure_by_count, exposure_from_log
 from slotweave.operators.mintoken import min_length, min_tokens, min_tokens_relational, vocabulary
-from slotweave.operators.train import apply_merge, chunk_table, pair_counts, top_pairs, train_bpe
+from slotweave.operators.train import STRATEGIES, apply_merge, chunk_table, pair_counts, top_pairs, train_bpe
 from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, required_slots, tau_from_ratio
 from slotweave.plans import workloads
 from slotweave.streaming import streams
@@ -177,10 +177,24 @@ def bpe_train_batch(spark, sf):
     return train_bpe(chunk_table(t(spark, sf, "benchmark")), SMALL, "batch").frame(spark).select("rank", "left", "right", "token", "freq", "repl")
 
 
-@query()
+@query(train_sql(SMALL) + ' SELECT "rank", "left", "right", token, freq, repl FROM log')
+def bpe_train_delta(spark, sf):
+    return train_bpe(chunk_table(t(spark, sf, "benchmark")), SMALL, "delta").frame(spark).select("rank", "left", "right", "token", "freq", "repl")
+
+
+@query(train_sql(SMALL) + ' SELECT "rank", "left", "right", token, freq, repl FROM log')
 def bpe_resume_equal(spark, sf):
+    """Nine merges by one strategy, resumed by another to the end: the log is the uninterrupted one."""
+    chunks, log = small(spark, sf)
+    part = train_bpe(chunks, 15, "delta", log.prefix(9))
+    return train_bpe(chunks, SMALL, "batch", part).frame(spark).select("rank", "left", "right", "token", "freq", "repl")
+
+
+@query("SELECT s AS strategy, TRUE AS equal FROM (SELECT unnest(['batch', 'compact', 'delta', 'stepwise']) AS s)")
+def bpe_strategies_agree(spark, sf):
     chunks, log = small(spark, sf)
-    return spark.createDataFrame([(train_bpe(chunks, SMALL, "compact", log.prefix(9)) == log,)], "equal boolean")
+    part = log.prefix(SMALL - 6)
+    return spark.createDataFrame([(s, train_bpe(chunks, SMALL, s, part) == log) for s in sorted(STRATEGIES)], "strategy string, equal boolean")
 
 
 # exposure and visibility

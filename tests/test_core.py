@@ -10,7 +10,8 @@ from slotweave.operators import measures as ms
 from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encoded_length, length_from_log, vp_length_from_log
 from slotweave.operators.exposure import exposure_by_count, exposures
 from slotweave.operators.mintoken import Trie, min_length, min_tokens, min_tokens_relational, segment, vocabulary
-from slotweave.operators.train import chunk_table, train_bpe
+from slotweave.operators import train
+from slotweave.operators.train import STRATEGIES, advance, chunk_table, merged, train_bpe
 from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, required_slots, tau_from_ratio
 from slotweave.sources.bundles import load_checkpoint, load_tokenizer, save_checkpoint, save_tokenizer
 
@@ -43,9 +44,21 @@ def test_worked_example(spark, chunks):
 @pytest.mark.parametrize("words", [EXAMPLE, [("aaaa", 3), ("aaaaa", 2), ("abab", 4)], [("abcabc", 2), ("cab", 5), ("bca", 5)]])
 def test_strategies_agree(spark, words):
     c = spark.createDataFrame(words, "sym string, n long")
-    logs = [train_bpe(c, 6, s) for s in ("compact", "stepwise", "batch")]
-    assert logs[0] == logs[1] == logs[2]
-    assert train_bpe(c, 6, "compact", logs[0].prefix(2)) == logs[0]
+    logs = [train_bpe(c, 6, s) for s in STRATEGIES]
+    assert all(log == logs[0] for log in logs)
+    assert all(train_bpe(c, 6, s, logs[0].prefix(2)) == logs[0] for s in STRATEGIES)
+
+
+def test_reallocation_above_the_compact_limit(spark, chunks, monkeypatch):
+    want = reallocate(chunks, train_bpe(chunks, 2, "compact"), 262, "0.40")[0]
+    monkeypatch.setattr(train, "COMPACT", 0)
+    assert reallocate(chunks, train_bpe(chunks, 2), 262, "0.40")[0] == want
+
+
+def test_advance_is_all_merges_in_order(spark, trained):
+    c, log = trained
+    few = log.prefix(40)
+    assert advance(c, list(few.merges)).exceptAll(merged(c, few)).isEmpty()
 
 
 @pytest.fixture(scope="module")
