@@ -11,8 +11,10 @@ from slotweave.llm._store import Scratch
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a language that the labelled ones show; those without a letter and those far from every language go."""
-    found = langid.identify(docs.withColumn("__body", F.col("text")), text_col="__body", keep=docs.columns)
-    return found.filter("accepted").select(*docs.columns)
+    own = {c: f"c{i}" for i, c in enumerate(docs.columns)}  # so that no column clashes with the operator's
+    tagged = docs.toDF(*own.values())
+    found = langid.identify(tagged, id_col=own["doc_id"], text_col=own["text"], lang_col=own["lang"], keep=tagged.columns)
+    return found.filter("accepted").select(*tagged.columns).toDF(*docs.columns)
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

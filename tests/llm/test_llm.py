@@ -316,6 +316,25 @@ def test_pipeline(spark, sf, docs):
     assert p.run(spark, sf).select("doc_id").distinct().count() <= c.count()
 
 
+CLASHES = "id n h k key bits slot hash accepted score lang_pred cross_entropy component_id class_id kept root sketch keys keep_id size shard law start length sequence_id offset n_tokens n_known base_score held_out n_replaced query_id rank".split()
+
+
+def test_clashing_columns(spark, awkward, none):
+    import corpus_pipeline as p
+
+    for small in (awkward, none):
+        df = small.select("doc_id", "text", "lang", F.lit("s").alias("source"), F.length("text").alias("n_chars"), *[F.lit("own").alias(c) for c in CLASHES])
+        rows = df.count()
+        piece, ranks = (bytebpe.vocabulary_path(f) for f in ("piece_bpe_32k.model", "byte_bpe_multi_50k.tiktoken"))
+        assert minhash.near_duplicates(df).count() == exact_dedup.exact_groups(df).count() == sharding.assign_shards(df.dropDuplicates(["doc_id"])).count() + (rows > 0) == rows
+        assert token_counts.token_counts(df, piece).count() == bytebpe.digests(df, ranks).count() == langid.identify(df).count() == lm.score_documents(df, F.lit(False)).count() == rows
+        assert pii.pseudonymise(df).columns[: len(df.columns)] == df.columns
+        for name, stage in p.STAGES:
+            out = stage(spark, df, "")
+            assert out.count() <= rows or name == "packing"
+            assert name == "packing" or (out.columns == df.columns and out.filter("accepted != 'own' or root != 'own'").isEmpty())
+
+
 def _groups(df):
     out = collections.defaultdict(list)
     for r in df.collect():
