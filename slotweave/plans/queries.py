@@ -18,8 +18,9 @@ from slotweave.operators.visibility import InsufficientCandidates, export_standa
 from slotweave.plans import workloads
 from slotweave.streaming import streams
 
-#: Merges of the small training whose every step SQL repeats, and the visible size of its exports.
-SMALL, VISIBLE = 24, 256 + 4 + 16
+#: Merges of the small training whose every step SQL repeats; learned slots of its exports, with which some tokens do turn internal; their visible size.
+SMALL, SLOTS = 24, 64
+VISIBLE = 256 + 4 + SLOTS
 
 _Q: dict = {}
 _O: dict = {}
@@ -214,18 +215,18 @@ def absorbed_share(spark, sf):
     return absorption(small(spark, sf)[1], spark)
 
 
-@query(train_sql(SMALL) + ' SELECT ratio, CAST(ceil(CAST(ratio AS DECIMAL(3,2)) * freq) AS BIGINT) AS tau FROM log, (VALUES (\'0.2\'), (\'0.3\'), (\'0.4\')) r(ratio) WHERE "rank" = 15')
+@query(train_sql(SLOTS) + f" SELECT ratio, CAST(ceil(CAST(ratio AS DECIMAL(3,2)) * freq) AS BIGINT) AS tau FROM log, (VALUES ('0.2'), ('0.3'), ('0.4')) r(ratio) WHERE \"rank\" = {SLOTS - 1}")
 def tau_ratio(spark, sf):
-    log = small(spark, sf)[1]
-    return spark.createDataFrame([(r, tau_from_ratio(log, 16, r)) for r in workloads.RATIOS], "ratio string, tau long")
+    log = small(spark, sf, SLOTS)[1]
+    return spark.createDataFrame([(r, tau_from_ratio(log, SLOTS, r)) for r in workloads.RATIOS], "ratio string, tau long")
 
 
-#: With one merge per resumed step the trained prefix is the least m whose own exposures leave 16 eligible.
-VISIBLE_SQL = train_sql(SMALL * 4) + """, tau AS (SELECT ceil(CAST('0.8' AS DECIMAL(3,2)) * freq) AS tau FROM log WHERE "rank" = 15),
-    em AS (SELECT m.m, log.token, coalesce(ex.exposure, 0) >= tau AS eligible, coalesce(ex.exposure, 0) AS exposure FROM (SELECT unnest(range(16, 97)) AS m) m JOIN log ON log."rank" < m.m CROSS JOIN tau LEFT JOIN ex ON ex.step = m.m AND ex.token = log.token),
-    best AS (SELECT min(m) AS m FROM (SELECT m FROM em WHERE eligible GROUP BY m HAVING count(*) >= 16)),
+#: With one merge per resumed step the trained prefix is the least m whose own exposures leave enough eligible.
+VISIBLE_SQL = train_sql(SMALL * 4) + f""", tau AS (SELECT ceil(CAST('0.8' AS DECIMAL(3,2)) * freq) AS tau FROM log WHERE "rank" = {SLOTS - 1}),
+    em AS (SELECT m.m, log.token, coalesce(ex.exposure, 0) >= tau AS eligible, coalesce(ex.exposure, 0) AS exposure FROM (SELECT unnest(range({SLOTS}, 97)) AS m) m JOIN log ON log."rank" < m.m CROSS JOIN tau LEFT JOIN ex ON ex.step = m.m AND ex.token = log.token),
+    best AS (SELECT min(m) AS m FROM (SELECT m FROM em WHERE eligible GROUP BY m HAVING count(*) >= {SLOTS})),
     scan AS (SELECT token, eligible, exposure, sum(CASE WHEN eligible THEN 1 ELSE 0 END) OVER (ORDER BY token ROWS UNBOUNDED PRECEDING) AS run FROM em JOIN best USING (m)),
-    cut AS (SELECT token, eligible, exposure FROM scan WHERE run < 16 OR (run = 16 AND eligible))"""
+    cut AS (SELECT token, eligible, exposure FROM scan WHERE run < {SLOTS} OR (run = {SLOTS} AND eligible))"""
 
 
 @query(VISIBLE_SQL + " SELECT token, eligible AS visible, exposure FROM cut")
@@ -235,17 +236,17 @@ def visible_select(spark, sf):
     return tok.frame(spark).filter("kind in ('learned', 'internal')").select("token", "visible", "exposure")
 
 
-@query(VISIBLE_SQL + """ SELECT token, CAST(CASE WHEN eligible THEN 255 + row_number() OVER (PARTITION BY eligible ORDER BY token) ELSE 275 + row_number() OVER (PARTITION BY eligible ORDER BY token) END AS INT) AS export_id FROM cut""")
+@query(VISIBLE_SQL + f""" SELECT token, CAST(CASE WHEN eligible THEN 255 + row_number() OVER (PARTITION BY eligible ORDER BY token) ELSE {VISIBLE - 1} + row_number() OVER (PARTITION BY eligible ORDER BY token) END AS INT) AS export_id FROM cut""")
 def visible_export_ids(spark, sf):
     chunks, log = small(spark, sf)
     tok, _ = reallocate(chunks, log, VISIBLE, "0.8")
     return tok.frame(spark).filter("kind in ('learned', 'internal')").select("token", "export_id")
 
 
-@query(train_sql(16) + ", tau AS (SELECT ceil(CAST('0.8' AS DECIMAL(3,2)) * freq) AS tau FROM log WHERE \"rank\" = 15) SELECT log.token, coalesce(exposure, 0) >= tau AS visible FROM log CROSS JOIN tau LEFT JOIN ex ON ex.token = log.token AND step = 16")
+@query(train_sql(SLOTS) + f", tau AS (SELECT ceil(CAST('0.8' AS DECIMAL(3,2)) * freq) AS tau FROM log WHERE \"rank\" = {SLOTS - 1}) SELECT log.token, coalesce(exposure, 0) >= tau AS visible FROM log CROSS JOIN tau LEFT JOIN ex ON ex.token = log.token AND step = {SLOTS}")
 def pruned(spark, sf):
-    log = small(spark, sf, 16)[1]
-    return prune_only(log, tau_from_ratio(log, 16, "0.8"), VISIBLE).frame(spark).filter("kind in ('learned', 'internal')").select("token", "visible")
+    log = small(spark, sf, SLOTS)[1]
+    return prune_only(log, tau_from_ratio(log, SLOTS, "0.8"), VISIBLE).frame(spark).filter("kind in ('learned', 'internal')").select("token", "visible")
 
 
 @query()
@@ -268,13 +269,13 @@ def vp(spark, sf):
     return chunks, tok, log
 
 
-@query(train_sql(16) + " SELECT CAST(sum(n * length(sym)) AS BIGINT) AS tokens FROM r WHERE step = 16")
+@query(train_sql(SLOTS) + f" SELECT CAST(sum(n * length(sym)) AS BIGINT) AS tokens FROM r WHERE step = {SLOTS}")
 def encode_length(spark, sf):
-    chunks, log = small(spark, sf, 16)
+    chunks, log = small(spark, sf, SLOTS)
     return spark.createDataFrame([(encoded_length(chunks, export_standard(log, VISIBLE)),)], "tokens long")
 
 
-_Q["length_closed_form"] = lambda spark, sf: spark.createDataFrame([(length_from_log(small(spark, sf, 16)[1]),)], "tokens long")
+_Q["length_closed_form"] = lambda spark, sf: spark.createDataFrame([(length_from_log(small(spark, sf, SLOTS)[1]),)], "tokens long")
 _O["length_closed_form"] = _O["encode_length"]
 
 
@@ -288,6 +289,39 @@ def encode_vp_agrees(spark, sf):
     return spark.createDataFrame([(texts == shared == native == encoded_length(chunks, tok) == vp_length_from_log(tok, log),)], "equal boolean")
 
 
+#: After each merge: the bytes that every token spells, how many visible tokens it becomes, and their ids.
+STATE_SQL = VISIBLE_SQL + """, named AS (SELECT token, eligible, CASE WHEN eligible THEN 255 + row_number() OVER (PARTITION BY eligible ORDER BY token) END AS export_id FROM cut),
+    state AS (SELECT 0 AS step, list_transform(range(256), lambda i: chr(CAST(i AS INT))) AS l, list_transform(range(256), lambda i: [i]) AS e UNION ALL
+        SELECT step + 1, list_append(l, l["left" + 1] || l["right" + 1]), list_append(e, CASE WHEN coalesce(eligible, TRUE) THEN [CAST(export_id AS BIGINT)] ELSE list_concat(e["left" + 1], e["right" + 1]) END)
+        FROM state JOIN log ON "rank" = step LEFT JOIN named ON named.token = log.token WHERE step < 96),
+    last AS (SELECT l, e, step AS k FROM state WHERE step = (SELECT count(*) FROM cut))"""
+
+ITEMS_SQL = f"""occ AS (SELECT item_id, unnest(c) AS chunk, unnest(range(1, len(c) + 1)) AS pos FROM (SELECT item_id, regexp_extract_all(text, '{PATTERN}') AS c FROM benchmark)),
+    {SYMBOLS.replace('s0 AS', 'sc AS').replace('AS sym, n FROM ch', 'AS sym, chunk FROM ch')},
+    enc AS (SELECT 0 AS step, chunk, sym FROM sc UNION ALL SELECT step + 1, chunk, replace(sym, chr("left") || chr("right"), chr(token)) FROM enc JOIN log ON "rank" = step WHERE step < 96)"""
+
+
+def _ids(spark, sf, tok):
+    return encode(t(spark, sf, "benchmark"), tok, id_col="item_id").select("item_id", F.array_join(F.transform("ids", lambda i: i.cast("string")), " ").alias("ids"))
+
+
+@query(train_sql(96) + f""", {ITEMS_SQL} SELECT item_id, string_agg(array_to_string(list_transform(string_split(sym, ''), lambda c: unicode(c)), ' '), ' ' ORDER BY pos) AS ids FROM occ JOIN enc USING (chunk) WHERE step = {SLOTS} GROUP BY item_id""")
+def encode_std(spark, sf):
+    return _ids(spark, sf, export_standard(small(spark, sf, SLOTS)[1], VISIBLE))
+
+
+@query(STATE_SQL + f""", {ITEMS_SQL} SELECT item_id, string_agg(array_to_string(flatten(list_transform(string_split(sym, ''), lambda c: e[unicode(c) + 1])), ' '), ' ' ORDER BY pos) AS ids FROM occ JOIN enc USING (chunk) JOIN last ON step = k GROUP BY item_id""")
+def encode_vp(spark, sf):
+    return _ids(spark, sf, vp(spark, sf)[1])
+
+
+@query(STATE_SQL + """ SELECT CAST(i AS INT) AS token, array_to_string(e[i + 1], ' ') AS becomes FROM last, LATERAL (SELECT unnest(range(0, 256 + k)) AS i)""")
+def expand_map(spark, sf):
+    tok = vp(spark, sf)[1]
+    ids = tok.export_ids()
+    return spark.createDataFrame([(i, " ".join(str(ids[x]) for x in e)) for i, e in enumerate(tok.expansions())], "token int, becomes string")
+
+
 @query("SELECT item_id, text FROM benchmark")
 def decode_roundtrip(spark, sf):
     _, tok, _ = vp(spark, sf)
@@ -310,7 +344,13 @@ def min_tokens_agree(spark, sf):
     return spark.createDataFrame([(a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty(),)], "equal boolean")
 
 
-@query()
+@query(STATE_SQL + f""", words AS (SELECT 'standard' AS method, l[257:{256 + SLOTS}] AS w FROM last UNION ALL SELECT 'reallocated', (SELECT list(l[token + 1]) FROM cut, last WHERE eligible)),
+    dp AS (SELECT method, sym, n, length(sym) AS i, [CAST(0 AS BIGINT)] AS costs, w FROM s0, words UNION ALL
+        SELECT method, sym, n, i - 1, list_prepend(1 + list_min(list_prepend(costs[1], list_transform(list_filter(w, lambda x: starts_with(substr(sym, i), x)), lambda x: costs[length(x)]))), costs), w FROM dp WHERE i > 0),
+    low AS (SELECT method, CAST(sum(n * costs[1]) AS BIGINT) AS minimum FROM dp WHERE i = 0 GROUP BY method),
+    native AS (SELECT 'standard' AS method, CAST(sum(n * length(sym)) AS BIGINT) AS native FROM r WHERE step = {SLOTS} UNION ALL
+        SELECT 'reallocated', CAST(sum(exposure * len(e[token + 1])) AS BIGINT) FROM ex JOIN last ON step = k)
+    SELECT method, native, minimum FROM native JOIN low USING (method)""")
 def min_versus_native(spark, sf):
     chunks, tok, log = vp(spark, sf)
     std = export_standard(log, VISIBLE)
@@ -318,6 +358,28 @@ def min_versus_native(spark, sf):
     return spark.createDataFrame(rows, "method string, native long, minimum long")
 
 
+@query(STATE_SQL + f""", spent AS (SELECT CAST(coalesce(sum(exposure * (len(e[token + 1]) - 1)), 0) AS BIGINT) AS cost FROM ex JOIN last ON step = k),
+    size AS (SELECT a.total AS standard, CAST(a.total - b.total AS BIGINT) AS gain, k FROM last JOIN len b ON b.step = k JOIN len a ON a.step = {SLOTS})
+    SELECT CAST(k AS BIGINT) AS merges, CAST(k - {SLOTS} AS BIGINT) AS internal, round(100.0 * (k - {SLOTS}) / {SLOTS}, 2) AS share, gain AS candidate_gain, cost AS expansion_cost, gain - cost AS net, round(100.0 * CAST(gain - cost AS DOUBLE) / CAST(standard AS DOUBLE), 2) AS delta FROM size, spent""")
+def decompose_delta(spark, sf):
+    """The trade-off of the small reallocation: what later candidates gain, what expanding internal tokens costs."""
+    _, tok, log = vp(spark, sf)
+    std = export_standard(log, VISIBLE)
+    gain, cost, net = ms.decompose(tok, std, log)
+    row = (len(tok.log), len(tok.internal), len(tok.internal), SLOTS, gain, cost, net, length_from_log(std.log))
+    df = spark.createDataFrame([row], "merges long, internal long, i long, slots long, candidate_gain long, expansion_cost long, net long, standard long")
+    return df.select("merges", "internal", ms.percent(F.col("i"), F.col("slots")).alias("share"), "candidate_gain", "expansion_cost", "net", ms.percent(F.col("net"), F.col("standard")).alias("delta"))
+
+
+@query(STATE_SQL + """, edge AS (SELECT "left" AS child, token AS parent FROM log, last WHERE "rank" < k UNION SELECT "right", token FROM log, last WHERE "rank" < k),
+    up AS (SELECT child, parent FROM edge UNION SELECT up.child, edge.parent FROM up JOIN edge ON edge.child = up.parent),
+    seen AS (SELECT token FROM cut WHERE eligible)
+    SELECT token, (SELECT count(*) FROM edge WHERE child = token AND parent IN (FROM seen)) AS visible_parents, (SELECT count(*) FROM up WHERE child = token AND parent IN (FROM seen)) AS visible_ancestors FROM cut WHERE NOT eligible""")
+def internal_support(spark, sf):
+    """How many visible tokens are made of each internal one, at once and in the end."""
+    return spark.createDataFrame(ms.support(vp(spark, sf)[1]), "token int, visible_parents long, visible_ancestors long")
+
+
 @query()
 def support_orphans(spark, sf):
     s = workloads.study(spark, sf)
