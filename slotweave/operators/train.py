@@ -114,11 +114,16 @@ def _cut(chunks: DataFrame) -> DataFrame:
 def merge_word(word: list[int], ranks: dict[tuple[int, int], int]) -> list[int]:
     """All merges in rank order; the lowest pair present is always next, for a merge only makes pairs of later rank."""
     while len(word) > 1:
-        best = min((ranks.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)))
+        found = [ranks.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)]
+        best = min(found)
         if best == 1 << 40:
             break
-        a, b = next(p for p in zip(word, word[1:], strict=False) if ranks.get(p) == best)
-        word = _replaced(word, a, b, best)
+        out, i = [], 0
+        while i < len(word):
+            here = i < len(found) and found[i] == best
+            out.append(best if here else word[i])
+            i += 1 + here
+        word = out
     return word
 
 
