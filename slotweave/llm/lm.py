@@ -30,7 +30,7 @@ from ._store import Scratch
 WORDS, CLASSES, HEAD = 767, 256, 150_000
 K = WORDS + 1 + CLASSES  # the end stands between words and classes
 END, START = WORDS, WORDS  # the end of one text is the start of the next
-DIM, BATCH, STEPS, NOISE = 24, 4096, 600, 12
+DIM, STEPS, RATE, NOISE, PRIOR = 48, 300, 0.05, 12, 100
 FLUSH = 200_000
 
 
@@ -60,54 +60,41 @@ def _count_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def train(pairs: np.ndarray, seed: int = 7) -> np.ndarray:
-    """Natural-log probabilities [previous, next] from counts of pairs, by noise-contrastive estimation."""
+    """Natural-log probabilities [previous, next] from counts of pairs, by noise-contrastive estimation.
+
+    The counts say how often each pair is real and how often noise would make it, so each step takes the expectation over
+    all pairs and all noise, by matrix products, instead of a sample. A Gaussian prior holds vectors at zero, and with them
+    a symbol at its unigram share, where few texts were seen.
+    """
     n = pairs.shape[0]
     total = pairs.sum()
     unigram = (pairs.sum(axis=0) + 0.5) / (total + 0.5 * n)
-    bias = np.log(unigram)
     if total == 0:
-        return np.tile(bias, (n, 1))
+        return np.tile(np.log(unigram), (n, 1))
     rng = np.random.default_rng(seed)
-    target = rng.normal(0, 0.1, (n, DIM)).astype(np.float32)
-    context = rng.normal(0, 0.1, (n, DIM)).astype(np.float32)
-    bilinear = np.eye(DIM, dtype=np.float32)
-    cells = np.flatnonzero(pairs)
-    reach = np.cumsum(pairs.ravel()[cells]) / total
-    noise_reach = np.cumsum(unigram)
-    noise_reach /= noise_reach[-1]
-    log_noise = np.log(unigram) + np.log(NOISE)
-    squares = [np.full_like(x, 1e-6, dtype=np.float32) for x in (target, context, bilinear)] + [np.full(n, 1e-6)]
-    rate = 0.15
-
-    def adjust(x: np.ndarray, s: np.ndarray, g: np.ndarray) -> None:
-        s += g * g
-        x -= rate * g / np.sqrt(s)
-
-    for _ in range(STEPS):
-        drawn = cells[np.searchsorted(reach, rng.random(BATCH) * (1 - 1e-12))]
-        prev, real = drawn // n, drawn % n
-        # noise shared by the batch: one matrix product scores all of it
-        fake = np.searchsorted(noise_reach, rng.random(256) * (1 - 1e-12))
-        q = context[prev]
-        predicted = q @ bilinear
-        up = (predicted * target[real]).sum(axis=1) + bias[real]
-        down = predicted @ target[fake].T + bias[fake]
-        g_up = -1 / (1 + np.exp(np.clip(up - log_noise[real], -30, 30)))
-        g_down = (NOISE / len(fake)) / (1 + np.exp(-np.clip(down - log_noise[fake], -30, 30)))
-        g_up, g_down = (g_up / BATCH).astype(np.float32), (g_down / BATCH).astype(np.float32)
-        g_pred = g_up[:, None] * target[real] + g_down @ target[fake]
-        g_target, g_context, g_bias = np.zeros_like(target), np.zeros_like(context), np.zeros(n)
-        np.add.at(g_target, real, g_up[:, None] * predicted)
-        np.add.at(g_target, fake, g_down.T @ predicted)
-        np.add.at(g_context, prev, g_pred @ bilinear.T)
-        np.add.at(g_bias, real, g_up)
-        np.add.at(g_bias, fake, g_down.sum(axis=0))
-        g_bilinear = q.T @ g_pred
-        for x, s, g in zip((target, context, bilinear, bias), squares, (g_target, g_context, g_bilinear, g_bias), strict=True):
-            adjust(x, s, g * BATCH)
+    start = np.log(unigram).astype(np.float32)
+    target, context = (rng.normal(0, 0.1, (n, DIM)).astype(np.float32) for _ in range(2))
+    bilinear, bias = np.eye(DIM, dtype=np.float32), start.copy()
+    real = (pairs / total).astype(np.float32)
+    noise = (NOISE * pairs.sum(axis=1, keepdims=True) * unigram / total).astype(np.float32)
+    log_noise = np.log(NOISE * unigram).astype(np.float32)
+    prior = np.float32(PRIOR / total)
+    values = (target, context, bilinear, bias)
+    means, squares = [np.zeros_like(x) for x in values], [np.zeros_like(x) for x in values]
+    for i in range(STEPS):
+        predicted = context @ bilinear
+        is_real = 1 / (1 + np.exp(np.clip(log_noise - bias - predicted @ target.T, -30, 30)))
+        g = is_real * (real + noise) - real
+        g_predicted = g @ target
+        slopes = (g.T @ predicted + prior * target, g_predicted @ bilinear.T + prior * context, context.T @ g_predicted, g.sum(axis=0) + prior * (bias - start))
+        rate = RATE * (1 - i / STEPS)
+        for x, mean, square, slope in zip(values, means, squares, slopes, strict=True):
+            mean += 0.1 * (slope - mean)
+            square += 0.01 * (slope * slope - square)
+            x -= rate * (mean / (1 - 0.9 ** (i + 1))) / (np.sqrt(square / (1 - 0.99 ** (i + 1))) + 1e-10)
     out = np.empty((n, n))
     for at in range(0, n, 256):
-        score = (context[at : at + 256] @ bilinear @ target.T).astype(np.float64) + bias
+        score = (context[at : at + 256] @ bilinear @ target.T + bias).astype(np.float64)
         top = score.max(axis=1, keepdims=True)
         out[at : at + 256] = score - top - np.log(np.exp(score - top).sum(axis=1, keepdims=True))
     return out
