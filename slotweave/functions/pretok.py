@@ -37,7 +37,7 @@ def grammar(latin: str) -> str:
 
 
 JAVA = grammar(r"\p{IsLatin}")
-RE2 = grammar(r"\p{Latin}")
+RE2 = PYTHON = grammar(r"\p{Latin}")
 
 
 def pretokenize(text: Column) -> Column:

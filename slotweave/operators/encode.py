@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import replace
 
@@ -113,25 +114,13 @@ def replay(log: MergeLog, chunks: DataFrame) -> MergeLog:
     ranks = {(m.left, m.right): m.token for m in log.merges}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        made: dict[int, int] = {}
+        made: Counter[int] = Counter()
         for batch in batches:
             for s, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                word = [ord(c) for c in s]
-                while len(word) > 1:
-                    best = min((ranks.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)))
-                    if best == 1 << 40:
-                        break
-                    m = log.merges[best - 256]
-                    out, i = [], 0
-                    while i < len(word):
-                        if i + 1 < len(word) and word[i] == m.left and word[i + 1] == m.right:
-                            out.append(best)
-                            i += 2
-                        else:
-                            out.append(word[i])
-                            i += 1
-                    made[best - 256] = made.get(best - 256, 0) + n * (len(word) - len(out))
-                    word = out
+                own: Counter[int] = Counter()
+                merge_word([ord(c) for c in s], ranks, own)
+                for token, times in own.items():
+                    made[token - 256] += n * times
         yield pa.RecordBatch.from_arrays([pa.array(list(made), pa.int64()), pa.array(list(made.values()), pa.int64())], names=["rank", "repl"])
 
     got = {r["rank"]: r["repl"] for r in chunks.select("sym", F.col("n").cast("long")).mapInArrow(run, "rank long, repl long").groupBy("rank").agg(F.sum("repl").alias("repl")).collect()}

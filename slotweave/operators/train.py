@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import heapq
 import tempfile
-from collections import defaultdict
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -28,6 +28,8 @@ from slotweave.functions.symbols import symbol, to_symbols, token_of
 COMPACT, COMPACT_SYMBOLS = 2_000_000, 64_000_000
 #: Merges after which the strategies of many passes cut the lineage.
 CUT_EVERY = 8
+#: Symbols of a chunk above which its merges go through a heap.
+LONG = 100
 LOG_SCHEMA = "rank int, left int, right int, token int, freq long, repl long, bytes binary, n_bytes int"
 
 
@@ -111,8 +113,10 @@ def _cut(chunks: DataFrame) -> DataFrame:
     return chunks.checkpoint()
 
 
-def merge_word(word: list[int], ranks: dict[tuple[int, int], int]) -> list[int]:
-    """All merges in rank order; the lowest pair present is always next, for a merge only makes pairs of later rank."""
+def merge_word(word: list[int], ranks: dict[tuple[int, int], int], made: Counter | None = None) -> list[int]:
+    """All merges in rank order; the lowest pair present is always next, for a merge only makes pairs of later rank. Counts them in made."""
+    if len(word) > LONG:
+        return _merge_long(list(word), ranks, made)
     while len(word) > 1:
         found = [ranks.get(p, 1 << 40) for p in zip(word, word[1:], strict=False)]
         best = min(found)
@@ -123,10 +127,35 @@ def merge_word(word: list[int], ranks: dict[tuple[int, int], int]) -> list[int]:
             here = i < len(found) and found[i] == best
             out.append(best if here else word[i])
             i += 1 + here
+        if made is not None:
+            made[best] += len(word) - len(out)
         word = out
     return word
 
 
+def _merge_long(word: list, ranks: dict[tuple[int, int], int], made: Counter | None) -> list[int]:
+    """The same in n log n steps: a heap of (token, place) over a linked list of the symbols left."""
+    n = len(word)
+    after, before = list(range(1, n + 1)), list(range(-1, n - 1))
+    heap = [(t, i) for i, p in enumerate(zip(word, word[1:], strict=False)) if (t := ranks.get(p))]
+    heapq.heapify(heap)
+    while heap:
+        token, i = heapq.heappop(heap)
+        j = after[i]
+        if word[i] is None or j >= n or ranks.get((word[i], word[j])) != token:
+            continue
+        word[i], word[j], after[i] = token, None, after[j]
+        if made is not None:
+            made[token] += 1
+        if after[i] < n:
+            before[after[i]] = i
+            if t := ranks.get((token, word[after[i]])):
+                heapq.heappush(heap, (t, i))
+        if before[i] >= 0 and (t := ranks.get((word[before[i]], token))):
+            heapq.heappush(heap, (t, before[i]))
+    return [w for w in word if w is not None]
+
+
 def advance(chunks: DataFrame, done: list[Merge]) -> DataFrame:
     """The chunks after the merges of a log, in one pass whatever their number."""
     if not done:

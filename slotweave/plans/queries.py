@@ -393,6 +393,64 @@ def slot_moves(spark, sf):
     return ms.slot_moves(s.tokenizer("AB", s.budgets[0]), s.tokenizer("AB", s.budgets[0], "0.4"), spark)
 
 
+@query(STATE_SQL + f""" SELECT token, move, array_to_string(list_transform(string_split(l[token + 1], ''), lambda c: printf('%02x', unicode(c))), '') AS bytes
+    FROM (SELECT token, CASE WHEN token < {256 + SLOTS} AND NOT eligible THEN 'lost' WHEN token >= {256 + SLOTS} AND eligible THEN 'gained' END AS move FROM cut), last WHERE move IS NOT NULL""")
+def small_slot_moves(spark, sf):
+    _, tok, log = vp(spark, sf)
+    return ms.slot_moves(export_standard(log, VISIBLE), tok, spark)
+
+
+@query(train_sql(SLOTS) + f""", sizes AS (SELECT CAST(step AS INT) AS merges, CAST(total AS BIGINT) AS tokens, lead(total) OVER (ORDER BY step) AS after, (SELECT total FROM len WHERE step = 0) AS bytes FROM len WHERE step IN (16, 32, 48, {SLOTS}))
+    SELECT merges, tokens, round(CAST(bytes AS DOUBLE) / tokens, 4) AS bytes_per_token, round(100.0 * CAST(tokens - after AS DOUBLE) / tokens, 2) AS reduction FROM sizes""")
+def small_marginal_curve(spark, sf):
+    """What the next larger standard vocabulary saves, and bytes per token: lengths of every size from one log."""
+    log = small(spark, sf, SLOTS)[1]
+    rows = [("X", "X", m, "0", "native", length_from_log(log, m), 0) for m in (16, 32, 48, SLOTS)]
+    df = spark.createDataFrame(rows, ms.LENGTHS)
+    saved = ms.marginal_reduction(df).select("n_visible", "reduction")
+    return df.join(saved, "n_visible", "left").select(F.col("n_visible").alias("merges"), "tokens", F.round(F.lit(float(sum(log.byte_counts))) / F.col("tokens"), 4).alias("bytes_per_token"), "reduction")
+
+
+THRESHOLDS = ["0.6", "0.7", "0.8"]
+THRESHOLD_SQL = train_sql(SMALL * 4) + f""", tau AS (SELECT ratio, ceil(CAST(ratio AS DECIMAL(3,2)) * freq) AS tau FROM log, (SELECT unnest({THRESHOLDS}) AS ratio) WHERE "rank" = {SLOTS - 1}),
+    em AS (SELECT ratio, m.m, log.token, coalesce(ex.exposure, 0) >= tau AS eligible FROM (SELECT unnest(range({SLOTS}, 97)) AS m) m JOIN log ON log."rank" < m.m CROSS JOIN tau LEFT JOIN ex ON ex.step = m.m AND ex.token = log.token),
+    best AS (SELECT ratio, min(m) AS m FROM (SELECT ratio, m FROM em WHERE eligible GROUP BY ratio, m HAVING count(*) >= {SLOTS}) GROUP BY ratio),
+    cut AS (SELECT ratio, token, eligible FROM em JOIN best USING (ratio, m)),
+    fan AS (SELECT ratio, 0 AS step, list_transform(range(256), lambda i: CAST(1 AS BIGINT)) AS f FROM tau UNION ALL
+        SELECT fan.ratio, step + 1, list_append(f, CASE WHEN coalesce(eligible, TRUE) THEN 1 ELSE f["left" + 1] + f["right" + 1] END)
+        FROM fan JOIN log ON "rank" = step LEFT JOIN cut ON cut.ratio = fan.ratio AND cut.token = log.token WHERE step < 96)"""
+
+
+@query(THRESHOLD_SQL + f""", size AS (SELECT best.ratio, m, CAST(sum(exposure * f[token + 1]) AS BIGINT) AS tokens FROM best JOIN fan ON fan.ratio = best.ratio AND step = m JOIN ex ON ex.step = m GROUP BY ALL)
+    SELECT ratio, CAST(tau AS BIGINT) AS tau, CAST(m - {SLOTS} AS INT) AS internal, round(100.0 * (m - {SLOTS}) / {SLOTS}, 2) AS share, tokens, round(100.0 * CAST(total - tokens AS DOUBLE) / total, 4) AS delta
+    FROM size JOIN tau USING (ratio) JOIN len ON len.step = {SLOTS}""")
+def small_thresholds(spark, sf):
+    """Internal tokens, their share, the length and what it saves, at three thresholds on one corpus."""
+    chunks, log = small(spark, sf)
+    rows, taus = [], []
+    for r in THRESHOLDS:
+        tok, log = reallocate(chunks, log, VISIBLE, r)
+        rows.append(("X", "X", VISIBLE, r, "native", vp_length_from_log(tok, log), len(tok.internal)))
+        taus.append((r, tok.tau))
+    rows.append(("X", "X", VISIBLE, "0", "native", length_from_log(log, SLOTS), 0))
+    df = spark.createDataFrame(rows, ms.LENGTHS)
+    out = ms.reduction(df).select("ratio", F.col("len_vp").alias("tokens"), "delta").join(ms.internal_share(df).select("ratio", "internal", "share"), "ratio")
+    return out.join(spark.createDataFrame(taus, "ratio string, tau long"), "ratio")
+
+
+@query(THRESHOLD_SQL + """ SELECT a.ratio AS low, b.ratio AS high, count(*) FILTER (WHERE a.token NOT IN (SELECT token FROM cut c WHERE c.ratio = b.ratio AND NOT c.eligible)) AS violations
+    FROM cut a JOIN best b ON b.ratio > a.ratio WHERE NOT a.eligible GROUP BY ALL""")
+def small_nesting(spark, sf):
+    """Tokens internal at a lower threshold and not at a higher one."""
+    chunks, log = small(spark, sf)
+    toks = []
+    for r in THRESHOLDS:
+        tok, log = reallocate(chunks, log, VISIBLE, r)
+        toks.append((r, tok))
+    rows = [(a, b, len(ms.nesting_violations(x, y))) for i, (a, x) in enumerate(toks) for b, y in toks[i + 1 :] if x.internal]
+    return spark.createDataFrame(rows, "low string, high string, violations long")
+
+
 for _w in workloads.WORKLOADS:
     _Q[_w.__name__] = _w
 
@@ -472,6 +530,12 @@ op("st_join", "SELECT event_id, c_mktsegment FROM events JOIN customer ON user_i
 op("st_sliding", "SELECT time_bucket(INTERVAL 15 MINUTE, ts) - i * INTERVAL 15 MINUTE AS start, event_type, count(*) AS n FROM events, (SELECT unnest(range(0, 4)) AS i) GROUP BY ALL", lambda s, d: streams.run_to_end(streams.tumbling(streams.table_stream(s, d, "events"), "1 hour", "15 minutes"), "complete"))
 
 
+op("st_sessions", """SELECT min(ts) AS start, user_id, count(*) AS n FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s
+    FROM (SELECT user_id, ts, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s""", lambda s, d: streams.run_to_end(streams.sessions(streams.table_stream(s, d, "events")), "complete"))
+op("st_stream_pairs", "SELECT a.event_id AS click_id, b.event_id AS purchase_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR", lambda s, d: streams.run_to_end(streams.stream_pairs(streams.table_stream(s, d, "events"), streams.table_stream(s, d, "events"))))
+op("st_exposure", STATE_SQL + f""", {ITEMS_SQL} SELECT CAST(id AS INT) AS id, count(*) AS n FROM (SELECT unnest(flatten(list_transform(string_split(sym, ''), lambda c: e[unicode(c) + 1]))) AS id FROM occ JOIN enc USING (chunk) JOIN last ON step = k) GROUP BY ALL""", lambda s, d: streams.run_to_end(streams.running_exposure(streams.table_stream(s, d, "benchmark"), vp(s, d)[1], "item_id"), "complete"))
+
+
 @query()
 def st_encode(spark, sf):
     s = workloads.study(spark, sf)

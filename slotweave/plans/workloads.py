@@ -225,4 +225,14 @@ def w_decomposition(spark, sf_dir):
     return spark.createDataFrame(rows, "train string, n_visible int, ratio string, candidate_gain long, expansion_cost long, net long, extra_merges int, overshoot int, gini double")
 
 
-WORKLOADS = [w02_budget_curve, w03_lengths, w04_internal_shares, w05_threshold_effect, w06_gain_beside_larger_vocabulary, w07_other_tables, w08_minimum_tokens, w09_minimum_below_native, w10_internal_tokens, w11_token_across_configurations, w12_prune_only, w13_domain_export, w_decomposition]
+def w15_chosen_ratio(spark, sf_dir):
+    """For each budget the ratio that encodes a table outside the training corpus in fewest tokens."""
+    s = study(spark, sf_dir)
+    for n in s.budgets:
+        for r in RATIOS:
+            s.tokenizer("AB", n, r)
+    rows = [(n, on, ms.choose_ratio(s.log("AB"), s.replayed("AB", on), n, RATIOS, lambda _, size, r: s.tokenizer("AB", size, r))) for on in ("pages", "conversations") for n in s.budgets]
+    return spark.createDataFrame(rows, "n_visible int, chosen_on string, ratio string")
+
+
+WORKLOADS = [w02_budget_curve, w03_lengths, w04_internal_shares, w05_threshold_effect, w06_gain_beside_larger_vocabulary, w07_other_tables, w08_minimum_tokens, w09_minimum_below_native, w10_internal_tokens, w11_token_across_configurations, w12_prune_only, w13_domain_export, w15_chosen_ratio, w_decomposition]

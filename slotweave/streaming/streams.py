@@ -6,8 +6,10 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 
 from slotweave.operators.encode import encode
+from slotweave.operators.exposure import exposures
 from slotweave.operators.visibility import Tokenizer
 
 
@@ -46,9 +48,41 @@ def with_customers(events: DataFrame, customers: DataFrame) -> DataFrame:
     return events.join(customers, events["user_id"] == customers["c_custkey"]).select("event_id", "c_mktsegment")
 
 
-def running_symbols(docs: DataFrame) -> DataFrame:
-    """Symbol counts that merge over micro-batches: exposure's drift."""
-    from slotweave.functions.pretok import pretokenize
+def stream_pairs(clicks: DataFrame, purchases: DataFrame, within: str = "1 hour") -> DataFrame:
+    """Two streams: each purchase with the clicks of its user in the time before. Both sides forget what is past the watermark."""
+    a = clicks.filter("event_type = 'click'").withWatermark("ts", "2 hours").select(F.col("event_id").alias("click_id"), F.col("user_id").alias("who"), F.col("ts").alias("clicked"))
+    b = purchases.filter("event_type = 'purchase'").withWatermark("ts", "2 hours").select(F.col("event_id").alias("purchase_id"), "user_id", "ts")
+    return a.join(b, F.expr(f"who = user_id AND ts > clicked AND ts <= clicked + INTERVAL {within}")).select("click_id", "purchase_id")
 
-    chunk = docs.select(F.explode(pretokenize(F.col("text"))).alias("chunk"))
-    return chunk.groupBy(F.char_length("chunk").alias("chars")).agg(F.count("*").alias("n"))
+
+def running_exposure(docs: DataFrame, tok: Tokenizer, id_col: str = "doc_id") -> DataFrame:
+    """How often each visible id has come so far: exposure is a sum, so the micro-batches' counts add up."""
+    return encode(docs, tok, id_col=id_col).select(F.explode("ids").alias("id")).groupBy("id").agg(F.count("*").alias("n"))
+
+
+def drift(running: DataFrame, tok: Tokenizer) -> DataFrame:
+    """id, its share of the arriving text, and its share of the training text."""
+    ids = tok.export_ids()
+    at_training = exposures(tok.log)
+    fans = tok.expansions()
+    weight = dict.fromkeys((ids[t] for t in tok.visible), 0)
+    for t, fan in enumerate(fans):
+        for v in fan:
+            weight[ids[v]] += at_training[t]
+    known = running.sparkSession.createDataFrame(list(weight.items()), "id int, trained long")
+    sums = running.agg(F.sum("n").alias("all"))
+    return known.join(running, "id", "left").crossJoin(F.broadcast(sums)).select("id", (F.coalesce("n", F.lit(0)) / F.col("all")).alias("share"), (F.col("trained") / max(1, sum(weight.values()))).alias("trained_share"))
+
+
+def encode_to_folder(docs: DataFrame, tok: Tokenizer, path: str, checkpoint: str) -> StreamingQuery:
+    """Ids of arriving texts, a folder for each micro-batch, which a repeated batch overwrites: a restart gives the same files."""
+
+    def put(batch: DataFrame, number: int) -> None:
+        encode(batch, tok).write.mode("overwrite").parquet(f"{path}/batch={number}")
+
+    return docs.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+def dropped_as_late(query: StreamingQuery) -> int:
+    """Rows that came after the watermark had passed them, over the progress that the query still holds."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])

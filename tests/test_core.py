@@ -1,6 +1,9 @@
 """The worked example, invariants and brute force for training, visibility, encoding and minimum tokens."""
 
+import collections
 import itertools
+import os
+import random
 
 import pytest
 from pyspark.sql import functions as F
@@ -171,6 +174,14 @@ def test_sql_names(spark, trained):
     register(spark, tok)
     row = spark.sql("SELECT size(tok_encode('hello')) AS a, tok_min_count('hello') AS b, tok_pretokenize('a  b') AS c").first()
     assert row.b <= row.a and row.c == ["a", "  ", "b"]
+    text = "déjà vu, a  b\r\n1949年6月24日"
+    assert [(r.pos, r.chunk) for r in spark.sql(f"SELECT * FROM tok_chunks('{text}')").collect()] == list(enumerate(spark.sql(f"SELECT tok_pretokenize('{text}') AS c").first().c))
+    assert spark.sql(f"SELECT tok_decode(tok_encode('{text}')) AS t").first().t == text
+    row = spark.sql("SELECT size(tok_min_segment('hello')) AS n, tok_min_count('hello') AS m").first()
+    assert row.n == row.m
+    seen = spark.sql("SELECT tok_exposure(c) AS e FROM VALUES ('hello'), ('hello'), (' the') v(c)").first().e
+    one = ChunkEncoder(tok)
+    assert seen == dict(collections.Counter(one("hello") * 2 + one(" the")))
     one = min(tok.internal) if tok.internal else 256
     assert [r.token for r in spark.sql(f"SELECT * FROM tok_expand({one})").collect()] == tok.expansions()[one]
 
@@ -181,3 +192,45 @@ def test_sessions_equal_batch(spark, sf):
     stream = streams.run_to_end(streams.sessions(streams.table_stream(spark, sf, "events")))
     batch = streams.sessions(spark.read.parquet(f"{sf}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")))
     assert stream.exceptAll(batch).isEmpty()
+
+
+def test_long_chunks_merge_as_short_ones(spark, trained, monkeypatch):
+    ranks = {(m.left, m.right): m.token for m in trained[1].merges}
+    rng = random.Random(5)
+    words = [[rng.choice(b"aetn o") for _ in range(rng.randrange(1, 90))] for _ in range(200)] + [[97] * 50, [97], []]
+    want = [(train.merge_word(w, ranks, c := collections.Counter()), c) for w in words]
+    monkeypatch.setattr(train, "LONG", 0)
+    assert [(train.merge_word(w, ranks, c := collections.Counter()), c) for w in words] == want
+
+
+def test_stream_of_ids(spark, trained, sf, tmp_path):
+    from slotweave.streaming import streams
+
+    tok, _ = reallocate(trained[0], trained[1], 320, "0.4")
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    for _ in range(2):  # the second start finds nothing new
+        q = streams.encode_to_folder(streams.table_stream(spark, sf, "documents"), tok, str(tmp_path / "ids"), str(tmp_path / "ck"))
+        q.awaitTermination()
+    got = spark.read.parquet(str(tmp_path / "ids")).select("doc_id", "ids")
+    want = encode(docs, tok)
+    assert got.count() == want.count() and got.exceptAll(want).isEmpty()
+    shares = streams.drift(streams.running_exposure(spark.read.parquet(f"{sf}/benchmark.parquet"), tok, "item_id"), tok).collect()
+    assert len(shares) == len(tok.visible) and all(abs(r.share - r.trained_share) < 1e-12 for r in shares)
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    from slotweave.streaming import streams
+
+    day = "2024-01-0{} 00:00:00"  # rows count as late against the watermark of the micro-batch before
+    for i, ts in enumerate((day.format(1), day.format(5), day.format(6), day.format(1), day.format(9))):
+        spark.createDataFrame([(ts, "x")], "ts string, event_type string").selectExpr("CAST(ts AS timestamp) AS ts", "event_type").coalesce(1).write.mode("append").parquet(str(tmp_path / f"in{i}"))
+        (tmp_path / "in").mkdir(exist_ok=True)
+        part = next((tmp_path / f"in{i}").glob("*.parquet"))
+        target = tmp_path / "in" / f"{i}.parquet"
+        part.rename(target)
+        os.utime(target, (1_700_000_000 + i, 1_700_000_000 + i))
+    stream = spark.readStream.schema("ts timestamp, event_type string").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    q = streams.tumbling(stream).writeStream.outputMode("append").format("memory").queryName("late").trigger(availableNow=True).start()
+    q.awaitTermination()
+    assert streams.dropped_as_late(q) == 1
+    assert spark.table("late").agg(F.sum("n")).first()[0] == 3  # the last day's window stays open
