@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from slotweave.functions.pretok import chunks_of
 from slotweave.functions.symbols import symbol, to_symbols, token_of
 
-COMPACT, COMPACT_SYMBOLS = 2_000_000, 64_000_000
+COMPACT, COMPACT_SYMBOLS = 2_000_000, 24_000_000
 #: Merges after which the strategies of many passes cut the lineage.
 CUT_EVERY = 8
 #: Symbols of a chunk above which its merges go through a heap.
@@ -105,11 +105,13 @@ def _length(chunks: DataFrame) -> int:
 
 def _cut(chunks: DataFrame) -> DataFrame:
     """A reliable checkpoint. A local session without a folder gets one of its own; a cluster has to name a shared one."""
-    sc = chunks.sparkSession.sparkContext
+    spark = chunks.sparkSession
+    sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        if not sc.master.startswith("local"):
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and sc.master.split("[")[0] != "local":
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="slotweave-"))
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="slotweave-"))
     return chunks.checkpoint()
 
 
