@@ -2,7 +2,7 @@
 
 A written Parquet table cuts lineage as checkpoint() does, survives a lost executor, and can be read
 with column pruning. Tables go below ``spark.checkpoint.dir``, which the cluster shares; only where the
-session names none (tests) is a temporary folder set.
+session of one machine names none (tests) is a temporary folder set.
 """
 
 from __future__ import annotations
@@ -18,6 +18,8 @@ def shared_folder(spark: SparkSession) -> str:
     sc = spark.sparkContext
     found = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not found:
+        if sc.master.split("[")[0] != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         found = tempfile.mkdtemp(prefix="slotweave-")
         sc.setCheckpointDir(found)
     return found
