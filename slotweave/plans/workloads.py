@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
@@ -98,10 +99,14 @@ def forget() -> None:
 def lengths(s: Study, trains=("A", "B", "AB"), evals: dict[str, list[str]] | None = None, ratios=("0", *RATIOS), extra: bool = True) -> DataFrame:
     """Encoded lengths of every configuration, from one log per training and one replay per evaluation."""
     evals = evals or {"A": ["A", "B"], "B": ["A", "B"], "AB": ["A", "B", "AB"]}
-    for t in trains:  # the longest logs first, so each replay is made once
+
+    def prepare(t: str) -> None:  # the longest logs first, so each replay is made once
         for n in s.budgets:
             for r in ratios:
                 s.tokenizer(t, n, r)
+
+    with ThreadPoolExecutor(len(trains)) as pool:  # trainings share nothing, so their jobs run side by side
+        list(pool.map(prepare, trains))
     rows = [(t, e, n, r, "native", *s.length(t, e, n, r)) for t in trains for e in evals[t] for n in s.budgets for r in ratios]
     if extra:
         rows += [(t, e, s.extra, "0", "native", length_from_log(s.replayed(t, e), required_slots(s.extra)), 0) for t in trains for e in evals[t]]
