@@ -34,6 +34,8 @@ SSN = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 PHONE = r"(?<![0-9+])(?:\+?1[ .-]?)?(?:\([0-9]{3}\) ?|[0-9]{3}[ .-])[0-9]{3}[ .-][0-9]{4}(?![0-9])"
 CARD = r"(?<![0-9])(?:[0-9]{4}(?: [0-9]{4}){3}|[0-9]{4}(?:-[0-9]{4}){3}|[0-9]{13,19})(?![0-9])"
 ALL = "|".join(f"(?:{p})" for p in (EMAIL, SECRET, ACCESS, IP, ISO_DATE, DMY_DATE, SSN, CARD, PHONE))
+#: What every text with a value holds: a mail address its sign, a secret its name, an access key its head, and all others a digit.
+MAY = r"[0-9@]|AKIA|(?i:(?:password|passwd|token|secret|api_?key)\s?[=:])"
 
 
 def _amount(key: str, kind: str, step: Column, half: Column) -> Column:
@@ -169,7 +171,7 @@ def pseudonym(hit: Column, key: str) -> Column:
 def pseudonymise(docs: DataFrame, key: str = "slotweave", text_col: str = "text") -> DataFrame:
     """docs with its text replaced, and n_replaced and n_found."""
     text = F.col(text_col)
-    hits = F.when(text.rlike("[0-9]"), F.regexp_extract_all(text, F.lit(ALL), F.lit(0))).otherwise(F.array().cast("array<string>"))
+    hits = F.when(text.rlike(MAY), F.regexp_extract_all(text, F.lit(ALL), F.lit(0))).otherwise(F.array().cast("array<string>"))
     found = docs.withColumn("__hits", hits)
     new = F.transform(F.col("__hits"), lambda h: pseudonym(h, key))
     found = found.withColumn("__new", F.when(F.size("__hits") > 0, new))
