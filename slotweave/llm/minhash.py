@@ -16,7 +16,8 @@ the Jaccard similarity J of the sets. The steps:
    apart, all. These pass the exact comparison too. So every pair that shares a bucket is
    either compared or known to be connected.
 
-A pair at J = 0.8 misses all 63 bands of 8 registers with probability 9e-6, and fails the estimate with 3e-6.
+With independent registers a pair at J = 0.8 misses all 63 bands of 8 registers with probability 9e-6, and fails the estimate
+with 3e-6. Of 320,000 simulated pairs each of 4 and 5, 9 and 9, 8 and 10, 16 and 20 elements at this J, none missed all bands.
 
 Edge cases: null or empty text, or text without a word, has an empty set: n_shingles 0, component its own
 doc_id, linked with nothing. Repeated rows of one doc_id give one row each. Extra columns are ignored;
@@ -39,6 +40,9 @@ from .components import connected
 
 REGISTERS, BAND, RATE, SCALE, TOP = 509, 8, 20.0, 1.001, 65_534  # a prime number of registers
 BANDS = REGISTERS // BAND
+#: A fixed permutation of the registers.
+with np.errstate(over="ignore"):
+    TURN = np.argsort(mix((np.arange(REGISTERS, dtype=U) + U(1)) * STEP), kind="stable").astype(np.int64)
 #: Members of a bucket that are compared with as many others at once.
 TILE = 1024
 #: Standard errors below the threshold at which the estimate gives a pair up.
@@ -48,7 +52,11 @@ BROADCAST_IDS = 2_000_000
 
 
 def sketches(elements: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Registers (texts x REGISTERS, uint16) of sets given one after another; sets of no element stay 0."""
+    """Registers (texts x REGISTERS, uint16) of sets given one after another; sets of no element stay 0.
+
+    An element's order of the registers is two keyed affine maps around TURN: an affine map alone would spread a small
+    set's elements so evenly over the bands that sets with few differences miss all of them too often.
+    """
     n, m = len(sizes), REGISTERS
     low = np.full(n * m, 2.0)
     owner = np.repeat(np.arange(n), sizes)
@@ -56,15 +64,19 @@ def sketches(elements: np.ndarray, sizes: np.ndarray) -> np.ndarray:
         seed = mix(elements ^ STEP)
         first = (seed % U(m)).astype(np.int64)
         stride = ((seed >> U(20)) % U(m - 1)).astype(np.int64) + 1
+        seed = mix(seed + STEP)
+        start = (seed % U(m)).astype(np.int64)
+        step = ((seed >> U(20)) % U(m - 1)).astype(np.int64) + 1
         for level in range(m):
             if not len(elements):
                 break
             draw = (mix(elements + U(level + 1) * STEP) >> U(11)).astype(np.float64) * 2.0**-53
-            np.minimum.at(low, owner * m + (first + level * stride) % m, (level + draw) / m)
+            register = (start + step * TURN[(first + level * stride) % m]) % m
+            np.minimum.at(low, owner * m + register, (level + draw) / m)
             if level % 4 == 0 or level < 8:
                 open_ = (low.reshape(n, m).max(axis=1) > 1.5)[owner]
                 if not open_.all():
-                    elements, owner, first, stride = elements[open_], owner[open_], first[open_], stride[open_]
+                    elements, owner, first, stride, start, step = (x[open_] for x in (elements, owner, first, stride, start, step))
     value = -np.log1p(-np.minimum(low, 1 - 2.0**-53)) / RATE
     register = np.floor(1 - np.log(np.maximum(value, 1e-300)) / np.log(SCALE))
     out = np.clip(register, 0, TOP + 1).astype(np.uint16).reshape(n, m)

@@ -97,6 +97,16 @@ def test_sketches_merge_and_estimate():
     assert abs(got - 700 / 1300) < 0.1
 
 
+def test_small_sets_share_a_band():
+    n, missed = 20_000, 0
+    rng = np.random.default_rng(5)
+    for _ in range(n // 2000):
+        e = rng.integers(0, 1 << 64, (2000, 5), dtype=np.uint64)
+        a, b = (minhash.band_keys(minhash.sketches(x.ravel(), np.full(2000, x.shape[1]))) for x in (e[:, :4], e))
+        missed += int((a != b).all(axis=1).sum())
+    assert missed <= 2
+
+
 def test_components_of_a_chain(spark):
     links = spark.createDataFrame([(i + 1, i) for i in range(200)] + [(901, 900)], "a long, b long")
     got = {r.node: r.root for r in components.connected(links, Scratch(spark, "t"), "c").collect()}
