@@ -15,7 +15,7 @@ from slotweave.operators.encode import length_from_log, replay, vp_length_from_l
 from slotweave.operators.exposure import exposures
 from slotweave.operators.mintoken import min_length, vocabulary
 from slotweave.operators.train import MergeLog, chunk_table, train_bpe
-from slotweave.operators.visibility import Tokenizer, export_standard, prune_only, reallocate, required_slots, tau_from_ratio, trained_far_enough, select_visible
+from slotweave.operators.visibility import InsufficientCandidates, Tokenizer, export_standard, prune_only, reallocate, required_slots, tau_from_ratio, trained_far_enough, select_visible
 
 RATIOS = ["0.2", "0.3", "0.4"]
 #: Bytes of the corpora up to which these budgets are taken: four sizes and an extra one for the last step's gain.
@@ -197,23 +197,24 @@ def w12_prune_only(spark, sf_dir):
 
 
 def w13_domain_export(spark, sf_dir):
-    """One tree trained on AB, exported by its exposure on another table."""
+    """One tree trained on AB, for as long as a domain needs, exported by its exposure on another table."""
     s = study(spark, sf_dir)
     n = s.budgets[0]
     need = required_slots(n)
     rows = []
     for domain in ("AB", "pages", "conversations"):
         log, m = s.log("AB"), None
-        for _ in range(6):
+        while True:
             on = s.replayed("AB", domain)
             # the boundary token's own count on the domain: what it made there
             tau = tau_from_ratio(MergeLog(tuple(replace(x, freq=x.repl) for x in on.merges), on.byte_counts), need, "0.4")
             m = trained_far_enough(on, tau, need)
             if m is not None:
                 break
-            log = s._logs["AB"] = train_bpe(s.chunks("AB"), len(log) + need, resume=log)
-        if m is None:
-            continue
+            before = len(log)
+            log = s._logs["AB"] = train_bpe(s.chunks("AB"), before + need, resume=log)
+            if len(log) == before:
+                raise InsufficientCandidates(f"{domain}: no pair is left after {before} merges, threshold {tau}")
         tok = select_visible(log.prefix(m), exposures(on, m), tau, need)
         rows.append((domain, tok.tau, len(tok.internal), len(set(tok.visible) ^ set(s.tokenizer("AB", n).visible)), vp_length_from_log(tok, on)))
     return spark.createDataFrame(rows, "domain string, tau int, internal int, slots_changed int, tokens long")

@@ -16,6 +16,7 @@ from slotweave.operators.mintoken import Trie, min_length, min_tokens, min_token
 from slotweave.operators import train
 from slotweave.operators.train import STRATEGIES, advance, chunk_table, merged, train_bpe
 from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, required_slots, tau_from_ratio
+from slotweave.plans import workloads
 from slotweave.sources.bundles import load_checkpoint, load_tokenizer, save_checkpoint, save_tokenizer
 
 EXAMPLE = [("abc", 4), ("bc", 2), ("abcd", 2), ("xy", 3)]
@@ -234,3 +235,23 @@ def test_late_rows_are_dropped_and_counted(spark, tmp_path):
     q.awaitTermination()
     assert streams.dropped_as_late(q) == 1
     assert spark.table("late").agg(F.sum("n")).first()[0] == 3  # the last day's window stays open
+
+
+def test_domain_export_trains_until_no_pair_is_left(spark, sf, monkeypatch):
+    rounds = []
+
+    def far_enough(log, tau, need, batch=1):
+        rounds.append(len(log))
+        return None
+
+    short = workloads.Study(spark, sf)
+    need = required_slots(short.budgets[0])
+    full = train_bpe(short.chunks("AB"), need + 8)
+    short._logs["AB"] = full.prefix(need)
+    monkeypatch.setattr(workloads, "study", lambda *_: short)
+    monkeypatch.setattr(workloads, "trained_far_enough", far_enough)
+    monkeypatch.setattr(workloads, "train_bpe", lambda chunks, n, resume: full.prefix(min(len(resume) + 1, len(full))))
+    with pytest.raises(InsufficientCandidates):
+        workloads.w13_domain_export(spark, sf)
+    assert rounds == list(range(need, need + 9))
+    short.close()
