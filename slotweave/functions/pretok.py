@@ -1,7 +1,9 @@
 """The pretokenizer: one grammar whose matches, end to end, are the text again.
 
-Only constructs that Java's and RE2's engines share are used; two spellings of the script classes come from one source.
-A single space joins the word, number or other-script span after it; all other white space and marks stand alone.
+Java's and RE2's spellings come from one source. Java repeats a group by recursion, and a long run would exhaust its stack;
+so every repeated group is possessive there, which loops instead, and cuts the same because it ends its alternative.
+An extension has to end its word; RE2 lacks the look ahead and takes an ASCII word boundary, which differs only before a letter
+that isn't ASCII. A single space joins the word, number or other-script span after it; all other white space and marks stand alone.
 """
 
 from __future__ import annotations
@@ -9,35 +11,37 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: File extensions, longer names first; and marks that group in runs of the same one.
+#: File extensions; and marks that group in runs of the same one.
 EXTENSIONS = ["javascript", "java", "json", "jsx", "js", "html", "htm", "py"]
 MARKS = ".-=,;:!?*#/\\|~_+<>()[]{}\"'`@$%^&"
 
 
-def grammar(latin: str) -> str:
-    extension = "(?:" + "|".join(EXTENSIONS) + ")"
-    letter = rf"[{latin}\p{{M}}]"
-    word = rf"[{latin}_][{latin}\p{{M}}0-9_]*"
+def grammar(latin: str, again: str, ends: str) -> str:
+    """latin: the script's class; again: repeats a group; ends: what follows an extension."""
+    extension = "(?:" + "|".join(EXTENSIONS) + ")" + ends
+    inner = rf"[{latin}\p{{M}}0-9_]"
+    word = rf"[{latin}_]{inner}*"
     runs = [rf"\x{ord(c):02x}+" for c in MARKS if c != "_"]
     return "|".join(
         [
             r"\r\n|\n+|\r+|\t+|\x20{2,}",
             r"</",
             rf"\.{extension}",
-            rf"\x20?{letter}+-[0-9]+",
+            rf"\x20?[{latin}][{latin}\p{{M}}]*-[0-9]+",
             rf"\x20?{word}\.{extension}",
             r"\x20?[A-Za-z](?:\+\+|#)",
-            rf"\x20?{word}(?:'[{latin}\p{{M}}0-9_]+)*",
-            r"\x20?[0-9]+(?:[.-][0-9]+)*",
-            rf"\x20?[^\P{{L}}{latin}](?:[^\P{{L}}{latin}]|\p{{M}})*",
+            rf"\x20?{word}(?:'{inner}+){again}",
+            rf"\x20?[0-9]+(?:[.-][0-9]+){again}",
+            rf"\x20?[^\P{{L}}{latin}](?:[^\P{{L}}{latin}]|\p{{M}}){again}",
             *runs,
             r"[\s\S]",
         ]
     )
 
 
-JAVA = grammar(r"\p{IsLatin}")
-RE2 = PYTHON = grammar(r"\p{Latin}")
+JAVA = grammar(r"\p{IsLatin}", "*+", r"(?![\p{IsLatin}\p{M}0-9_])")
+RE2 = grammar(r"\p{Latin}", "*", r"\b")
+PYTHON = grammar(r"\p{Latin}", "*+", r"(?![\p{Latin}\p{M}0-9_])")
 
 
 def pretokenize(text: Column) -> Column:

@@ -6,9 +6,10 @@ import os
 import random
 
 import pytest
+import regex
 from pyspark.sql import functions as F
 
-from slotweave.functions.pretok import pretokenize
+from slotweave.functions.pretok import PYTHON, pretokenize
 from slotweave.operators import measures as ms
 from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encoded_length, length_from_log, vp_length_from_log
 from slotweave.operators.exposure import exposure_by_count, exposures
@@ -129,13 +130,42 @@ def test_minimum_tokens(spark, trained):
 CUTS = {
     "a b": ["a", " b"], "a  b": ["a", "  ", "b"], "x\n\ty": ["x", "\n", "\t", "y"], "user_id": ["user_id"], "déjà": ["déjà"], "don't": ["don't"], "GPT-4": ["GPT-4"], "Node.js": ["Node.js"],
     "C++": ["C++"], "3.14": ["3.14"], "10-20": ["10-20"], "123abc": ["123", "abc"], "1949年6月24日": ["1949", "年", "6", "月", "24", "日"], "a,b": ["a", ",", "b"], "...": ["..."], "))": ["))"],
-    "</div>": ["</", "div", ">"], "": [], " ": [" "], ".py": [".py"], "abc123": ["abc123"],
+    "</div>": ["</", "div", ">"], "": [], " ": [" "], ".py": [".py"], "abc123": ["abc123"], "x.pyramid": ["x", ".", "pyramid"], "app.jsonl": ["app", ".", "jsonl"], "a.python": ["a", ".", "python"],
+    "app.json, x.js.": ["app.json", ",", " x.js", "."], "C'était": ["C'était"], "IPv6": ["IPv6"], "GPT4": ["GPT4"], "COVID-19": ["COVID-19"], "file.java": ["file.java"], "C#": ["C#"], "Montréal": ["Montréal"], "---": ["---"], "===": ["==="],
+    "ひらがな3カタカナ": ["ひらがな", "3", "カタカナ"], "한글12 Seoul": ["한글", "12", " Seoul"], "x\t\ty": ["x", "\t\t", "y"], " 漢字": [" 漢字"], "привет мир": ["привет", " мир"], ".pyx": [".", "pyx"],
 }
 
 
 def test_pretokenizer(spark):
     rows = spark.createDataFrame(list(CUTS.items()), "t string, want array<string>").withColumn("got", pretokenize(F.col("t"))).collect()
     assert [r.t for r in rows if r.got != r.want] == []
+    grammar = regex.compile(PYTHON)
+    assert all([m.group() for m in grammar.finditer(t)] == want for t, want in CUTS.items())
+
+
+LONG_RUNS = {
+    "han": "\u6f22" * 1_000_000, "han and marks": "\u6f22\u0301" * 500_000, "marks": "\u0301" * 200_000, "numbers": "1." * 500_000, "dates": "1-" * 500_000, "apostrophes": "a'" * 500_000, "latin": "e" * 1_000_000,
+    "latin and marks": "e\u0301" * 500_000, "underscores": "_" * 1_000_000, "spaces": " " * 1_000_000, "extensions": "a.py" * 250_000, "dots": "." * 1_000_000, "all": "a'1.\u6f22 -_\u0301" * 100_000,
+}
+
+
+def test_pretokenizer_on_long_runs(spark):
+    rows = spark.createDataFrame(list(LONG_RUNS.items()), "name string, t string").repartition(4)
+    got = rows.select("name", F.array_join(pretokenize(F.col("t")), "") == F.col("t"), F.size(pretokenize(F.col("t")))).collect()
+    assert all(r[1] for r in got)
+    sizes = {r[0]: r[2] for r in got}
+    assert sizes["han"] == sizes["han and marks"] == sizes["latin"] == sizes["dots"] == sizes["spaces"] == 1 and sizes["numbers"] == 2
+
+
+def test_without_the_pretokenizer(spark):
+    docs = spark.createDataFrame([("a b a b",), ("",), (None,), ("a b a b",)], "text string")
+    c = chunk_table(docs, pretok=False)
+    assert [(r.sym, r.n) for r in c.collect()] == [("a b a b", 2)]
+    log = train_bpe(c, 2, "compact")
+    assert any(b" " in m.bytes for m in log.merges)
+    tok = export_standard(log, 262)
+    ids = encode(docs.withColumn("doc_id", F.lit(1)), tok, pretok=False).collect()
+    assert sorted(len(r.ids) for r in ids) == sorted([length_from_log(log) // 2] * 2 + [0, 0])
 
 
 def test_slots_and_threshold():
