@@ -51,7 +51,7 @@ def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.pseudonymise(_documents(spark, sf_dir)).select("doc_id", "text", "n_found", "n_replaced")
+    return pii.pseudonymise(_documents(spark, sf_dir), pii.session_key(spark)).select("doc_id", "text", "n_found", "n_replaced")
 
 
 def op10_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
