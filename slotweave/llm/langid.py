@@ -9,7 +9,7 @@ show decides on rejection: junk in no learned language is far above.
 Training takes at most SAMPLE labelled texts of each language, chosen by a hash; this bound is the one parameter that limits what is
 learned from. Every text is scored whole, each word counted.
 
-Edge cases: null text, or text without a letter, is ``und`` with score 0, and not rejected as junk but as without language; ties
+Edge cases: null text, or text without a letter (category L alone: number signs, fractions and marks are none), is ``und`` with score 0, and not rejected as junk but as without language; ties
 go to the first language in order; no labelled text at all makes every text ``und``; extra columns are ignored; repeated rows
 give equal rows; an empty table gives an empty result.
 """
@@ -17,6 +17,7 @@ give equal rows; an empty table gives an empty result.
 from __future__ import annotations
 
 import re
+import sys
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -30,12 +31,24 @@ from pyspark.sql.window import Window
 from ._words import STEP, U, mix
 
 ORDER, DISCOUNT, SAMPLE = 4, 0.75, 600
-LETTERS = re.compile(r"[^\W\d_]+")
+
+
+def _numbers() -> str:
+    """Ranges of the characters that are numbers, but neither decimal digits nor letters: number signs, fractions, superscripts."""
+    odd = [i for i in range(sys.maxunicode + 1) if chr(i).isnumeric() and not chr(i).isalpha() and not chr(i).isdecimal()]
+    starts = [odd[0], *[b for a, b in zip(odd, odd[1:], strict=False) if b != a + 1]]
+    ends = [*[a for a, b in zip(odd, odd[1:], strict=False) if b != a + 1], odd[-1]]
+    return "".join(f"{chr(a)}-{chr(b)}" for a, b in zip(starts, ends, strict=True))
+
+
+#: Runs of letters alone.
+LETTERS = re.compile(rf"[^\W\d_{_numbers()}]+")
 CACHE = 200_000
 EDGE = 1  # the code point that marks a word's ends
-#: A text is rejected when its cross-entropy exceeds the held-back mean by this many of their deviations, and every held-back text's,
-#: by so much that the excess over all its characters is EVIDENCE nats: a short text with a stray code in it stays.
-FAR, EVIDENCE = 12.0, 100.0
+#: A text is rejected when its cross-entropy exceeds the median of its language's held-back texts by this many of their deviations (from the
+#: median's absolute deviations, so a few mislabelled texts don't move it), and by so much that the excess over all its characters is EVIDENCE
+#: nats: a short text with a stray code in it stays. A language with fewer than FEW held-back texts takes those of all languages.
+FAR, EVIDENCE, FEW = 12.0, 100.0, 8
 
 
 def _characters(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -68,9 +81,8 @@ class Models:
     #: per order: sorted context hashes; weight left for the lower order
     contexts: list[tuple[np.ndarray, np.ndarray]] = field(default_factory=list)
     alphabet: int = 1
-    mean: float = 0.0
-    spread: float = 1.0
-    worst: float = 1e9
+    #: per language: the cross-entropy beyond which a text is far
+    limits: list[float] = field(default_factory=list)
 
     def word_scores(self, words: list[str]) -> np.ndarray:
         """Natural-log probability of each word under each language."""
@@ -155,12 +167,22 @@ def fit(texts: list[tuple[str, str]]) -> Models:
             table = table or {0: [empty] * len(languages)}
             keys = np.array(sorted(table), U)
             into.append((keys, np.array([table[k] for k in keys.tolist()])))
-    entropies = [min(s) for t in held if (s := cross_entropies(models, t)) is not None]
-    if entropies:
-        models.mean, models.spread, models.worst = float(np.mean(entropies)), float(max(np.std(entropies), 0.02)), float(max(entropies))
+    by: list[list[float]] = [[] for _ in languages]
+    for t in held:
+        if (s := cross_entropies(models, t)) is not None:
+            by[int(s.argmin())].append(float(s.min()))
+    pooled = [x for own in by for x in own]
+    models.limits = [_far(own if len(own) >= FEW else pooled) for own in by]
     return models
 
 
+def _far(entropies: list[float]) -> float:
+    if not entropies:
+        return float("inf")
+    middle = float(np.median(entropies))
+    return middle + FAR * max(1.4826 * float(np.median(np.abs(np.array(entropies) - middle))), 0.02)
+
+
 def _summed(keys: np.ndarray, amounts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     found, first, of = np.unique(keys, return_index=True, return_inverse=True)
     return found, first, np.bincount(of, amounts)
@@ -209,7 +231,7 @@ class Scorer:
                 best = int(entropy.argmin())
                 sure = float(1 / np.exp(-(entropy - entropy[best]) * min(sums[-1], 40.0)).sum())
                 m = self.models
-                junk = (entropy[best] - max(m.worst, m.mean + FAR * m.spread)) * sums[-1] > EVIDENCE
+                junk = (entropy[best] - m.limits[best]) * sums[-1] > EVIDENCE
                 out.append((m.languages[best], min(1.0, sure), float(entropy[best]), not junk))
         return out
 
