@@ -380,6 +380,36 @@ def test_nearest(spark):
     assert ann.nearest(df.limit(0), F.col("vec_id") % 20 == 0, 5).count() == 0
 
 
+def brute_nearest(rows, k, every):
+    """[(query_id, [(vec_id, score)])] of query rows, each row a row of its own."""
+    good = [(i, np.array(v, float)) for i, v in rows if v is not None and len(v) and all(x is not None and np.isfinite(x) for x in v) and any(v)]
+    out = []
+    for at, (i, x) in enumerate(good):
+        if i % every == 0:
+            near = sorted((-sum(a * b for a, b in zip(x, y, strict=True)), j) for to, (j, y) in enumerate(good) if to != at and len(y) == len(x))[:k]
+            out.append((i, [(j, float(-s)) for s, j in near]))
+    return sorted(out, key=lambda q: (q[0], str(q[1])))
+
+
+def test_nearest_of_repeated_ids_and_copies(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    rows = [(int(i), rng.integers(-9, 10, 8).tolist()) for i in rng.integers(0, 60, 150)]  # whole numbers: sums are exact
+    rows += [(i, [5.0] * 8) for i in range(200, 300)] + [(i, [1e-320] * 8) for i in range(300, 310)] + [(i, [1.0, 2.0, 3.0]) for i in range(400, 410)] + [(20, None), (40, []), (60, [0.0] * 8)]
+    df = spark.createDataFrame([(i, None if v is None else [float(x) for x in v]) for i, v in rows], "vec_id long, embedding array<double>")
+    for blocks in ((4096, 16384), (7, 40)):
+        monkeypatch.setattr(ann, "QUERIES", blocks[0])
+        monkeypatch.setattr(ann, "CANDIDATES", blocks[1])
+        got = ann.nearest(df, F.col("vec_id") % 20 == 0, 5).toPandas()
+        lists = []
+        for i, g in got.groupby("query_id"):
+            ranks = g.sort_values("rank", kind="stable")
+            lists += [(int(i), collections.Counter((int(j), float(s), int(r)) for j, s, r in zip(ranks.vec_id, ranks.score, ranks["rank"], strict=True)))]
+        want = collections.defaultdict(collections.Counter)
+        for i, near in brute_nearest(rows, 5, 20):
+            want[i].update((j, s, r) for r, (j, s) in enumerate(near, 1))
+        assert dict(lists) == dict(want)
+
+
 def test_language(spark, docs, awkward, none):
     held = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
     got = langid.identify(docs, ~held).join(docs.select("doc_id", "lang"), "doc_id").filter(held)
