@@ -11,18 +11,20 @@ TOGETHER, SHARE = 128, 1e-5
 
 def hot_keys(rows: DataFrame, keys: list[str], total: int | None = None) -> DataFrame:
     """The keys with many rows and the number of parts to cut them in: at most 1 / SHARE rows, so they may be broadcast."""
-    counts = rows.groupBy(*keys).agg(F.count("*").alias("__n"))
-    bound = max(TOGETHER, int((rows.count() if total is None else total) * SHARE))
-    return counts.filter(F.col("__n") > bound).select(*keys, F.ceil(F.col("__n") / bound).cast("int").alias("__parts"))
+    return too_many(rows.groupBy(*keys).agg(F.count("*").alias("__n")), keys, "__n", rows.count() if total is None else total)
+
+
+def too_many(counts: DataFrame, keys: list[str], count: str, total: int) -> DataFrame:
+    """The same from known counts of the keys."""
+    bound = max(TOGETHER, int(total * SHARE))
+    return counts.filter(F.col(count) > bound).select(*keys, F.ceil(F.col(count) / bound).cast("int").alias("__parts"))
 
 
 def spread_join(rows: DataFrame, unique: DataFrame, keys: list[str], how: str = "inner", hot: DataFrame | None = None) -> DataFrame:
     """rows joined with unique, which has each key once. A hot key's rows are dealt over parts by their own hash, and its
-    row of unique is repeated for each part, so no task gets more than a bounded number of them."""
+    row of unique is repeated for each part, so no task gets more than a bounded number of them. hot: the keys with __parts, if known."""
     hot = hot_keys(rows, keys) if hot is None else hot
-    if hot.isEmpty():
-        return rows.join(unique, keys, how)
     parts = F.coalesce("__parts", F.lit(1))
-    salted = rows.join(F.broadcast(hot), keys, "left").withColumn("__part", F.pmod(F.xxhash64(*[F.col(c) for c, kind in rows.dtypes if "map" not in kind]), parts).cast("int")).drop("__parts")
+    salted = rows.join(F.broadcast(hot), keys, "left").withColumn("__part", F.pmod(F.xxhash64(*rows.columns), parts).cast("int")).drop("__parts")
     copies = unique.join(F.broadcast(hot), keys, "left").withColumn("__part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("__parts")
     return salted.join(copies, [*keys, "__part"], how).drop("__part")

@@ -5,7 +5,7 @@ exponential spacing, at a register of its own order, and a register keeps its sm
 a 16-bit scale of logarithms. Sketches merge by the larger register and two registers are equal with about
 the Jaccard similarity J of the sets. The steps:
 
-1. Sketch every text; texts with the same shingle set are one class, shown by its smallest doc_id.
+1. Sketch every row; rows with the same shingle set are one class, shown by one of its rows with the smallest doc_id.
 2. Registers in bands: the classes that share a band's values share a bucket. Each bucket's members are paired
    with its smallest member only, so the pairs grow with the members, not with their square.
 3. Pairs pass a likelihood estimate of J from all registers (and both set sizes), set 4.5 standard errors below
@@ -19,8 +19,12 @@ the Jaccard similarity J of the sets. The steps:
 With independent registers a pair at J = 0.8 misses all 63 bands of 8 registers with probability 9e-6, and fails the estimate
 with 3e-6. Of 320,000 simulated pairs each of 4 and 5, 9 and 9, 8 and 10, 16 and 20 elements at this J, none missed all bands.
 
+A bucket, a head, a class or a component may hold a third of all rows: what shares a key is counted first, and a hot key's rows are dealt over many
+tasks, each of which gets a copy of the one row that they meet (``_skew``).
+
 Edge cases: null or empty text, or text without a word, has an empty set: n_shingles 0, component its own
-doc_id, linked with nothing. Repeated rows of one doc_id give one row each. Extra columns are ignored;
+doc_id, linked with nothing. Each row is a document of its own, also where rows share a doc_id, with equal texts or others: each
+gives one row, and a component is named by the smallest doc_id of its rows, of which a null one counts as the smallest. Extra columns are ignored;
 an empty table gives an empty result.
 """
 
@@ -34,6 +38,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ._skew import spread_join, too_many
 from ._store import Scratch
 from ._words import STEP, U, in_slices, mix, shingle_sets
 from .components import connected
@@ -47,8 +52,10 @@ with np.errstate(over="ignore"):
 TILE = 1024
 #: Standard errors below the threshold at which the estimate gives a pair up.
 ERRORS = 4.5
-#: Broadcast a list of ids up to this many rows (16 MB); beyond it the join shuffles.
-BROADCAST_IDS = 2_000_000
+#: Broadcast a list of ids up to this many rows (16 MB), and of classes up to this many (about 50 MB); beyond it the join shuffles.
+BROADCAST_IDS, BROADCAST_CLASSES = 2_000_000, 500_000
+#: What makes a class: the number of shingles and two sums of their hashes. And the number that stands for a null doc_id.
+SAME, NO_ID = ["n", "print1", "print2"], -(1 << 63)
 
 
 def sketches(elements: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -115,21 +122,23 @@ def merge(*registers: np.ndarray) -> np.ndarray:
     return np.maximum.reduce(registers)
 
 
+def _prints(elements: np.ndarray, edges: np.ndarray) -> list[np.ndarray]:
+    with np.errstate(over="ignore"):
+        one, two = (np.concatenate([[U(0)], np.cumsum(mix(elements ^ U(c)))]) for c in (0x51, 0xA7))
+        return [(s[edges[1:]] - s[edges[:-1]]).view(np.int64) for s in (one, two)]
+
+
 def _sketch_rows(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids = batch.column(0)
             for start, raws in in_slices(batch.column(1)):
                 elements, sizes = shingle_sets(raws, k)
                 registers = sketches(elements, sizes)
-                edges = np.concatenate([[0], np.cumsum(sizes)])
-                with np.errstate(over="ignore"):
-                    one, two = (np.concatenate([[U(0)], np.cumsum(mix(elements ^ U(c)))]) for c in (0x51, 0xA7))
-                    print_ = [(s[edges[1:]] - s[edges[:-1]]).view(np.int64) for s in (one, two)]
+                print_ = _prints(elements, np.concatenate([[0], np.cumsum(sizes)]))
                 keys = band_keys(registers).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
-                        ids.slice(start, len(raws)),
+                        batch.column(0).slice(start, len(raws)),
                         pa.array(sizes),
                         pa.array(print_[0]),
                         pa.array(print_[1]),
@@ -148,10 +157,8 @@ def _set_rows(k: int):
             for start, raws in in_slices(batch.column(1)):
                 elements, sizes = shingle_sets(raws, k)
                 edges = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(start, len(raws)), pa.ListArray.from_arrays(pa.array(edges), pa.array(elements.view(np.int64)))],
-                    names=["id", "elements"],
-                )
+                held = [batch.column(0).slice(start, len(raws)), pa.array(sizes), *map(pa.array, _prints(elements, edges)), pa.ListArray.from_arrays(pa.array(edges), pa.array(elements.view(np.int64)))]
+                yield pa.RecordBatch.from_arrays(held, names=["doc_id", *SAME, "elements"])
 
     return run
 
@@ -243,77 +250,80 @@ def _exact_tiles(percent: int):
     return run
 
 
-def _exact_likely(docs: DataFrame, likely: DataFrame, k: int, percent: int) -> DataFrame:
+def _exact_likely(docs: DataFrame, classes: DataFrame, likely: DataFrame, k: int, percent: int) -> DataFrame:
     """The links among likely partners; every set goes once to each tile that needs it."""
     spots = max(1, likely.count() // TILE)
-    met = likely.join(_sets(docs, likely.select(F.col("id").alias("doc_id")).distinct(), k), "id").withColumn("spot", F.pmod("tile", F.lit(spots)))
+    met = likely.join(_sets(docs, classes, likely.select("id").distinct(), k), "id").withColumn("spot", F.pmod("tile", F.lit(spots)))
     return met.groupBy("spot").applyInPandas(_exact_tiles(percent), "a long, b long").distinct()
 
 
-def _sets(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
-    few = ids.count() <= BROADCAST_IDS
-    chosen = docs.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
-    return chosen.mapInArrow(_set_rows(k), "id long, elements array<bigint>").dropDuplicates(["id"])
+def _sets(docs: DataFrame, classes: DataFrame, ids: DataFrame, k: int) -> DataFrame:
+    """The shingle sets of classes, made again from the texts with the classes' doc_ids."""
+    wanted = classes.join(ids, "id", "left_semi").select("id", "doc_id", *SAME)
+    n = wanted.count()
+    named = wanted.select("doc_id").distinct()
+    chosen = docs.join(F.broadcast(named) if n <= BROADCAST_IDS else named, "doc_id", "left_semi")
+    rows = chosen.mapInArrow(_set_rows(k), "doc_id long, n long, print1 long, print2 long, elements array<bigint>")
+    return rows.join(F.broadcast(wanted) if n <= BROADCAST_CLASSES else wanted, ["doc_id", *SAME]).select("id", "elements").dropDuplicates(["id"])
 
 
-def _exact(spark: SparkSession, docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
+def _exact(docs: DataFrame, classes: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """Of the pairs (a, b) of class ids, those whose full shingle sets reach the similarity."""
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = _sets(docs, ids, k)
-    both = pairs.join(sets.toDF("a", "ea"), "a").join(sets.toDF("b", "eb"), "b")
+    sets = _sets(docs, classes, pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), k)
+    both = spread_join(pairs, sets.toDF("b", "eb"), ["b"]).join(sets.toDF("a", "ea"), "a")
     meet = F.size(F.array_intersect("ea", "eb"))
     return both.filter(100 * meet >= percent * (F.size("ea") + F.size("eb") - meet)).select("a", "b")
 
 
 def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """A row per document: doc_id, n_shingles, component_id, kept, class_id."""
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "minhash")
-    docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    """A row per document: doc_id, n_shingles, component_id, kept, class_id (a number of its class; null without a shingle)."""
+    scratch = Scratch(docs.sparkSession, "minhash")
+    docs = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     schema = "doc_id long, n long, print1 long, print2 long, sketch binary, keys array<bigint>"
-    rows = scratch.save(docs.mapInArrow(_sketch_rows(shingle), schema), "rows")
-    same = ["n", "print1", "print2"]
-    classes = scratch.save(rows.filter("n > 0").groupBy(*same).agg(F.min("doc_id").alias("id")), "classes")
-    heads = rows.join(classes.select(F.col("id").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    heads = scratch.save(heads.select(F.col("doc_id").alias("id"), "n", "sketch", "keys"), "heads")
+    rows = scratch.save(docs.mapInArrow(_sketch_rows(shingle), schema).withColumn("row", F.monotonically_increasing_id()), "rows")
+    classes = rows.filter("n > 0").groupBy(*SAME).agg(F.min(F.struct("doc_id", "row")).alias("first"), F.count("*").alias("held"))
+    classes = scratch.save(classes.select(*SAME, F.col("first.row").alias("id"), F.col("first.doc_id").alias("doc_id"), "held"), "classes")
+    heads = rows.join(classes.select(F.col("id").alias("row")), "row", "left_semi")
+    heads = scratch.save(heads.select(F.col("row").alias("id"), "n", "sketch", "keys"), "heads")
 
     banded = heads.select("id", "n", F.explode("keys").alias("key"))
-    tops = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("top"), F.count("*").alias("held"), F.max("id").alias("last")).filter("held > 1 and last > top.id")
-    members = banded.join(tops.select("key", "top"), "key").select("key", "id", "n", F.col("top.id").alias("head"), F.col("top.n").alias("head_n"))
-    members = scratch.save(members, "members")
+    tops = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("top"), F.count("*").alias("held")).filter("held > 1")
+    members = spread_join(banded, tops.select("key", "top"), ["key"], hot=too_many(tops, ["key"], "held", heads.count() * BANDS))
+    members = scratch.save(members.select("key", "id", "n", F.col("top.id").alias("head"), F.col("top.n").alias("head_n")), "members")
     near = lambda x, y: (100 * F.least(x, y) >= percent * F.greatest(x, y))  # noqa: E731  the smaller set must reach the similarity even if it lies in the larger
     stars = members.filter((F.col("id") != F.col("head")) & near(F.col("n"), F.col("head_n"))).select(F.col("id").alias("a"), F.col("head").alias("b")).distinct()
 
     sketch = heads.select("id", "sketch", "n")
     least = percent / 100 - ERRORS * (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
 
-    def confirmed(pairs: DataFrame, name: str) -> DataFrame:
-        both = pairs.join(sketch.toDF("a", "sa", "na"), "a").join(sketch.toDF("b", "sb", "nb"), "b")
-        likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(least), "a long, b long")
-        likely = scratch.save(likely, f"{name}-likely")
-        return scratch.save(_exact(spark, docs, likely, shingle, percent), f"{name}-links")
-
-    links = confirmed(stars, "stars")
+    stars = scratch.save(stars, "stars")
+    both = spread_join(stars, sketch.toDF("b", "sb", "nb"), ["b"]).join(sketch.toDF("a", "sa", "na"), "a")
+    likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(least), "a long, b long")
+    likely = scratch.save(likely, "stars-likely")
+    links = scratch.save(_exact(docs, classes, likely, shingle, percent), "stars-links")
     found = connected(links, scratch, "first")
 
     open_ = members.select("key", "id", "n")
+    total = members.count()
     for best in (True, False):
         name = "best" if best else "rest"
         labelled = open_.join(found.select(F.col("node").alias("id"), F.col("root").alias("r")), "id", "left")
         labelled = labelled.withColumn("root", F.coalesce("r", "id")).drop("r")
         parts = labelled.groupBy("key", "root").agg(F.count("*").alias("held"))
         mixed = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max(F.struct("held", "root")).alias("main"), F.sum("held").alias("all")).filter("roots > 1")
-        mixed = mixed.select("key", F.col("main.root").alias("main"), F.ceil((F.col("all") - F.col("main.held")) / TILE).alias("us"), F.ceil(F.col("all") / TILE).alias("rs"))
-        labelled = labelled.join(mixed, "key")
+        mixed = scratch.save(mixed.select("key", "all", F.col("main.root").alias("main"), F.ceil((F.col("all") - F.col("main.held")) / TILE).alias("us"), F.ceil(F.col("all") / TILE).alias("rs")), f"{name}-mixed")
+        labelled = spread_join(labelled, mixed.drop("all"), ["key"], hot=too_many(mixed, ["key"], "all", total))
         labelled = scratch.save(labelled.join(sketch.select("id", "sketch"), "id") if best else labelled, f"{name}-open")
         open_ = labelled.select("key", "id", "n", "sketch")
-        more = scratch.save(_exact_likely(docs, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
+        more = scratch.save(_exact_likely(docs, classes, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
         if not more.isEmpty():
             links = links.unionByName(more)
             found = connected(links, scratch, name)
 
-    roots = classes.join(found.select(F.col("node").alias("id"), "root"), "id", "left")
-    roots = roots.select(*same, F.col("id").alias("class_id"), F.coalesce("root", "id").alias("root"))
-    full = rows.select("doc_id", *same).join(roots, same, "left")
-    component = F.coalesce("root", "doc_id")
-    return full.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), (component == F.col("doc_id")).alias("kept"), F.coalesce("class_id", "doc_id").alias("class_id"))
+    nodes = found.select(F.col("node").alias("id"), "root").unionByName(found.select(F.col("root").alias("id"), "root").distinct())
+    linked = scratch.save(nodes.join(classes.select("id", "doc_id"), "id"), "linked")
+    names = spread_join(linked, linked.groupBy("root").agg(F.min("doc_id").alias("name")), ["root"]).select("id", "name")
+    roots = classes.join(names, "id", "left").select(*SAME, F.col("id").alias("class_id"), F.coalesce("name", "doc_id").alias("root"))
+    full = spread_join(rows.select("doc_id", *SAME), roots, SAME, "left", hot=too_many(classes, SAME, "held", rows.count()))
+    full = full.select(F.nullif("doc_id", F.lit(NO_ID)).alias("doc_id"), F.col("n").alias("n_shingles"), F.nullif(F.coalesce("root", "doc_id"), F.lit(NO_ID)).alias("component_id"), "class_id")
+    return full.select("doc_id", "n_shingles", "component_id", F.col("component_id").eqNullSafe(F.col("doc_id")).alias("kept"), "class_id")

@@ -12,7 +12,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from slotweave.llm import _words, ann, bytebpe, components, exact_dedup, langid, lm, minhash, packing, pii, sharding, token_counts
+from slotweave.llm import _skew, _words, ann, bytebpe, components, exact_dedup, langid, lm, minhash, packing, pii, sharding, token_counts
 from slotweave.llm._store import Scratch
 
 SCHEMA = "doc_id long, text string, lang string, note string"
@@ -88,6 +88,42 @@ def test_near_duplicates_awkward(spark, awkward, none):
     assert minhash.near_duplicates(none).count() == 0
 
 
+def test_near_duplicates_of_repeated_ids(spark):
+    a, b, c = ([f"{x}{i}" for i in range(60)] for x in "abc")
+    more = lambda w: " ".join([*w, "more"])
+    rows = [(5, " ".join(a)), (5, " ".join(b)), (7, more(a)), (8, more(b)), (9, " ".join(c)), (9, more(c)), (9, " ".join(c)), (None, more(c)), (2, more(b)), (11, "alone"), (11, "apart"), (None, None)]
+    got = sorted(((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 4).collect()), key=str)
+    want = [(5, 57, 5, True), (5, 57, 2, False), (7, 58, 5, False), (8, 58, 2, False), (9, 57, None, False), (9, 58, None, False), (9, 57, None, False), (None, 58, None, True), (2, 58, 2, True), (11, 1, 11, True), (11, 1, 11, True), (None, 0, None, True)]
+    assert got == sorted(want, key=str)
+
+
+def test_near_duplicates_with_a_hub(spark):
+    rng = np.random.default_rng(3)
+    base = [f"b{i}" for i in range(150)]
+    rows = [(0, " ".join(base))]
+    for i in range(1, 1500):
+        w = list(base)
+        for at in rng.integers(0, 150, 2):
+            w[at] = f"x{i}"
+        rows.append((i, " ".join(w)))
+    rows += [(2000 + i, " ".join(base)) for i in range(700)]
+    got = {r.doc_id: r.component_id for r in minhash.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 4).collect()}
+    assert set(got.values()) == {0} and len(got) == 2200
+
+
+def test_spread_join(spark):
+    rows = spark.range(5000).select(F.when(F.col("id") % 3 == 0, 7).otherwise(F.col("id") % 50).alias("k"), F.col("id").alias("x"))
+    unique = spark.range(0, 45).select(F.col("id").alias("k"), (F.col("id") * 2).alias("y"))
+    for how in ("inner", "left"):
+        got = _skew.spread_join(rows, unique, ["k"], how)
+        want = rows.join(unique, "k", how)
+        assert got.exceptAll(want.select(got.columns)).isEmpty() and want.select(got.columns).exceptAll(got).isEmpty()
+    hot = {r.k: r["__parts"] for r in _skew.hot_keys(rows, ["k"]).collect()}
+    assert list(hot) == [7] and hot[7] == -(-rows.filter("k = 7").count() // _skew.TOGETHER)
+    parts = rows.join(F.broadcast(_skew.hot_keys(rows, ["k"])), "k").groupBy(F.pmod(F.xxhash64("k", "x"), F.col("__parts"))).count().toPandas()["count"]
+    assert parts.max() < 3 * parts.median()
+
+
 def test_sketches_merge_and_estimate():
     rng = np.random.default_rng(0)
     pool = rng.integers(0, 2**63, 1300).astype(np.uint64)
