@@ -168,14 +168,39 @@ def test_exact_with_a_full_filter(spark, docs, monkeypatch):
     assert exact_dedup.exact_groups(docs).filter("kept").count() == docs.select("text").distinct().count()
 
 
-def test_shards(spark, docs, awkward, none):
-    rows = sharding.assign_shards(docs).toPandas()
-    sums = rows.groupby("shard")["size"].sum()
-    assert len(rows) == docs.count() and len(sums) == 16
-    assert all(sorted(g) == list(range(len(g))) for _, g in rows.groupby("shard").slot)
-    one = {r.doc_id: r for r in sharding.assign_shards(awkward).collect()}
-    assert len(one) == 10 and one[1].size == 1 and one[1].text_crc32 == 0
+def brute_shards(rows, got, shards=16, tolerance=0.0005):
+    """Sizes, checksums, gapless slots and the law of near equal bytes of (doc_id, shard, slot, size, crc) rows."""
+    texts = collections.defaultdict(list)
+    for i, t in rows:
+        texts[i].append((t or "").encode())
+    sums, slots, where = collections.Counter(), collections.defaultdict(list), collections.defaultdict(set)
+    for r in got:
+        assert any((r.size, r.text_crc32) == (len(t) + 1, zlib.crc32(t)) for t in texts[r.doc_id])
+        sums[r.shard] += r.size
+        slots[r.shard].append(r.slot)
+        where[r.size, r.text_crc32].add(r.shard)
+    assert len(got) == len(rows) and set(slots) <= set(range(shards)) and all(sorted(s) == list(range(len(s))) for s in slots.values())
+    return sums, where
+
+
+def test_shards(spark, docs, awkward, none, tmp_path):
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    sums, where = brute_shards(rows, sharding.assign_shards(docs).collect())
+    share = sum(sums.values()) / 16
+    longest = max(len((t or "").encode()) for _, t in rows)
+    assert len(sums) == 16 and max(sums.values()) <= share * 1.01 + longest and min(sums.values()) >= share * 0.99 - longest
+    assert all(len(s) == 1 for s in where.values())  # equal texts stay together
+    brute_shards([(r[0], r[1]) for r in AWKWARD], sharding.assign_shards(awkward).collect())
     assert sharding.assign_shards(none).count() == 0
+    sharding.write_shards(awkward.withColumn("slot", F.lit("own")), str(tmp_path / "out"))
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert sorted((r.doc_id, r.text or "") for r in back.collect()) == sorted((i, t or "") for i, t, *_ in AWKWARD)
+    assert set(back.columns) == {*awkward.columns, "slot", "shard"}
+
+
+def test_heavy_groups_are_found_by_rounds(spark):
+    df = spark.createDataFrame([(1 << 40, 50), (-5, 70)] + [(i * 7919 << 30, 1) for i in range(500)] + [(1 << 40, 60), ((1 << 40) + 1, 99)], "h long, size long")
+    assert sorted(sharding._heavy(df, 98)) == [((1 << 40), 110), ((1 << 40) + 1, 99)] and sharding._heavy(df, 1000) == []
 
 
 def test_shards_hold_the_law_beside_a_large_group(spark):
