@@ -283,7 +283,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
     rows = scratch.save(docs.mapInArrow(_sketch_rows(shingle), schema).withColumn("row", F.monotonically_increasing_id()), "rows")
     classes = rows.filter("n > 0").groupBy(*SAME).agg(F.min(F.struct("doc_id", "row")).alias("first"), F.count("*").alias("held"))
     classes = scratch.save(classes.select(*SAME, F.col("first.row").alias("id"), F.col("first.doc_id").alias("doc_id"), "held"), "classes")
-    heads = rows.join(classes.select(F.col("id").alias("row")), "row", "left_semi")
+    shown = classes.select(F.col("id").alias("row"))
+    heads = rows.join(F.broadcast(shown) if classes.count() <= BROADCAST_IDS else shown, "row", "left_semi")
     heads = scratch.save(heads.select(F.col("row").alias("id"), "n", "sketch", "keys"), "heads")
 
     banded = heads.select("id", "n", F.explode("keys").alias("key"))
