@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Iterator
 
 import pandas as pd
 import regex
@@ -11,28 +12,31 @@ from pyspark.sql import functions as F
 
 from slotweave.functions.pretok import JAVA, PYTHON
 from slotweave.operators.encode import ChunkEncoder
-from slotweave.operators.mintoken import Trie, segment, vocabulary
+from slotweave.operators.mintoken import Trie, fewest, segment, vocabulary
 from slotweave.operators.visibility import Tokenizer
 
 
 def register(spark: SparkSession, tok: Tokenizer) -> None:
     @F.pandas_udf("array<int>")
-    def tok_encode(chunk: pd.Series) -> pd.Series:
+    def tok_encode(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         one = ChunkEncoder(tok)
-        return chunk.map(lambda c: one(c or ""))
+        for chunk in batches:
+            yield chunk.map(lambda c: one(c or ""))
 
     words = vocabulary(tok)
     grammar = regex.compile(PYTHON)
 
     @F.pandas_udf("int")
-    def tok_min_count(chunk: pd.Series) -> pd.Series:
+    def tok_min_count(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         trie = Trie(words)
-        return chunk.map(lambda c: len(segment(trie, (c or "").encode())))
+        for chunk in batches:
+            yield chunk.map(lambda c: fewest(trie, (c or "").encode()))
 
     @F.pandas_udf("array<int>")
-    def tok_min_segment(chunk: pd.Series) -> pd.Series:
+    def tok_min_segment(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         trie = Trie(words)
-        return chunk.map(lambda c: segment(trie, (c or "").encode()))
+        for chunk in batches:
+            yield chunk.map(lambda c: segment(trie, (c or "").encode()))
 
     @F.pandas_udf("string")
     def tok_decode(ids: pd.Series) -> pd.Series:

@@ -52,29 +52,29 @@ def encode(docs: DataFrame, tok: Tokenizer, text: str = "text", id_col: str = "d
     return docs.select(F.col(id_col).cast("long").alias(id_col), chunks_of(F.col(text), pretok).alias("c")).mapInArrow(run, f"{id_col} long, ids array<int>")
 
 
-def encode_distinct(docs: DataFrame, tok: Tokenizer, text: str = "text", id_col: str = "doc_id") -> DataFrame:
-    """The same by way of distinct chunks: cheaper where chunks repeat and encoding is dear, at the cost of a join back."""
-    places = docs.select(F.col(id_col).cast("long").alias(id_col), F.posexplode(chunks_of(F.col(text))).alias("pos", "chunk"))
-    one = encode(places.select("chunk").distinct().select(F.xxhash64("chunk").alias(id_col), "chunk"), tok, "chunk", id_col).withColumnRenamed(id_col, "h")
-    got = places.withColumn("h", F.xxhash64("chunk")).join(one, "h").groupBy(id_col).agg(F.array_sort(F.collect_list(F.struct("pos", "ids"))).alias("p"))
-    return docs.select(F.col(id_col).cast("long").alias(id_col)).join(got.select(id_col, F.flatten(F.transform("p", lambda x: x["ids"])).alias("ids")), id_col, "left").withColumn("ids", F.coalesce("ids", F.array().cast("array<int>")))
-
-
 def encode_chunks_native(chunks: DataFrame, tok: Tokenizer) -> DataFrame:
-    """sym, n and the number of visible tokens, in DataFrame functions alone; for short merge lists."""
-    after = merged(chunks.withColumn("n", F.struct("sym", "n")), tok.log).select(F.col("n.sym").alias("sym"), F.col("n.n").alias("n"), F.col("sym").alias("out"))
-    fan = {symbol(t): len(e) for t, e in enumerate(tok.expansions()) if len(e) > 1}
+    """sym, n and the number of visible tokens: the merged chunk's symbols, and for each internal one how many more it becomes."""
+    after = merged(chunks.select("sym", "n", F.col("sym").alias("whole")), tok.log)
+    fan = {symbol(t): len(e) - 1 for t, e in enumerate(tok.expansions()) if len(e) > 1}
+    out = F.col("sym")
     extra = F.lit(0)
-    for s, n in fan.items():
-        extra = extra + (F.char_length("out") - F.char_length(F.replace(F.col("out"), F.lit(s), F.lit("")))) * (n - 1)
-    return after.select("sym", "n", (F.char_length("out") + extra).cast("long").alias("tokens"))
+    if fan:
+        table = F.create_map(*[F.lit(x) for pair in fan.items() for x in pair])
+        inner = F.filter(F.split(out, ""), lambda c: F.contains(F.lit("".join(fan)), c) & (c != ""))
+        extra = F.aggregate(inner, F.lit(0), lambda s, c: s + F.coalesce(table[c], F.lit(0)))
+    return after.select(F.col("whole").alias("sym"), "n", (F.char_length(out) + extra).cast("long").alias("tokens"))
 
 
 def decode_ids(encoded: DataFrame, tok: Tokenizer, id_col: str = "doc_id", ids: str = "ids") -> DataFrame:
-    """id and text: the bytes of the ids end to end."""
-    table = [tok.log.token_bytes(t).hex() for t in tok.visible] + [b"".hex()] * tok.n_reserved
-    spelled = F.transform(F.col(ids), lambda i: F.get(F.array(*[F.lit(x) for x in table]), i))
-    return encoded.select(id_col, F.decode(F.unhex(F.array_join(spelled, "")), "UTF-8").alias("text"))
+    """id and text: the bytes of the ids end to end; reserved tokens spell nothing."""
+    table = [tok.log.token_bytes(t) for t in tok.visible] + [b""] * tok.n_reserved
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            spelled = [None if i is None else b"".join(map(table.__getitem__, i)).decode("utf-8", "replace") for i in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(spelled, pa.string())], names=[id_col, "text"])
+
+    return encoded.select(F.col(id_col).cast("long").alias(id_col), ids).mapInArrow(run, f"{id_col} long, text string")
 
 
 def with_specials(ids: Column, tok: Tokenizer, end: bool = True, start: bool = False, pad_to: int | None = None) -> Column:

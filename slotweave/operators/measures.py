@@ -63,6 +63,25 @@ def support(tok: Tokenizer) -> list[tuple[int, int, int]]:
     return [(t, len(parents.get(t, set()) & seen), len(above[t] & seen)) for t in sorted(tok.internal)]
 
 
+def chains(tok: Tokenizer) -> list[tuple[int, list[int], list[int]]]:
+    """(internal token, the visible tokens merged from it at once, the shortest chain from it over internal tokens to a visible one, of equal ones
+    that of the earliest tokens): the chain is empty for an orphan."""
+    parents: dict[int, list[int]] = {}
+    for m in tok.log.merges:
+        for t in {m.left, m.right}:
+            parents.setdefault(t, []).append(m.token)
+    best: dict[int, list[int]] = {}
+    for t in range(255 + len(tok.log), 255, -1):
+        if t in tok.internal:
+            ways = [[p] if p not in tok.internal else [p, *best[p]] for p in parents.get(t, ()) if p not in tok.internal or best[p]]
+            best[t] = min(ways, key=lambda w: (len(w), w), default=[])
+    return [(t, [p for p in parents.get(t, ()) if p not in tok.internal], best[t]) for t in sorted(tok.internal)]
+
+
+def bytes_per_token(size: Column, tokens: Column) -> Column:
+    return F.round(size.cast("double") / tokens, 4)
+
+
 def slot_moves(standard: Tokenizer, vp: Tokenizer, spark: SparkSession) -> DataFrame:
     """Tokens that lost or gained a visible slot."""
     rows = [(t, "lost") for t in sorted(set(standard.visible) - set(vp.visible))] + [(t, "gained") for t in sorted(set(vp.visible) - set(standard.visible))]

@@ -50,6 +50,20 @@ def segment(trie: Trie, data: bytes) -> list[int]:
     return out
 
 
+def fewest(trie: Trie, data: bytes) -> int:
+    """How many words a shortest segmentation has."""
+    n = len(data)
+    cost, root = [0] * (n + 1), trie.root
+    for i in range(n - 1, -1, -1):
+        node, best, at = root, 1 << 60, i
+        while at < n and (node := node.get(data[at])) is not None:
+            at += 1
+            if -1 in node and cost[at] < best:
+                best = cost[at]
+        cost[i] = best + 1
+    return cost[0]
+
+
 def min_tokens(chunks: DataFrame, words: list[bytes]) -> DataFrame:
     """sym, n, tokens."""
 
@@ -75,5 +89,24 @@ def min_tokens_relational(chunks: DataFrame, words: list[bytes]) -> DataFrame:
     return lists.select("sym", F.col("n").cast("long").alias("n"), F.get(fold, F.lit(0)).cast("long").alias("tokens"))
 
 
+def min_lengths(chunks: DataFrame, vocabularies: dict) -> dict:
+    """Fewest tokens of the whole corpus under each vocabulary, in one pass."""
+    keys = list(vocabularies)
+    shared = chunks.sparkSession.sparkContext.broadcast(list(vocabularies.values()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tries = [Trie(words) for words in shared.value]
+        totals = [0] * len(tries)
+        for batch in batches:
+            for sym, n in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                data = bytes(map(ord, sym))
+                for i, trie in enumerate(tries):
+                    totals[i] += n * fewest(trie, data)
+        yield pa.RecordBatch.from_arrays([pa.array(range(len(tries)), pa.int32()), pa.array(totals, pa.int64())], names=["i", "tokens"])
+
+    got = {r.i: r.tokens for r in chunks.select("sym", F.col("n").cast("long")).mapInArrow(run, "i int, tokens long").groupBy("i").agg(F.sum("tokens").alias("tokens")).collect()}
+    return {k: got.get(i, 0) for i, k in enumerate(keys)}
+
+
 def min_length(chunks: DataFrame, words: list[bytes]) -> int:
-    return min_tokens(chunks, words).agg(F.coalesce(F.sum(F.col("n") * F.col("tokens")), F.lit(0))).first()[0]
+    return min_lengths(chunks, {0: words})[0]

@@ -13,9 +13,11 @@ left to right, and ``repl`` logs what was really replaced.
 from __future__ import annotations
 
 import heapq
+import shutil
 import tempfile
+import uuid
 from collections import Counter, defaultdict
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
@@ -28,6 +30,8 @@ from slotweave.functions.symbols import symbol, to_symbols, token_of
 COMPACT, COMPACT_SYMBOLS = 2_000_000, 24_000_000
 #: Merges after which the strategies of many passes cut the lineage.
 CUT_EVERY = 8
+#: Merges up to which they are spelled as nested native replaces; longer logs go through one pass of Arrow batches.
+NESTED = 32
 #: Symbols of a chunk above which its merges go through a heap.
 LONG = 100
 LOG_SCHEMA = "rank int, left int, right int, token int, freq long, repl long, bytes binary, n_bytes int"
@@ -103,16 +107,34 @@ def _length(chunks: DataFrame) -> int:
     return chunks.agg(F.coalesce(F.sum(F.col("n") * F.char_length("sym")), F.lit(0))).first()[0]
 
 
-def _cut(chunks: DataFrame) -> DataFrame:
-    """A reliable checkpoint. A local session without a folder gets one of its own; a cluster has to name a shared one."""
-    spark = chunks.sparkSession
-    sc = spark.sparkContext
-    if not sc.getCheckpointDir():
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        if not named and sc.master.split("[")[0] != "local":
+class _Cuts:
+    """Lineage cut by written tables in the shared folder that the session names; each replaces the one before, so one copy is left, and close() frees that.
+    A local session without a folder gets one of its own; a cluster has to name a shared one."""
+
+    def __init__(self, spark: SparkSession):
+        sc = spark.sparkContext
+        folder = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+        if not folder and sc.master.split("[")[0] != "local":
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="slotweave-"))
-    return chunks.checkpoint()
+        self.spark, self.own = spark, None if folder else tempfile.mkdtemp(prefix="slotweave-")
+        self.root, self.last, self.count = f"{(folder or self.own).rstrip('/')}/training-{uuid.uuid4().hex[:12]}", None, 0
+
+    def __call__(self, chunks: DataFrame) -> DataFrame:
+        path, self.count = f"{self.root}/{self.count}", self.count + 1
+        chunks.write.mode("overwrite").parquet(path)
+        before, self.last = self.last, path
+        if before:
+            self._delete(before)
+        return self.spark.read.schema(chunks.schema).parquet(path)
+
+    def _delete(self, path: str) -> None:
+        where = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+    def close(self) -> None:
+        self._delete(self.root)
+        if self.own:
+            shutil.rmtree(self.own, ignore_errors=True)
 
 
 def merge_word(word: list[int], ranks: dict[tuple[int, int], int], made: Counter | None = None) -> list[int]:
@@ -162,17 +184,19 @@ def advance(chunks: DataFrame, done: list[Merge]) -> DataFrame:
     """The chunks after the merges of a log, in one pass whatever their number."""
     if not done:
         return chunks
-    ranks = {(m.left, m.right): m.token for m in done}
+    shared = chunks.sparkSession.sparkContext.broadcast({(m.left, m.right): m.token for m in done})
+    rest = [c for c in chunks.columns if c != "sym"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ranks = shared.value
         for batch in batches:
             words = ["".join(map(symbol, merge_word([ord(c) for c in s], ranks))) for s in batch.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), batch.column(1)], names=["sym", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *batch.columns[1:]], names=["sym", *rest])
 
-    return chunks.select("sym", F.col("n").cast("long").alias("n")).mapInArrow(run, "sym string, n long")
+    return chunks.select("sym", *rest).mapInArrow(run, ", ".join(f"{c} {dict(chunks.dtypes)[c]}" for c in ["sym", *rest]))
 
 
-def _stepwise(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
+def _stepwise(chunks: DataFrame, n: int, log: list[Merge], cut: Callable[[DataFrame], DataFrame]) -> list[Merge]:
     before = _length(chunks)
     while len(log) < n:
         top = top_pairs(pair_counts(chunks)).first()
@@ -180,14 +204,14 @@ def _stepwise(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
             break
         chunks = apply_merge(chunks, top.pair, 256 + len(log))
         if len(log) % CUT_EVERY == CUT_EVERY - 1:
-            chunks = _cut(chunks)
+            chunks = cut(chunks)
         after = _length(chunks)
         log.append(_merge(log, token_of(top.pair[0]), token_of(top.pair[1]), top.f, before - after))
         before = after
     return log
 
 
-def _delta(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
+def _delta(chunks: DataFrame, n: int, log: list[Merge], cut: Callable[[DataFrame], DataFrame]) -> list[Merge]:
     """Pair counts on the driver, bounded by the pairs of the alphabet; a merge is one narrow scan that returns count changes."""
     counts = {r.pair: r.f for r in pair_counts(chunks).collect()}
     heap = [(-f, p) for p, f in counts.items()]
@@ -212,11 +236,11 @@ def _delta(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
                 del counts[p]
         chunks = apply_merge(chunks, pair, 255 + len(log))
         if len(log) % CUT_EVERY == 0:
-            chunks = _cut(chunks)
+            chunks = cut(chunks)
     return log
 
 
-def _batch(chunks: DataFrame, n: int, log: list[Merge], width: int = 48) -> list[Merge]:
+def _batch(chunks: DataFrame, n: int, log: list[Merge], cut: Callable[[DataFrame], DataFrame], width: int = 48) -> list[Merge]:
     """Merges taken together while they don't touch and no pair born of them can be as frequent as the next."""
     spark = chunks.sparkSession
     while len(log) < n:
@@ -244,7 +268,7 @@ def _batch(chunks: DataFrame, n: int, log: list[Merge], width: int = 48) -> list
             sums.append(F.sum(F.col("n") * (F.char_length(step) - F.char_length(new))).alias(f"r{i}"))
             step = new
         repl = chunks.agg(*sums).first()
-        chunks = _cut(chunks.select(step.alias("sym"), "n"))
+        chunks = cut(chunks.select(step.alias("sym"), "n"))
         for (pair, f), replaced in zip(taken, repl, strict=True):
             log.append(_merge(log, token_of(pair[0]), token_of(pair[1]), f, replaced))
     return log
@@ -302,7 +326,8 @@ def incremental(words: list[list[int]], counts: list[int], n: int, token: int =
         token += 1
 
 
-def _compact(chunks: DataFrame, n: int, log: list[Merge]) -> list[Merge]:
+def _compact(chunks: DataFrame, n: int, log: list[Merge], cut: Callable[[DataFrame], DataFrame]) -> list[Merge]:
+    """One task: a worker holds the symbols as Python numbers and the places of each pair, about 150 bytes a symbol, so 3.6 GB at the bound."""
     more, first = n - len(log), 256 + len(log)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -331,14 +356,20 @@ def train_bpe(chunks: DataFrame, n_merges: int, strategy: str = "auto", resume:
         strategy = "compact" if rows <= COMPACT and symbols <= COMPACT_SYMBOLS else "batch"
     counts = resume.byte_counts if resume else byte_counts(chunks)
     chunks = advance(chunks, done)
-    if done and strategy != "compact":
-        chunks = _cut(chunks)
-    return MergeLog(tuple(STRATEGIES[strategy](chunks, n_merges, done)), counts)
+    cut = _Cuts(chunks.sparkSession)
+    try:
+        if done and strategy != "compact":
+            chunks = cut(chunks)
+        return MergeLog(tuple(STRATEGIES[strategy](chunks, n_merges, done, cut)), counts)
+    finally:
+        cut.close()
 
 
 def merged(chunks: DataFrame, log: MergeLog) -> DataFrame:
-    """The chunks after all merges of the log, by native replaces."""
+    """The chunks after all merges of the log: short ones by native replaces, others in one pass."""
+    if len(log) > NESTED:
+        return advance(chunks, list(log.merges))
     step = F.col("sym")
     for m in log.merges:
         step = F.replace(step, F.lit(symbol(m.left) + symbol(m.right)), F.lit(symbol(m.token)))
-    return chunks.select(step.alias("sym"), "n")
+    return chunks.withColumn("sym", step)

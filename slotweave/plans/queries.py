@@ -8,14 +8,15 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from slotweave.functions import cleaning
-from slotweave.functions.pretok import RE2, chunk_kind, pretokenize
+from slotweave.functions.pretok import KINDS, RE2, chunk_kind, pretokenize
 from slotweave.operators import corpus, measures as ms
-from slotweave.operators.encode import decode_ids, encode, encode_chunks_native, encode_distinct, encoded_length, length_from_log, vp_length_from_log, with_specials
-from slotweave.operators.exposure import absorption, exposure_by_count, exposure_from_log
+from slotweave.operators.encode import decode_ids, encode, encode_chunks_native, encoded_length, length_from_log, vp_length_from_log, with_specials
+from slotweave.operators.exposure import absorption, exposure_by_count, exposure_from_log, exposures
 from slotweave.operators.mintoken import min_length, min_tokens, min_tokens_relational, vocabulary
 from slotweave.operators.train import STRATEGIES, apply_merge, chunk_table, pair_counts, top_pairs, train_bpe
-from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, required_slots, tau_from_ratio
+from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, reexport, required_slots, tau_from_ratio
 from slotweave.plans import workloads
+from slotweave.sources.tables import over_all_cores
 from slotweave.streaming import streams
 
 #: Merges of the small training whose every step SQL repeats; learned slots of its exports, with which some tokens do turn internal; their visible size.
@@ -41,6 +42,11 @@ def t(spark, sf, name):
     return spark.read.parquet(f"{sf}/{name}.parquet")
 
 
+def texts(spark, sf, name):
+    """A table for work on its texts: all cores take part, even if it is one small file."""
+    return over_all_cores(t(spark, sf, name))
+
+
 PATTERN = RE2.replace("'", "''")
 CORPORA = """d AS (SELECT min(doc_id) AS doc_id, arg_min(lang, doc_id) AS lang, text FROM documents WHERE text IS NOT NULL GROUP BY text),
     corpora AS (SELECT *, CASE WHEN (lang = 'en' AND doc_id % 2 = 0) OR (lang <> 'en' AND doc_id % 4 = 0) THEN 'A' ELSE 'B' END AS corpus FROM d)"""
@@ -136,9 +142,14 @@ def pretok_roundtrip(spark, sf):
     return d.agg(F.count_if(F.array_join(pretokenize(F.col("text")), "") != F.col("text")).cast("int").alias("lost"))
 
 
-@query()
+_KIND = "CASE " + " ".join(f"WHEN regexp_matches(c, '{p.replace('IsLatin', 'Latin')}') THEN '{k}'" for k, p in KINDS) + " ELSE 'other' END"
+
+
+@query(f"SELECT lang, {_KIND} AS kind, CAST(sum(n) AS BIGINT) AS n FROM (SELECT lang, c, count(*) AS n FROM (SELECT lang, unnest(regexp_extract_all(text, '{PATTERN}')) AS c FROM documents) GROUP BY ALL) GROUP BY ALL")
 def pretok_class_counts(spark, sf):
-    return t(spark, sf, "documents").select("lang", F.explode(pretokenize(F.col("text"))).alias("c")).groupBy("lang", chunk_kind(F.col("c")).alias("kind")).agg(F.count("*").alias("n"))
+    """Chunks of each kind by language; a kind is found once for each distinct chunk."""
+    chunks = texts(spark, sf, "documents").select("lang", F.explode(pretokenize(F.col("text"))).alias("c")).groupBy("lang", "c").agg(F.count("*").alias("n"))
+    return chunks.groupBy("lang", chunk_kind(F.col("c")).alias("kind")).agg(F.sum("n").alias("n"))
 
 
 # training
@@ -146,18 +157,18 @@ def pretok_class_counts(spark, sf):
 
 @query(f"WITH {CORPORA}, {chunk_sql('documents')}, {SYMBOLS} SELECT md5(sym) AS sym, n FROM s0")
 def bpe_chunk_table(spark, sf):
-    return chunk_table(t(spark, sf, "documents")).select(F.md5(F.col("sym").cast("binary")).alias("sym"), "n")
+    return chunk_table(texts(spark, sf, "documents")).select(F.md5(F.col("sym").cast("binary")).alias("sym"), "n")
 
 
 @query(f"WITH {chunk_sql('documents')}, {SYMBOLS} SELECT hex(encode(substr(sym, i, 2))) AS pair, CAST(sum(n) AS BIGINT) AS f FROM s0, LATERAL (SELECT unnest(range(1, length(sym))) AS i) GROUP BY ALL")
 def bpe_pair_counts(spark, sf):
-    return pair_counts(chunk_table(t(spark, sf, "documents"))).select(F.hex(F.encode("pair", "UTF-8")).alias("pair"), "f")
+    return pair_counts(chunk_table(texts(spark, sf, "documents"))).select(F.hex(F.encode("pair", "UTF-8")).alias("pair"), "f")
 
 
 @query(f"""WITH {chunk_sql('documents')}, {SYMBOLS}, p AS (SELECT substr(sym, i, 2) AS pair, sum(n) AS f FROM s0, LATERAL (SELECT unnest(range(1, length(sym))) AS i) GROUP BY ALL ORDER BY f DESC, pair LIMIT 1)
     SELECT CAST(sum(n * (length(sym) - length(replace(sym, pair, chr(256))))) AS BIGINT) AS replaced FROM s0, p""")
 def bpe_apply_merge(spark, sf):
-    chunks = chunk_table(t(spark, sf, "documents"))
+    chunks = chunk_table(texts(spark, sf, "documents"))
     top = top_pairs(pair_counts(chunks)).first()
     size = lambda c: c.agg(F.sum(F.col("n") * F.char_length("sym")).alias("s"))
     return size(chunks).crossJoin(size(apply_merge(chunks, top.pair, 256)).withColumnRenamed("s", "after")).select((F.col("s") - F.col("after")).alias("replaced"))
@@ -194,8 +205,16 @@ def bpe_resume_equal(spark, sf):
 @query("SELECT s AS strategy, TRUE AS equal FROM (SELECT unnest(['batch', 'compact', 'delta', 'stepwise']) AS s)")
 def bpe_strategies_agree(spark, sf):
     chunks, log = small(spark, sf)
-    part = log.prefix(SMALL - 6)
-    return spark.createDataFrame([(s, train_bpe(chunks, SMALL, s, part) == log) for s in sorted(STRATEGIES)], "strategy string, equal boolean")
+    full = train_bpe(chunks, 100, "compact")
+    part = full.prefix(92)  # a job for each merge: the last eight alone
+    chunks = over_all_cores(chunks).persist()
+    logs = {s: train_bpe(chunks, 100, s, part if s == "stepwise" else None) for s in sorted(STRATEGIES)}
+    return spark.createDataFrame([(s, x == full and full.prefix(SMALL) == log) for s, x in logs.items()], "strategy string, equal boolean")
+
+
+@query(train_sql(100) + ' SELECT "rank", "left", "right", token, freq, repl FROM log')
+def bpe_train_benchmark(spark, sf):
+    return train_bpe(chunk_table(t(spark, sf, "benchmark")), 100, "batch").frame(spark).select("rank", "left", "right", "token", "freq", "repl")
 
 
 # exposure and visibility
@@ -249,7 +268,7 @@ def pruned(spark, sf):
     return prune_only(log, tau_from_ratio(log, SLOTS, "0.8"), VISIBLE).frame(spark).filter("kind in ('learned', 'internal')").select("token", "visible")
 
 
-@query()
+@query("SELECT TRUE AS refused")
 def infeasible_threshold(spark, sf):
     chunks, log = small(spark, sf)
     try:
@@ -279,14 +298,13 @@ _Q["length_closed_form"] = lambda spark, sf: spark.createDataFrame([(length_from
 _O["length_closed_form"] = _O["encode_length"]
 
 
-@query()
+@query("SELECT TRUE AS equal")
 def encode_vp_agrees(spark, sf):
-    """Encoding the texts, the distinct chunks, by native replaces, and the closed form give one length."""
+    """Encoding the texts, their distinct chunks in columns, and the closed form give one length."""
     chunks, tok, log = vp(spark, sf)
     texts = encode(t(spark, sf, "benchmark"), tok, id_col="item_id").agg(F.sum(F.size("ids"))).first()[0]
-    shared = encode_distinct(t(spark, sf, "benchmark"), tok, id_col="item_id").agg(F.sum(F.size("ids"))).first()[0]
     native = encode_chunks_native(chunks, tok).agg(F.sum(F.col("n") * F.col("tokens"))).first()[0]
-    return spark.createDataFrame([(texts == shared == native == encoded_length(chunks, tok) == vp_length_from_log(tok, log),)], "equal boolean")
+    return spark.createDataFrame([(texts == native == encoded_length(chunks, tok) == vp_length_from_log(tok, log),)], "equal boolean")
 
 
 #: After each merge: the bytes that every token spells, how many visible tokens it becomes, and their ids.
@@ -330,17 +348,17 @@ def decode_roundtrip(spark, sf):
 
 @query()
 def encode_documents(spark, sf):
-    """All documents under a tokenizer trained on them, with an end token."""
+    """All documents under the largest tokenizer trained on them, with an end token."""
     s = workloads.study(spark, sf)
-    tok = s.tokenizer("AB", s.budgets[0], "0.4")
-    return encode(t(spark, sf, "documents"), tok).select("doc_id", F.size(with_specials(F.col("ids"), tok)).alias("tokens"))
+    tok = s.tokenizer("AB", s.budgets[-1], "0.4")
+    return encode(texts(spark, sf, "documents"), tok).select("doc_id", F.size(with_specials(F.col("ids"), tok)).alias("tokens"))
 
 
-@query()
+@query("SELECT TRUE AS equal")
 def min_tokens_agree(spark, sf):
+    """The program over positions and the fold over joined edges, on all chunks."""
     chunks, tok, _ = vp(spark, sf)
-    few = chunks.filter(F.char_length("sym") <= 12)
-    a, b = min_tokens(few, vocabulary(tok)), min_tokens_relational(few, vocabulary(tok))
+    a, b = min_tokens(chunks, vocabulary(tok)), min_tokens_relational(chunks, vocabulary(tok))
     return spark.createDataFrame([(a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty(),)], "equal boolean")
 
 
@@ -380,17 +398,38 @@ def internal_support(spark, sf):
     return spark.createDataFrame(ms.support(vp(spark, sf)[1]), "token int, visible_parents long, visible_ancestors long")
 
 
-@query()
+@query("SELECT TRUE AS supported")
 def support_orphans(spark, sf):
+    """Of the largest budget: every internal token has a visible ancestor."""
     s = workloads.study(spark, sf)
-    tok = s.tokenizer("AB", s.budgets[0], "0.4")
+    tok = s.tokenizer("AB", s.budgets[-1], "0.4")
     return spark.createDataFrame([(all(above for _, _, above in ms.support(tok)),)], "supported boolean")
 
 
+@query(train_sql(SMALL * 4) + f""", tau AS (SELECT ceil(CAST('0.6' AS DECIMAL(3,2)) * freq) AS tau FROM log WHERE "rank" = {SLOTS - 1}),
+    all_ AS (SELECT log.token, coalesce(exposure, 0) >= tau AS eligible FROM log CROSS JOIN tau LEFT JOIN ex ON ex.token = log.token AND ex.step = {SMALL * 4}),
+    scan AS (SELECT *, sum(CASE WHEN eligible THEN 1 ELSE 0 END) OVER (ORDER BY token ROWS UNBOUNDED PRECEDING) AS run FROM all_)
+    SELECT token, eligible AS visible FROM scan WHERE run < {SLOTS} OR (run = {SLOTS} AND eligible)""")
+def reexport_threshold(spark, sf):
+    """One trained tree under another threshold, without training: exposures of the whole tree decide."""
+    log = small(spark, sf, SMALL * 4)[1]
+    tok = reexport(log, exposures(log), tau_from_ratio(log, SLOTS, "0.6"), VISIBLE)
+    return tok.frame(spark).filter("kind in ('learned', 'internal')").select("token", "visible")
+
+
+@query("SELECT TRUE AS equal")
+def exposure_agrees_on_documents(spark, sf):
+    """Counting the symbols of all documents after every merge of the largest vocabulary, and the closed form from the log."""
+    s = workloads.study(spark, sf)
+    log = s.tokenizer("AB", s.budgets[-1], "0.4").log
+    counted, closed = exposure_by_count(s.chunks("AB"), log), exposure_from_log(log, spark)
+    return spark.createDataFrame([(counted.exceptAll(closed).isEmpty() and closed.exceptAll(counted).isEmpty(),)], "equal boolean")
+
+
 @query()
 def slot_moves(spark, sf):
     s = workloads.study(spark, sf)
-    return ms.slot_moves(s.tokenizer("AB", s.budgets[0]), s.tokenizer("AB", s.budgets[0], "0.4"), spark)
+    return ms.slot_moves(s.tokenizer("AB", s.budgets[-1]), s.tokenizer("AB", s.budgets[-1], "0.4"), spark)
 
 
 @query(STATE_SQL + f""" SELECT token, move, array_to_string(list_transform(string_split(l[token + 1], ''), lambda c: printf('%02x', unicode(c))), '') AS bytes
@@ -408,7 +447,7 @@ def small_marginal_curve(spark, sf):
     rows = [("X", "X", m, "0", "native", length_from_log(log, m), 0) for m in (16, 32, 48, SLOTS)]
     df = spark.createDataFrame(rows, ms.LENGTHS)
     saved = ms.marginal_reduction(df).select("n_visible", "reduction")
-    return df.join(saved, "n_visible", "left").select(F.col("n_visible").alias("merges"), "tokens", F.round(F.lit(float(sum(log.byte_counts))) / F.col("tokens"), 4).alias("bytes_per_token"), "reduction")
+    return df.join(saved, "n_visible", "left").select(F.col("n_visible").alias("merges"), "tokens", ms.bytes_per_token(F.lit(sum(log.byte_counts)), F.col("tokens")).alias("bytes_per_token"), "reduction")
 
 
 THRESHOLDS = ["0.6", "0.7", "0.8"]
@@ -451,8 +490,132 @@ def small_nesting(spark, sf):
     return spark.createDataFrame(rows, "low string, high string, violations long")
 
 
-for _w in workloads.WORKLOADS:
-    _Q[_w.__name__] = _w
+_Q.update(workloads.WORKLOADS)
+
+
+# the experiments over three trainings, on the passages of benchmark: even, odd and all items in place of the corpora
+
+SLOT_SIZES, TRIO_RATIOS = [40, 64, 72], ["0.4", "0.5", "0.7"]
+
+
+def small_study(spark, sf):
+    items = t(spark, sf, "benchmark")
+    part = {"A": items.filter("item_id % 2 = 0"), "B": items.filter("item_id % 2 = 1"), "AB": items}
+    return workloads.Study(spark, lambda name: chunk_table(part[name]), [260 + n for n in SLOT_SIZES], TRIO_RATIOS)
+
+
+MOST_MERGES = 88
+TRIO = "tr AS (SELECT unnest(['A', 'B', 'AB']) AS tr), items AS (SELECT tr, text FROM benchmark, tr WHERE tr = 'AB' OR (tr = 'A') = (item_id % 2 = 0))"
+#: Three trainings at once; a step's pair is the most frequent one of its training.
+TRIO_SQL = f"""WITH RECURSIVE {TRIO},
+    ch AS (SELECT tr, c AS chunk, count(*) AS n FROM (SELECT tr, unnest(regexp_extract_all(text, '{PATTERN}')) AS c FROM items) GROUP BY ALL),
+    {SYMBOLS.replace("AS sym, n FROM ch", "AS sym, tr, n FROM ch")},
+    r AS (SELECT 0 AS step, tr, sym, n FROM s0 UNION ALL
+        SELECT step + 1, r.tr, replace(sym, top.pair, chr(256 + step)), n FROM r JOIN
+            (SELECT tr, pair FROM (SELECT tr, pair, row_number() OVER (PARTITION BY tr ORDER BY f DESC, pair) AS k FROM
+                (SELECT tr, substr(sym, i, 2) AS pair, sum(n) AS f FROM r, LATERAL (SELECT unnest(range(1, length(sym))) AS i) GROUP BY ALL)) WHERE k = 1) AS top USING (tr)
+        WHERE step < {MOST_MERGES}),
+    pc AS (SELECT step, tr, substr(sym, i, 2) AS pair, sum(n) AS f FROM r, LATERAL (SELECT unnest(range(1, length(sym))) AS i) GROUP BY ALL),
+    top AS (SELECT step, tr, pair, f FROM (SELECT *, row_number() OVER (PARTITION BY step, tr ORDER BY f DESC, pair) AS k FROM pc) WHERE k = 1 AND step < {MOST_MERGES}),
+    log AS (SELECT tr, step AS "rank", unicode(substr(pair, 1, 1)) AS "left", unicode(substr(pair, 2, 1)) AS "right", 256 + step AS token, f AS freq FROM top),
+    ex AS (SELECT step, tr, unicode(substr(sym, i, 1)) AS token, sum(n) AS exposure FROM r, LATERAL (SELECT unnest(range(1, length(sym) + 1)) AS i) GROUP BY ALL),
+    size AS (SELECT unnest({SLOT_SIZES}) AS slots),
+    tau AS (SELECT tr, slots, ratio, ceil(CAST(ratio AS DECIMAL(3,2)) * freq) AS tau FROM log, size, (SELECT unnest({TRIO_RATIOS}) AS ratio) WHERE "rank" = slots - 1 AND slots < {SLOT_SIZES[-1]}),
+    em AS (SELECT tau.*, m.m, log.token, coalesce(ex.exposure, 0) >= tau AS eligible FROM tau JOIN (SELECT unnest(range(0, {MOST_MERGES + 1})) AS m) m ON m.m >= slots
+        JOIN log ON log.tr = tau.tr AND log."rank" < m.m LEFT JOIN ex ON ex.step = m.m AND ex.tr = tau.tr AND ex.token = log.token),
+    best AS (SELECT tr, slots, ratio, min(m) AS m FROM (SELECT tr, slots, ratio, m FROM em WHERE eligible GROUP BY ALL HAVING count(*) >= any_value(slots)) GROUP BY ALL),
+    cut AS (SELECT em.tr, em.slots, em.ratio, token, eligible FROM em JOIN best ON em.tr = best.tr AND em.slots = best.slots AND em.ratio = best.ratio AND em.m = best.m),
+    fan AS (SELECT tr, slots, ratio, 0 AS step, list_transform(range(256), lambda i: CAST(1 AS BIGINT)) AS f FROM tau UNION ALL
+        SELECT fan.tr, fan.slots, fan.ratio, step + 1, list_append(f, CASE WHEN coalesce(eligible, TRUE) THEN 1 ELSE f["left" + 1] + f["right" + 1] END)
+        FROM fan JOIN log ON log.tr = fan.tr AND "rank" = step LEFT JOIN cut ON cut.tr = fan.tr AND cut.slots = fan.slots AND cut.ratio = fan.ratio AND cut.token = log.token WHERE step < {MOST_MERGES}),
+    cells AS (SELECT a.tr, b.tr AS ev FROM tr a, tr b WHERE b.tr <> 'AB' OR a.tr = 'AB'),
+    enc AS (SELECT 0 AS step, cells.tr, ev, sym, n FROM cells JOIN s0 ON s0.tr = ev UNION ALL
+        SELECT step + 1, enc.tr, ev, replace(sym, chr(CAST("left" AS INT)) || chr(CAST("right" AS INT)), chr(CAST(token AS INT))), n FROM enc JOIN log ON log.tr = enc.tr AND "rank" = step WHERE step < {MOST_MERGES}),
+    std AS (SELECT tr, ev, slots, sum(n * length(sym)) AS tokens FROM enc JOIN size ON step = slots GROUP BY ALL),
+    seen AS (SELECT step, tr, ev, unicode(substr(sym, i, 1)) AS token, sum(n) AS exposure FROM enc, LATERAL (SELECT unnest(range(1, length(sym) + 1)) AS i) GROUP BY ALL),
+    vp AS (SELECT best.tr, ev, best.slots, best.ratio, m - best.slots AS internal, sum(exposure * f[token + 1]) AS tokens FROM best JOIN fan ON fan.tr = best.tr AND fan.slots = best.slots AND fan.ratio = best.ratio AND fan.step = m
+        JOIN seen ON seen.step = m AND seen.tr = best.tr GROUP BY ALL),
+    cell AS (SELECT vp.*, std.tokens AS std, round(100.0 * CAST(std.tokens - vp.tokens AS DOUBLE) / CAST(std.tokens AS DOUBLE), 4) AS delta FROM vp JOIN std USING (tr, ev, slots))"""
+NAMED = "tr AS train, ev AS eval, CAST(slots + 260 AS INT) AS n_visible"
+
+
+@query(TRIO_SQL + f" SELECT {NAMED}, 'native' AS encoder, ratio, CAST(std AS BIGINT) AS len_std, CAST(tokens AS BIGINT) AS len_vp, delta FROM cell")
+def small_w03_lengths(spark, sf):
+    return workloads.w03_lengths(small_study(spark, sf))
+
+
+@query(TRIO_SQL + " SELECT tr AS train, CAST(slots + 260 AS INT) AS n_visible, ratio, CAST(internal AS INT) AS internal, round(100.0 * internal / slots, 2) AS share FROM vp WHERE tr = ev")
+def small_w04_internal_shares(spark, sf):
+    return workloads.w04_internal_shares(small_study(spark, sf))
+
+
+@query(TRIO_SQL + f""", lost AS (SELECT a.tr, a.slots, b.ratio, count(*) FILTER (WHERE h.eligible IS NULL OR h.eligible) AS violations FROM cut a JOIN tau b ON b.tr = a.tr AND b.slots = a.slots AND b.ratio = CASE a.ratio WHEN '{TRIO_RATIOS[0]}' THEN '{TRIO_RATIOS[1]}' WHEN '{TRIO_RATIOS[1]}' THEN '{TRIO_RATIOS[2]}' END
+        LEFT JOIN cut h ON h.tr = a.tr AND h.slots = a.slots AND h.ratio = b.ratio AND h.token = a.token WHERE NOT a.eligible GROUP BY ALL)
+    SELECT {NAMED}, ratio, CAST(internal AS INT) AS internal, delta, CAST(coalesce(violations, 0) AS INT) AS violations, tokens < lag(tokens) OVER w AS saves_more, internal >= lag(internal) OVER w AS hides_more,
+        internal >= lag(internal) OVER (PARTITION BY tr, ev, ratio ORDER BY slots) AS grows FROM cell LEFT JOIN lost USING (tr, slots, ratio) WINDOW w AS (PARTITION BY tr, ev, slots ORDER BY ratio)""")
+def small_w05_threshold_effect(spark, sf):
+    return workloads.w05_threshold_effect(small_study(spark, sf))
+
+
+@query(TRIO_SQL + f""", steps AS (SELECT tr, ev, slots, lead(slots) OVER w AS next, round(100.0 * CAST(tokens - lead(tokens) OVER w AS DOUBLE) / CAST(tokens AS DOUBLE), 2) AS reduction FROM std WHERE tr = ev WINDOW w AS (PARTITION BY tr ORDER BY slots))
+    SELECT {NAMED}, CAST(next + 260 AS INT) AS next_n, reduction, delta, round(delta / reduction, 4) AS relative FROM steps JOIN cell USING (tr, ev, slots) WHERE ratio = '{TRIO_RATIOS[-1]}'""")
+def small_w06_gain_beside_larger_vocabulary(spark, sf):
+    return workloads.w06_gain_beside_larger_vocabulary(small_study(spark, sf))
+
+
+#: Fewest tokens of every evaluation corpus under the standard and the strictest reallocated vocabularies trained on all items.
+LEAST_SQL = TRIO_SQL + f""", spelled AS (SELECT 0 AS step, list_transform(range(256), lambda i: chr(CAST(i AS INT))) AS l UNION ALL
+        SELECT step + 1, list_append(l, l["left" + 1] || l["right" + 1]) FROM spelled JOIN log ON "rank" = step AND tr = 'AB' WHERE step < {MOST_MERGES}),
+    names AS (SELECT l FROM spelled WHERE step = {MOST_MERGES}),
+    words AS (SELECT '0' AS ratio, slots, l[257:256 + slots] AS w FROM names, size WHERE slots < {SLOT_SIZES[-1]} UNION ALL
+        SELECT ratio, slots, list(l[token + 1]) FROM cut, names WHERE eligible AND tr = 'AB' AND ratio = '{TRIO_RATIOS[-1]}' GROUP BY ALL),
+    dp AS (SELECT ratio, slots, tr AS ev, sym, n, length(sym) AS i, [CAST(0 AS BIGINT)] AS costs, w FROM s0, words UNION ALL
+        SELECT ratio, slots, ev, sym, n, i - 1, list_prepend(1 + list_min(list_prepend(costs[1], list_transform(list_filter(w, lambda x: starts_with(substr(sym, i), x)), lambda x: costs[length(x)]))), costs), w FROM dp WHERE i > 0),
+    low AS (SELECT ratio, slots, ev, sum(n * costs[1]) AS minimum FROM dp WHERE i = 0 GROUP BY ALL),
+    both_ways AS (SELECT low.*, coalesce(vp.tokens, std.tokens) AS native FROM low JOIN std ON std.tr = 'AB' AND std.ev = low.ev AND std.slots = low.slots LEFT JOIN vp ON vp.tr = 'AB' AND vp.ev = low.ev AND vp.slots = low.slots AND vp.ratio = low.ratio)"""
+
+
+@query(LEAST_SQL + f""" SELECT 'AB' AS train, v.ev AS eval, CAST(v.slots + 260 AS INT) AS n_visible, 'minimum' AS encoder, v.ratio, CAST(s.minimum AS BIGINT) AS len_std, CAST(v.minimum AS BIGINT) AS len_vp,
+    round(100.0 * CAST(s.minimum - v.minimum AS DOUBLE) / CAST(s.minimum AS DOUBLE), 4) AS delta FROM low v JOIN low s ON s.ev = v.ev AND s.slots = v.slots AND s.ratio = '0' WHERE v.ratio <> '0'""")
+def small_w08_minimum_tokens(spark, sf):
+    return workloads.w08_minimum_tokens(small_study(spark, sf))
+
+
+@query(LEAST_SQL + """ SELECT ev AS eval, CAST(slots + 260 AS INT) AS n_visible, ratio, CAST(native AS BIGINT) AS native, CAST(minimum AS BIGINT) AS minimum, minimum < native AS below,
+    round(100.0 * CAST(native - minimum AS DOUBLE) / CAST(native AS DOUBLE), 4) AS shorter FROM both_ways""")
+def small_w09_minimum_below_native(spark, sf):
+    return workloads.w09_minimum_below_native(small_study(spark, sf))
+
+
+@query(TRIO_SQL + f""", prunes AS (SELECT tau.tr, tau.slots, log.token, coalesce(ex.exposure, 0) >= tau.tau AS eligible FROM tau JOIN log ON log.tr = tau.tr AND log."rank" < tau.slots
+        LEFT JOIN ex ON ex.tr = tau.tr AND ex.token = log.token AND ex.step = tau.slots WHERE ratio = '{TRIO_RATIOS[-1]}'),
+    pfan AS (SELECT tr, slots, 0 AS step, list_transform(range(256), lambda i: CAST(1 AS BIGINT)) AS f FROM tau WHERE ratio = '{TRIO_RATIOS[-1]}' UNION ALL
+        SELECT pfan.tr, pfan.slots, step + 1, list_append(f, CASE WHEN eligible THEN 1 ELSE f["left" + 1] + f["right" + 1] END) FROM pfan JOIN log ON log.tr = pfan.tr AND "rank" = step JOIN prunes ON prunes.tr = pfan.tr AND prunes.slots = pfan.slots AND prunes.token = log.token WHERE step < pfan.slots),
+    pruned AS (SELECT pfan.tr, pfan.slots, sum(exposure * f[token + 1]) AS tokens FROM pfan JOIN ex ON ex.tr = pfan.tr AND ex.step = pfan.slots WHERE pfan.step = pfan.slots GROUP BY ALL),
+    kept AS (SELECT tr, slots, count(*) FILTER (WHERE eligible) AS left_ FROM prunes GROUP BY ALL)
+    SELECT tr AS train, CAST(slots + 260 AS INT) AS n_visible, method, CAST(visible AS INT) AS visible, CAST(tokens AS BIGINT) AS tokens FROM (
+        SELECT tr, slots, 'standard' AS method, slots + 260 AS visible, tokens FROM std WHERE tr = ev AND slots < {SLOT_SIZES[-1]} UNION ALL
+        SELECT tr, slots, 'prune_only', left_ + 260, tokens FROM pruned JOIN kept USING (tr, slots) UNION ALL
+        SELECT tr, slots, 'reallocated', slots + 260, tokens FROM vp WHERE tr = ev AND ratio = '{TRIO_RATIOS[-1]}')""")
+def small_w12_prune_only(spark, sf):
+    return workloads.w12_prune_only(small_study(spark, sf))
+
+
+#: Inputs of the pretokenizer whose scripts, runs and technical forms the tables lack.
+FIXTURES = [
+    "a b", "a  b", "x\n\ty", "\r\nx\r", "user_id", "déjà vu", "don't", "C'était", "GPT-4", "GPT4", "IPv6", "COVID-19", "Node.js", "file.java", "app.jsonl", "x.pyramid", "x.py, y.html.", ".py", "C++ C# F#", "abC#", "3.14", "10-20", "1.2.3-4", "123abc",
+    "abc123", "1949年6月24日", "ひらがな3カタカナ", "한글12 Seoul", "привет мир 5", "Ελλάδα2", " 漢字", "Montréal", "a,b", "...", "))", "---", "===", "-=-=", "</div>", "<br/>", "\ufffd", "😀😀", "e\u0301te\u0301", "漢\u0301字", "\u0301", "", " ", "\x00\x01",
+]
+
+
+def _hex(text: str) -> str:
+    return text.encode().hex()
+
+
+@query("SELECT fixture, chunk, CAST(pos AS INT) AS pos FROM (SELECT fixture, unnest(c) AS chunk, unnest(range(0, len(c))) AS pos FROM (SELECT x AS fixture, list_transform(regexp_extract_all(decode(unhex(x)), '" + PATTERN + "'), lambda c: lower(hex(encode(c)))) AS c FROM (SELECT unnest([" + ", ".join(f"'{_hex(x)}'" for x in FIXTURES) + "]) AS x)))")
+def pretok_fixtures(spark, sf):
+    texts = spark.createDataFrame([(_hex(x), x) for x in FIXTURES], "fixture string, text string")
+    return texts.select("fixture", F.posexplode(pretokenize(F.col("text"))).alias("pos", "chunk")).select("fixture", F.lower(F.hex(F.encode("chunk", "UTF-8"))).alias("chunk"), "pos")
 
 
 # surrounding operators

@@ -16,6 +16,12 @@ def read(spark: SparkSession, path: str, kind: str, schema: str = DOCUMENTS) ->
     return reader.format(kind).load(path)
 
 
+def over_all_cores(df: DataFrame) -> DataFrame:
+    """Rows of fewer splits than cores, such as one small file, dealt over all cores; larger inputs stay as they are."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def write(df: DataFrame, path: str, kind: str, by: str | None = None) -> None:
     writer = df.write.mode("overwrite").format(kind)
     if kind == "csv":

@@ -9,16 +9,17 @@ import pytest
 import regex
 from pyspark.sql import functions as F
 
+from slotweave.functions import cleaning
 from slotweave.functions.pretok import PYTHON, pretokenize
-from slotweave.operators import measures as ms
-from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encoded_length, length_from_log, vp_length_from_log
+from slotweave.operators import corpus, measures as ms
+from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encode_chunks_native, encoded_length, length_from_log, replay, vp_length_from_log, with_specials
 from slotweave.operators.exposure import exposure_by_count, exposures
-from slotweave.operators.mintoken import Trie, min_length, min_tokens, min_tokens_relational, segment, vocabulary
+from slotweave.operators.mintoken import Trie, fewest, min_length, min_tokens, min_tokens_relational, segment, vocabulary
 from slotweave.operators import train
-from slotweave.operators.train import STRATEGIES, advance, chunk_table, merged, train_bpe
-from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, required_slots, tau_from_ratio
+from slotweave.operators.train import STRATEGIES, TrainingExhausted, advance, chunk_table, merged, train_bpe
+from slotweave.operators.visibility import InsufficientCandidates, export_standard, prune_only, reallocate, reexport, required_slots, tau_from_ratio
 from slotweave.plans import workloads
-from slotweave.sources.bundles import load_checkpoint, load_tokenizer, save_checkpoint, save_tokenizer
+from slotweave.sources.bundles import load_checkpoint, load_tokenizer, save_checkpoint, save_tokenizer, uses_pretokenizer
 
 EXAMPLE = [("abc", 4), ("bc", 2), ("abcd", 2), ("xy", 3)]
 
@@ -267,6 +268,139 @@ def test_late_rows_are_dropped_and_counted(spark, tmp_path):
     assert spark.table("late").agg(F.sum("n")).first()[0] == 3  # the last day's window stays open
 
 
+def test_bound_on_training(spark, chunks):
+    log = train_bpe(chunks, 2, "compact")
+    with pytest.raises(InsufficientCandidates):  # the third merge would be needed
+        reallocate(chunks, log, 262, "0.40", n_max=258)
+    assert reallocate(chunks, log, 262, "0.40", n_max=259)[0].internal == {256}
+    with pytest.raises(TrainingExhausted):
+        export_standard(log, 400)
+    with pytest.raises(TrainingExhausted):
+        reallocate(chunks, log, 400, "0.1")
+    assert len(train_bpe(chunks, 500, "compact")) < 500
+
+
+def test_reexport_needs_no_training(spark, trained):
+    c, log = trained
+    n = 260 + 60
+    tok, longer = reallocate(c, log, n, "0.4")
+    own = tok.log
+    assert reexport(own, exposures(own), tok.tau, n) == tok
+    with pytest.raises(InsufficientCandidates):
+        reexport(own, exposures(own), 10**9, n)
+
+
+def test_replay_is_the_encoded_length_on_all_pairs(spark, sf):
+    items = spark.read.parquet(f"{sf}/benchmark.parquet")
+    parts = {"A": items.filter("item_id % 2 = 0"), "B": items.filter("item_id % 2 = 1"), "AB": items}
+    tables = {k: chunk_table(v).persist() for k, v in parts.items()}
+    for a in parts:
+        log = train_bpe(tables[a], 90, "compact")
+        tok, log = reallocate(tables[a], log, 260 + 64, "0.5")
+        for b in parts:
+            on = replay(log, tables[b])
+            assert vp_length_from_log(tok, on) == encoded_length(tables[b], tok)
+            assert length_from_log(on, 64) == encoded_length(tables[b], export_standard(log, 260 + 64))
+            if a == b:
+                assert [m.repl for m in on.merges] == [m.repl for m in log.merges]
+
+
+def test_specials_around_ids(spark, trained):
+    tok = export_standard(trained[1], 300)
+    df = spark.createDataFrame([([1, 2],), ([],)], "ids array<int>")
+    first = len(tok.visible)
+    got = [r[0] for r in df.select(with_specials(F.col("ids"), tok, start=True, pad_to=6)).collect()]
+    assert got == [[first + 1, 1, 2, first, first + 3, first + 3], [first + 1, first, first + 3, first + 3, first + 3, first + 3]]
+    assert [r[0] for r in df.select(with_specials(F.col("ids"), tok, end=False)).collect()] == [[1, 2], []]
+    back = decode_ids(spark.createDataFrame([(1, got[0])], "doc_id long, ids array<int>"), tok).first().text
+    assert back.encode() == bytes([1, 2])
+
+
+def test_ties_take_the_longest_first_word():
+    words = [b"a", b"b", b"c", b"ab", b"bc"]
+    assert segment(Trie(words), b"abc") == [3, 2]
+    assert [fewest(Trie(words), w) for w in (b"", b"a", b"abc", b"abcbc")] == [0, 1, 2, 3]
+
+
+def test_chains_end_at_visible_tokens(spark, trained):
+    c, log = trained
+    tok, _ = reallocate(c, log, 320, "0.8")
+    assert tok.internal
+    counts = {t: (direct, above) for t, direct, above in ms.support(tok)}
+    for t, parents, chain in ms.chains(tok):
+        assert len(parents) == counts[t][0] and bool(chain) == bool(counts[t][1])
+        assert all(x in tok.internal for x in chain[:-1]) and not (chain and chain[-1] in tok.internal)
+        assert all(tok.log.token_bytes(a) in tok.log.token_bytes(b) for a, b in zip([t, *chain], chain, strict=False))
+        assert len(chain) == 1 if parents else len(chain) != 1
+
+
+def test_bundle_records_the_pretokenizer(spark, trained, tmp_path):
+    tok = export_standard(trained[1], 300)
+    for pretok in (True, False):
+        save_tokenizer(tok, str(tmp_path / str(pretok)), spark, pretok)
+        assert uses_pretokenizer(spark, str(tmp_path / str(pretok))) == pretok and load_tokenizer(spark, str(tmp_path / str(pretok))) == tok
+
+
+def test_training_keeps_one_table_and_frees_it(spark, chunks, tmp_path, monkeypatch):
+    seen, roots = [], set()
+    old = train._Cuts.__call__
+
+    def counted(self, c):
+        out = old(self, c)
+        roots.add(self.root.removeprefix("file:"))
+        seen.append(sum(not f.startswith(".") for f in os.listdir(self.root.removeprefix("file:"))))
+        return out
+
+    monkeypatch.setattr(train._Cuts, "__call__", counted)
+    train_bpe(chunks, 3, "batch")
+    assert seen and set(seen) == {1} and not any(os.path.exists(r) for r in roots)
+
+
+def test_long_logs_count_like_the_closed_form(spark, trained):
+    c, log = trained
+    assert len(log) > train.NESTED
+    assert {r.token: r.exposure for r in exposure_by_count(c, log).collect()} == dict(enumerate(exposures(log)))
+    tok, more = reallocate(c, log, 320, "0.6")
+    assert encode_chunks_native(c, tok).agg(F.sum(F.col("n") * F.col("tokens"))).first()[0] == encoded_length(c, tok)
+
+
+def test_budgets_follow_the_size():
+    sizes = [0, 10**5, 10**6, 10**7, 640 * 10**6, 10**14]
+    tops = [workloads.budgets_for(n)[-1] for n in sizes]
+    assert tops == sorted(tops) and tops[0] >= 320 and 15_000 < tops[4] <= 20_000 == tops[5]
+    assert all(len(set(b - a for a, b in zip(x, x[1:], strict=False))) == 1 for x in map(workloads.budgets_for, sizes))
+
+
+def test_cleaning_changes_no_character(spark):
+    kept = ["ÀÉ ſt ﬁ Ａ\u00a0x", "É vs É", "tab\tline\nend\r\n", "ß SS ı İ", "漢字 ｶﾅ"]
+    df = spark.createDataFrame([(x,) for x in kept], "text string")
+    assert [r[0] for r in df.select(cleaning.strip_artifacts(F.col("text"))).collect()] == kept
+    assert [r[0] for r in df.select(cleaning.drop_repeated_lines(F.col("text"))).collect()] == kept
+    assert [r[0] for r in df.select(cleaning.strip_markup(F.col("text"))).collect()] == kept
+
+
+def test_shards_are_one_corpus(spark, trained, tmp_path):
+    docs = spark.createDataFrame([(i, f"text {i % 7} of many", "A" if i % 2 else "B") for i in range(40)], "doc_id long, text string, corpus string")
+    for k in range(3):
+        docs.filter(F.col("doc_id") % 3 == k).write.parquet(str(tmp_path / f"s{k}"))
+    whole = corpus.read_shards(spark, [str(tmp_path / f"s{k}") for k in range(3)])
+    assert chunk_table(whole).exceptAll(chunk_table(docs)).isEmpty() and whole.count() == 40
+    tok = export_standard(trained[1], 300)
+    from slotweave.sources.tables import write_ids
+
+    write_ids(encode(docs, tok).join(docs.select("doc_id", "corpus"), "doc_id"), str(tmp_path / "ids"))
+    back = spark.read.parquet(str(tmp_path / "ids"))
+    assert back.count() == 40 and len(os.listdir(tmp_path / "ids")) >= 2
+
+
+def test_token_kinds_and_balance(spark, trained):
+    kinds = {b"\xe6": "partial_utf8", b" \n": "whitespace", b"</": "markup", b"the": "latin_fragment", "é".encode(): "latin_fragment", "漢".encode(): "other_script", b"!": "other"}
+    assert {k: ms.token_class(k) for k in kinds} == kinds
+    x = sorted(exposures(trained[1])[256:])
+    brute = sum(abs(a - b) for a in x for b in x) / (2 * len(x) * sum(x))
+    assert abs(ms.usage_balance(export_standard(trained[1], 260 + len(trained[1]))) - brute) < 1e-9
+
+
 def test_domain_export_trains_until_no_pair_is_left(spark, sf, monkeypatch):
     rounds = []
 
@@ -274,14 +408,13 @@ def test_domain_export_trains_until_no_pair_is_left(spark, sf, monkeypatch):
         rounds.append(len(log))
         return None
 
-    short = workloads.Study(spark, sf)
+    short = workloads.Study.of_folder(spark, sf)
     need = required_slots(short.budgets[0])
     full = train_bpe(short.chunks("AB"), need + 8)
     short._logs["AB"] = full.prefix(need)
-    monkeypatch.setattr(workloads, "study", lambda *_: short)
     monkeypatch.setattr(workloads, "trained_far_enough", far_enough)
     monkeypatch.setattr(workloads, "train_bpe", lambda chunks, n, resume: full.prefix(min(len(resume) + 1, len(full))))
     with pytest.raises(InsufficientCandidates):
-        workloads.w13_domain_export(spark, sf)
+        workloads.w13_domain_export(short)
     assert rounds == list(range(need, need + 9))
     short.close()
