@@ -20,11 +20,23 @@ def too_many(counts: DataFrame, keys: list[str], count: str, total: int) -> Data
     return counts.filter(F.col(count) > bound).select(*keys, F.ceil(F.col(count) / bound).cast("int").alias("__parts"))
 
 
-def spread_join(rows: DataFrame, unique: DataFrame, keys: list[str], how: str = "inner", hot: DataFrame | None = None) -> DataFrame:
+def spread_join(rows: DataFrame, unique: DataFrame, keys: list[str], how: str = "inner", hot: DataFrame | None = None, merge: bool = False) -> DataFrame:
     """rows joined with unique, which has each key once. A hot key's rows are dealt over parts by their own hash, and its
-    row of unique is repeated for each part, so no task gets more than a bounded number of them. hot: the keys with __parts, if known."""
+    row of unique is repeated for each part, so no task gets more than a bounded number of them. hot: the keys with __parts, if known.
+    merge: sort and merge whatever the sizes, so that what moves grows as the input does."""
     hot = hot_keys(rows, keys) if hot is None else hot
     parts = F.coalesce("__parts", F.lit(1))
     salted = rows.join(F.broadcast(hot), keys, "left").withColumn("__part", F.pmod(F.xxhash64(*rows.columns), parts).cast("int")).drop("__parts")
     copies = unique.join(F.broadcast(hot), keys, "left").withColumn("__part", F.explode(F.sequence(F.lit(0), parts - 1))).drop("__parts")
-    return salted.join(copies, [*keys, "__part"], how).drop("__part")
+    return salted.join(copies.hint("merge") if merge else copies, [*keys, "__part"], how).drop("__part")
+
+
+#: Parts over which fanned_join deals every key.
+FANS = 8
+
+
+def fanned_join(rows: DataFrame, unique: DataFrame, keys: list[str]) -> DataFrame:
+    """The same for narrow rows, without counting: every key's rows are dealt over a few parts, and every row of unique is repeated for each."""
+    salted = rows.withColumn("__part", F.pmod(F.xxhash64(*rows.columns), F.lit(FANS)).cast("int"))
+    copies = unique.withColumn("__part", F.explode(F.sequence(F.lit(0), F.lit(FANS - 1))))
+    return salted.join(copies, [*keys, "__part"]).drop("__part")

@@ -298,7 +298,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
     least = percent / 100 - ERRORS * (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
 
     stars = scratch.save(stars, "stars")
-    both = spread_join(stars, sketch.toDF("b", "sb", "nb"), ["b"]).join(sketch.toDF("a", "sa", "na"), "a")
+    # by merges at every size, so that what moves grows as the input does
+    both = spread_join(stars, sketch.toDF("b", "sb", "nb"), ["b"], merge=True).join(sketch.toDF("a", "sa", "na").hint("merge"), "a")
     likely = both.select("a", "b", "sa", "sb", "na", "nb").mapInArrow(_likely(least), "a long, b long")
     likely = scratch.save(likely, "stars-likely")
     links = scratch.save(_exact(docs, classes, likely, shingle, percent), "stars-links")
@@ -314,7 +315,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
         mixed = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max(F.struct("held", "root")).alias("main"), F.sum("held").alias("all")).filter("roots > 1")
         mixed = scratch.save(mixed.select("key", "all", F.col("main.root").alias("main"), F.ceil((F.col("all") - F.col("main.held")) / TILE).alias("us"), F.ceil(F.col("all") / TILE).alias("rs")), f"{name}-mixed")
         labelled = spread_join(labelled, mixed.drop("all"), ["key"], hot=too_many(mixed, ["key"], "all", total))
-        labelled = scratch.save(labelled.join(sketch.select("id", "sketch"), "id") if best else labelled, f"{name}-open")
+        labelled = scratch.save(labelled.join(sketch.select("id", "sketch").hint("merge"), "id") if best else labelled, f"{name}-open")
         open_ = labelled.select("key", "id", "n", "sketch")
         more = scratch.save(_exact_likely(docs, classes, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
         if not more.isEmpty():
