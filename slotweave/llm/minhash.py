@@ -135,7 +135,6 @@ def _sketch_rows(k: int):
                 elements, sizes = shingle_sets(raws, k)
                 registers = sketches(elements, sizes)
                 print_ = _prints(elements, np.concatenate([[0], np.cumsum(sizes)]))
-                keys = band_keys(registers).view(np.int64)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column(0).slice(start, len(raws)),
@@ -143,14 +142,22 @@ def _sketch_rows(k: int):
                         pa.array(print_[0]),
                         pa.array(print_[1]),
                         pa.array([r.tobytes() for r in registers], pa.binary()),
-                        pa.ListArray.from_arrays(pa.array(np.arange(len(raws) + 1, dtype=np.int32) * BANDS), pa.array(keys.ravel())),
                     ],
-                    names=["doc_id", "n", "print1", "print2", "sketch", "keys"],
+                    names=["doc_id", "n", "print1", "print2", "sketch"],
                 )
 
     return run
 
 
+def _band_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The band keys of (id, n, sketch): made from the registers where needed, as kept ones would be half as large again as these."""
+    for batch in batches:
+        registers = np.frombuffer(b"".join(batch.column(2).to_pylist()), np.uint16).reshape(-1, REGISTERS)
+        keys = pa.array(band_keys(registers).view(np.int64).ravel(), pa.int64())
+        edges = pa.array(np.arange(batch.num_rows + 1, dtype=np.int32) * BANDS)
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.ListArray.from_arrays(edges, keys)], names=["id", "n", "keys"])
+
+
 def _set_rows(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -279,22 +286,28 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
     """A row per document: doc_id, n_shingles, component_id, kept, class_id (a number of its class; null without a shingle)."""
     scratch = Scratch(docs.sparkSession, "minhash")
     docs = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    schema = "doc_id long, n long, print1 long, print2 long, sketch binary, keys array<bigint>"
-    rows = scratch.save(docs.mapInArrow(_sketch_rows(shingle), schema).withColumn("row", F.monotonically_increasing_id()), "rows")
+    schema = "doc_id long, n long, print1 long, print2 long, sketch binary"
+    sketched = scratch.save(docs.mapInArrow(_sketch_rows(shingle), schema).withColumn("row", F.monotonically_increasing_id()), "sketched")
+    rows = scratch.save(sketched.drop("sketch"), "rows")
     classes = rows.filter("n > 0").groupBy(*SAME).agg(F.min(F.struct("doc_id", "row")).alias("first"), F.count("*").alias("held"))
     classes = scratch.save(classes.select(*SAME, F.col("first.row").alias("id"), F.col("first.doc_id").alias("doc_id"), "held"), "classes")
     shown = classes.select(F.col("id").alias("row"))
-    heads = rows.join(F.broadcast(shown) if classes.count() <= BROADCAST_IDS else shown, "row", "left_semi")
-    heads = scratch.save(heads.select(F.col("row").alias("id"), "n", "sketch", "keys"), "heads")
+    heads = sketched.join(F.broadcast(shown) if classes.count() <= BROADCAST_IDS else shown, "row", "left_semi")
+    heads = scratch.save(heads.select(F.col("row").alias("id"), "n", "sketch"), "heads")
+    scratch.drop("sketched")  # one sketch of each class is enough from here on
 
-    banded = heads.select("id", "n", F.explode("keys").alias("key"))
+    banded = heads.select("id", "n", "sketch").mapInArrow(_band_rows, "id long, n long, keys array<bigint>").select("id", "n", F.explode("keys").alias("key"))
     tops = banded.groupBy("key").agg(F.min(F.struct("id", "n")).alias("top"), F.count("*").alias("held")).filter("held > 1")
     members = spread_join(banded, tops.select("key", "top"), ["key"], hot=too_many(tops, ["key"], "held", heads.count() * BANDS))
     members = scratch.save(members.select("key", "id", "n", F.col("top.id").alias("head"), F.col("top.n").alias("head_n")), "members")
     near = lambda x, y: (100 * F.least(x, y) >= percent * F.greatest(x, y))  # noqa: E731  the smaller set must reach the similarity even if it lies in the larger
     stars = members.filter((F.col("id") != F.col("head")) & near(F.col("n"), F.col("head_n"))).select(F.col("id").alias("a"), F.col("head").alias("b")).distinct()
 
-    sketch = heads.select("id", "sketch", "n")
+    # only classes that share a bucket meet others
+    shared = scratch.save(members.select("id").distinct(), "shared")
+    sketch = heads.join(F.broadcast(shared) if shared.count() <= BROADCAST_IDS else shared, "id", "left_semi").select("id", "sketch", "n")
+    sketch = scratch.save(sketch, "sketch")
+    scratch.drop("heads", "shared")
     least = percent / 100 - ERRORS * (percent / 100 * (1 - percent / 100) / REGISTERS) ** 0.5
 
     stars = scratch.save(stars, "stars")
@@ -316,6 +329,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, id_col
         mixed = scratch.save(mixed.select("key", "all", F.col("main.root").alias("main"), F.ceil((F.col("all") - F.col("main.held")) / TILE).alias("us"), F.ceil(F.col("all") / TILE).alias("rs")), f"{name}-mixed")
         labelled = spread_join(labelled, mixed.drop("all"), ["key"], hot=too_many(mixed, ["key"], "all", total))
         labelled = scratch.save(labelled.join(sketch.select("id", "sketch").hint("merge"), "id") if best else labelled, f"{name}-open")
+        scratch.drop("members", "sketch") if best else scratch.drop("best-open")  # labelled holds what is still needed
         open_ = labelled.select("key", "id", "n", "sketch")
         more = scratch.save(_exact_likely(docs, classes, scratch.save(_stragglers(labelled, percent, least, best), f"{name}-likely"), shingle, percent), f"{name}-links")
         if not more.isEmpty():
