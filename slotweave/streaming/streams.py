@@ -19,6 +19,17 @@ def table_stream(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return read.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in read.columns else read
 
 
+def rate_events(spark: SparkSession, per_second: int, types: int = 4) -> DataFrame:
+    """Events without files, for load tests: event_id counts up, ts is the time of making, event_type goes round."""
+    made = spark.readStream.format("rate").option("rowsPerSecond", per_second).load()
+    return made.select(F.col("value").alias("event_id"), F.col("timestamp").alias("ts"), F.concat(F.lit("type"), F.col("value") % types).alias("event_type"))
+
+
+def to_console(stream: DataFrame, mode: str = "append", rows: int = 20, every: str = "1 second") -> StreamingQuery:
+    """Shows the first rows of each micro-batch; the caller stops it."""
+    return stream.writeStream.outputMode(mode).format("console").option("numRows", rows).option("truncate", False).trigger(processingTime=every).start()
+
+
 def run_to_end(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Reads all that is there, into a table in memory."""
     name = f"st_{uuid.uuid4().hex[:10]}"

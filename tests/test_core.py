@@ -418,3 +418,44 @@ def test_domain_export_trains_until_no_pair_is_left(spark, sf, monkeypatch):
         workloads.w13_domain_export(short)
     assert rounds == list(range(need, need + 9))
     short.close()
+
+
+def test_vocabulary_source(spark, trained, tmp_path):
+    from slotweave.sources.vocabulary import read_vocabulary
+
+    tok = export_standard(trained[1], 300)
+    save_tokenizer(tok, str(tmp_path / "tok"), spark)
+    want = [bytes(r.bytes) for r in tok.frame(spark).filter("visible").orderBy("export_id").collect()]
+    for path in (str(tmp_path / "tok" / "visible"), f"file://{tmp_path}/tok/visible"):
+        got = read_vocabulary(spark, path).orderBy("line").collect()
+        assert [bytes(r.token) for r in got] == want and [r.line for r in got] == list(range(300))
+    assert read_vocabulary(spark, str(tmp_path / "tok" / "internal")).count() == 0
+
+    (tmp_path / "two").mkdir()
+    (tmp_path / "two" / "a").write_text("61\n6162")
+    (tmp_path / "two" / "b").write_text("63\n")
+    (tmp_path / "two" / "_SUCCESS").write_text("no hex")
+    assert sorted((r.file, r.line, bytes(r.token)) for r in read_vocabulary(spark, str(tmp_path / "two")).collect()) == [("a", 0, b"a"), ("a", 1, b"ab"), ("b", 0, b"c")]
+    assert read_vocabulary(spark, str(tmp_path / "two" / "a")).count() == 2
+    (tmp_path / "two" / "b").write_text("zz\n")
+    with pytest.raises(Exception, match="hex"):
+        read_vocabulary(spark, str(tmp_path / "two")).collect()
+    with pytest.raises(Exception, match="absent"):
+        read_vocabulary(spark, str(tmp_path / "absent")).collect()
+
+
+def test_rate_source_and_console_sink(spark):
+    import time
+
+    from slotweave.streaming import streams
+
+    query = streams.to_console(streams.tumbling(streams.rate_events(spark, 50), "1 second"), "update")
+    try:
+        end = time.time() + 60
+        while time.time() < end and not any(p["numInputRows"] for p in query.recentProgress):
+            time.sleep(0.5)
+        assert query.exception() is None and any(p["numInputRows"] for p in query.recentProgress)
+    finally:
+        query.stop()
+    types = streams.rate_events(spark, 50)
+    assert types.isStreaming and types.columns == ["event_id", "ts", "event_type"]
