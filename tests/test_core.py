@@ -459,3 +459,12 @@ def test_rate_source_and_console_sink(spark):
         query.stop()
     types = streams.rate_events(spark, 50)
     assert types.isStreaming and types.columns == ["event_id", "ts", "event_type"]
+
+
+def test_no_streamed_row_stays_on_the_driver(spark, sf, tmp_path, monkeypatch):
+    from slotweave.streaming import streams
+
+    monkeypatch.setattr(streams, "shared_folder", lambda _: (str(tmp_path), None))
+    got = streams.run_to_end(streams.deduplicated(streams.table_stream(spark, sf, "events")))
+    assert got.inputFiles() and all(str(tmp_path) in f for f in got.inputFiles()) and got.count() == spark.read.parquet(f"{sf}/events.parquet").count()
+    assert not list(tmp_path.glob("*/checkpoint"))
