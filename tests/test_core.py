@@ -468,3 +468,11 @@ def test_no_streamed_row_stays_on_the_driver(spark, sf, tmp_path, monkeypatch):
     got = streams.run_to_end(streams.deduplicated(streams.table_stream(spark, sf, "events")))
     assert got.inputFiles() and all(str(tmp_path) in f for f in got.inputFiles()) and got.count() == spark.read.parquet(f"{sf}/events.parquet").count()
     assert not list(tmp_path.glob("*/checkpoint"))
+
+
+def test_streamed_join_is_on_files(spark, sf):
+    from slotweave.plans.queries import queries
+
+    got = queries()["op_st_join"](spark, sf)
+    events, customers = (spark.read.parquet(f"{sf}/{x}.parquet") for x in ("events", "customer"))
+    assert got.inputFiles() and got.exceptAll(events.join(customers, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")).isEmpty()
