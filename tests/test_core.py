@@ -476,3 +476,15 @@ def test_streamed_join_is_on_files(spark, sf):
     got = queries()["op_st_join"](spark, sf)
     events, customers = (spark.read.parquet(f"{sf}/{x}.parquet") for x in ("events", "customer"))
     assert got.inputFiles() and got.exceptAll(events.join(customers, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")).isEmpty()
+
+
+def test_complete_mode_is_its_last_batch_on_files(spark, sf, tmp_path):
+    from slotweave.streaming import streams
+
+    events = spark.read.parquet(f"{sf}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    for i in range(2):
+        events.filter(F.col("event_id") % 2 == i).coalesce(1).write.parquet(str(tmp_path / f"in/{i}"))
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in/*"))
+    got = streams.run_to_end(streams.sessions(stream), "complete")
+    want = streams.sessions(events)
+    assert got.inputFiles() and got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
