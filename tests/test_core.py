@@ -461,6 +461,29 @@ def test_rate_source_and_console_sink(spark):
     assert types.isStreaming and types.columns == ["event_id", "ts", "event_type"]
 
 
+def test_runs_of_frequent_pairs_train_alike(spark, sf, monkeypatch):
+    c = chunk_table(spark.read.parquet(f"{sf}/benchmark.parquet")).persist()
+    want = train_bpe(c, 400, "compact")
+    monkeypatch.setattr(train, "COMPACT_SYMBOLS", 4_000)
+    monkeypatch.setattr(train, "PAIRS", 16)
+    passes, alone = [], train._in_one_task
+
+    def told(pieces, *rest):
+        passes.append(pieces.agg(F.sum(F.char_length("sym"))).first()[0])
+        return alone(pieces, *rest)
+
+    monkeypatch.setattr(train, "_in_one_task", told)
+    assert train_bpe(c, 400) == want and train_bpe(c, 400, "runs", want.prefix(150)) == want
+    assert len(passes) > 4 and max(passes) <= 4_000
+
+
+def test_runs_with_repeats_and_ties(spark):
+    texts = ["aaaaaaa", "aaabaaab", "ababababa", "aa", "xyxyx", "zz", "qwer", "tyui", "aaaa aaaa"]
+    c = chunk_table(spark.createDataFrame([(i, x) for i, x in enumerate(texts)], "doc_id long, text string"), pretok=False).persist()
+    for n in (1, 3, 12, 200):
+        assert train_bpe(c, n, "runs") == train_bpe(c, n, "compact")
+
+
 def test_no_streamed_row_stays_on_the_driver(spark, sf, tmp_path, monkeypatch):
     from slotweave.streaming import streams
 
