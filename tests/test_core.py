@@ -511,3 +511,12 @@ def test_complete_mode_is_its_last_batch_on_files(spark, sf, tmp_path):
     got = streams.run_to_end(streams.sessions(stream), "complete")
     want = streams.sessions(events)
     assert got.inputFiles() and got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
+def test_recursion_goes_as_far_as_the_keys(spark, sf):
+    from slotweave.plans.queries import queries
+
+    rows = sorted(map(tuple, queries()["op_s50_recursive"](spark, sf).collect()))
+    keys = [r.c_custkey for r in spark.read.parquet(f"{sf}/customer.parquet").collect()]
+    assert rows == [(k.bit_length(), 1 << (k.bit_length() - 1), sum(x.bit_length() == k.bit_length() for x in keys)) for k in (1 << i for i in range(max(keys).bit_length()))]
+
