@@ -520,3 +520,10 @@ def test_recursion_goes_as_far_as_the_keys(spark, sf):
     keys = [r.c_custkey for r in spark.read.parquet(f"{sf}/customer.parquet").collect()]
     assert rows == [(k.bit_length(), 1 << (k.bit_length() - 1), sum(x.bit_length() == k.bit_length() for x in keys)) for k in (1 << i for i in range(max(keys).bit_length()))]
 
+
+
+def test_fixtures_are_cut_before_each_document(spark, sf):
+    from slotweave.plans.queries import FIXTURES, queries
+
+    got, docs = queries()["pretok_fixtures"](spark, sf), spark.read.parquet(f"{sf}/documents.parquet")
+    assert got.inputFiles() == docs.inputFiles() and got.count() == docs.count() and got.select("fixture").distinct().count() == min(len(FIXTURES), docs.count())
