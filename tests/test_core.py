@@ -501,6 +501,16 @@ def test_streamed_join_is_on_files(spark, sf):
     assert got.inputFiles() and got.exceptAll(events.join(customers, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")).isEmpty()
 
 
+@pytest.mark.parametrize("name", ["op_st_join", "op_st_sessions"])
+def test_streams_read_tables_that_are_folders(spark, sf, tmp_path, name):
+    from slotweave.plans.queries import queries
+
+    for table in ("events", "customer"):
+        spark.read.parquet(f"{sf}/{table}.parquet").repartition(3).write.parquet(str(tmp_path / f"{table}.parquet"))
+    got, want = queries()[name](spark, str(tmp_path)), queries()[name](spark, sf)
+    assert not want.isEmpty() and got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+
+
 def test_complete_mode_is_its_last_batch_on_files(spark, sf, tmp_path):
     from slotweave.streaming import streams
 
