@@ -34,17 +34,26 @@ def _delete(spark: SparkSession, path: str) -> None:
         pass
 
 
+#: Tables saved between two collections of the driver's garbage.
+COLLECT_EVERY = 3
+
+
 class Scratch:
-    """Tables of one operator run; drop() frees one early, the rest go when the process ends."""
+    """Tables of one operator run; drop() frees one early, the rest go when the process ends. Every few tables the garbage of the driver's JVM is
+    collected: the plans and compiled classes of the jobs before would else fill its heap, which is given back afterwards."""
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark = spark
         self.root = f"{shared_folder(spark).rstrip('/')}/{name}-{uuid.uuid4().hex[:12]}"
+        self.saved = 0
         atexit.register(_delete, spark, self.root)
 
     def save(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
         df.write.mode("overwrite").option("compression", "zstd").parquet(path)
+        self.saved += 1
+        if self.saved % COLLECT_EVERY == 0:
+            self.spark.sparkContext._jvm.System.gc()
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, *names: str) -> None:
