@@ -501,6 +501,19 @@ def test_streamed_join_is_on_files(spark, sf):
     assert got.inputFiles() and got.exceptAll(events.join(customers, F.col("user_id") == F.col("c_custkey")).select("event_id", "c_mktsegment")).isEmpty()
 
 
+def test_large_trainings_send_the_driver_no_more_pairs_than_a_pass_takes(spark, trained, monkeypatch):
+    monkeypatch.setattr(train, "PAIRS", 4)
+    monkeypatch.setattr(train, "top_pairs", None)  # sends up to so many pairs from every partition
+    chunks = trained[0].repartition(7)
+    assert train.train_bpe(chunks, 40, "runs") == train.train_bpe(chunks, 40, "compact")
+    pairs = train.pair_counts(chunks)
+    every = sorted((-r.f, r.pair) for r in pairs.collect())
+    for width in (1, 5, 50, len(every) - 1, len(every)):
+        top, counted = train.frequent(pairs, width)
+        want = [x for x in every if width == len(every) or x[0] < every[width][0]]
+        assert top == want and sum(n for _, n in counted) >= min(width + 1, len(every))
+
+
 @pytest.mark.parametrize("name", ["op_st_join", "op_st_sessions"])
 def test_streams_read_tables_that_are_folders(spark, sf, tmp_path, name):
     from slotweave.plans.queries import queries
