@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from slotweave.functions import cleaning
 from slotweave.functions.pretok import PYTHON, pretokenize
+from slotweave.functions.symbols import symbol
 from slotweave.operators import corpus, measures as ms
 from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encode_chunks_native, encoded_length, length_from_log, replay, vp_length_from_log, with_specials
 from slotweave.operators.exposure import exposure_by_count, exposures
@@ -550,3 +551,13 @@ def test_fixtures_are_cut_before_each_document(spark, sf):
 
     got, docs = queries()["pretok_fixtures"](spark, sf), spark.read.parquet(f"{sf}/documents.parquet")
     assert got.inputFiles() == docs.inputFiles() and got.count() == docs.count() and got.select("fixture").distinct().count() == min(len(FIXTURES), docs.count())
+
+
+def test_merges_of_strings_are_those_of_words(trained):
+    ranks = {(m.left, m.right): m.token for m in trained[1].merges}
+    rng = random.Random(6)
+    words = [[rng.choice(b"aetn o") for _ in range(rng.randrange(1, 2 * train.LONG))] for _ in range(200)] + [[97] * 50, [97], []]
+    after, text = train.Replacer(ranks), lambda word: "".join(map(symbol, word))
+    for w in words:
+        want, made = collections.Counter(), collections.Counter()
+        assert after(text(w), made) == text(train.merge_word(w, ranks, want)) and made == want
