@@ -5,6 +5,7 @@ import itertools
 import os
 import random
 
+import pyarrow as pa
 import pytest
 import regex
 from pyspark.sql import functions as F
@@ -13,7 +14,7 @@ from slotweave.functions import cleaning
 from slotweave.functions.pretok import PYTHON, pretokenize
 from slotweave.functions.symbols import symbol
 from slotweave.operators import corpus, measures as ms
-from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encode_chunks_native, encoded_length, length_from_log, replay, vp_length_from_log, with_specials
+from slotweave.operators.encode import ChunkEncoder, decode_ids, encode, encode_chunks_native, encoded_length, in_parts, length_from_log, replay, vp_length_from_log, with_specials
 from slotweave.operators.exposure import exposure_by_count, exposures
 from slotweave.operators.mintoken import Trie, fewest, min_length, min_tokens, min_tokens_relational, segment, vocabulary
 from slotweave.operators import train
@@ -561,3 +562,12 @@ def test_merges_of_strings_are_those_of_words(trained):
     for w in words:
         want, made = collections.Counter(), collections.Counter()
         assert after(text(w), made) == text(train.merge_word(w, ranks, want)) and made == want
+
+
+def test_encoding_holds_a_bounded_number_of_chunks():
+    rows = [[("a " * n).split() for n in sizes] for sizes in ((3, 0, 4, 9, 1, 1), (), (0,), (20,))]
+    for r in rows:
+        batch = pa.RecordBatch.from_arrays([pa.array(range(len(r)), pa.int64()), pa.array([x or None for x in r], pa.list_(pa.string()))], names=["id", "c"])
+        parts = list(in_parts(batch, 5))
+        assert [x for p in parts for x in p.to_pylist()] == batch.to_pylist()
+        assert all(p.num_rows <= 1 or sum(len(c or ()) for c in p.column(1).to_pylist()) <= 5 for p in parts)
