@@ -571,3 +571,14 @@ def test_encoding_holds_a_bounded_number_of_chunks():
         parts = list(in_parts(batch, 5))
         assert [x for p in parts for x in p.to_pylist()] == batch.to_pylist()
         assert all(p.num_rows <= 1 or sum(len(c or ()) for c in p.column(1).to_pylist()) <= 5 for p in parts)
+
+
+def test_minimum_tokens_of_a_union_are_the_sums_of_its_parts(spark, sf, monkeypatch):
+    items = spark.read.parquet(f"{sf}/benchmark.parquet")
+    part = {"A": items.filter("item_id % 2 = 0"), "B": items.filter("item_id % 2 = 1"), "AB": items}
+    s = workloads.Study(spark, lambda name: chunk_table(part[name]), [300, 310], ["0.4"])
+    passes, whole = [], min_length(s.chunks("AB"), vocabulary(s.tokenizer("AB", 300)))
+    monkeypatch.setattr(workloads, "min_lengths", lambda chunks, words, real=workloads.min_lengths: passes.append(chunks) or real(chunks, words))
+    got = {r.eval: r.len_std for r in workloads.w08_minimum_tokens(s).collect()}
+    assert got["A"] + got["B"] == got["AB"] == whole and len(passes) == 2
+    s.close()
